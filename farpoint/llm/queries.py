@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from farpoint.llm import chat, licenses, media, tokens, toxicity
+from farpoint.llm import chat, licenses, media, mixing, packing, tokens, toxicity
 from farpoint.session import ship, table
 
 
@@ -32,6 +32,11 @@ def op2_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op4_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    taken, by_source = mixing.mix(table(spark, sf_dir, "documents", "doc_id", "text", "source"), F.array("source"), carry=("source",))
+    return taken.join(F.broadcast(by_source), F.col("source").eqNullSafe(F.col("s_source"))).select("doc_id", "size", "source_size", "target", "taken")  # by_source: at most MOST_PATTERNS rows
+
+
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
     model = toxicity.fit(docs, table(spark, sf_dir, "labels", "doc_id", "toxic"))
@@ -39,6 +44,11 @@ def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, model).select("doc_id", F.coalesce(held_out, F.lit(False)).alias("held_out"), "score", F.when(F.col("score") >= 0.5, 1).otherwise(0).alias("predicted"))
 
 
+def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pieces = packing.cut(table(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path("byte_bpe_50k.json"), tokenizer_path("byte_bpe_50k.tiktoken"))
+    return packing.pack(pieces).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
+
+
 def op7_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.text_media(table(spark, sf_dir, "documents", "doc_id", "text"))
 
