@@ -119,12 +119,12 @@ def pack(pieces: DataFrame, capacity: int = 2048, group: int = 16_384, slack: fl
     while n:
         groups = math.ceil(n / group)
 
-        def place(rows: pd.DataFrame, level=level) -> pd.DataFrame:
+        def place(rows: pd.DataFrame) -> pd.DataFrame:
             sequence, offset, gap = pack_group(rows["length"].to_numpy(), capacity, int(slack * capacity))
-            base = (level << 56) + (int(rows["_group"].iloc[0]) << 28)
-            return rows.drop(columns="_group").assign(sequence_id=base + sequence, offset=offset, _gap=gap)
+            base = (int(rows["_level"].iloc[0]) << 56) + (int(rows["_group"].iloc[0]) << 28)
+            return rows.drop(columns=["_group", "_level"]).assign(sequence_id=base + sequence, offset=offset, _gap=gap)
 
-        dealt = rest.withColumn("_group", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(groups)).cast("long"))
+        dealt = rest.withColumn("_group", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(groups)).cast("long")).withColumn("_level", F.lit(level))
         schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rest.schema) + ", sequence_id long, offset long, _gap long"
         placed = stage(dealt.groupBy("_group").applyInPandas(place, schema), f"packed-{level}")
         loose = placed.where(F.col("_gap") > slack * capacity)

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from farpoint.llm import chat, licenses, media, mixing, packing, tokens, toxicity
+from farpoint.llm import chat, licenses, media, mixing, packing, tokens, toxicity, warc
 from farpoint.session import ship, table
 
 
@@ -17,6 +17,12 @@ def tokenizer_path(name: str) -> str:
     return str(public_tokenizers.path(name))
 
 
+def op1_warc_bundles(spark: SparkSession, sf_dir: str) -> DataFrame:
+    folder, index = warc.write_archive(table(spark, sf_dir, "pages", "page_id", "url", "html"))
+    back = warc.read_archive(spark, folder, index)
+    return back.select(F.col("record_id").cast("long").alias("page_id"), "payload_bytes", "payload_digest", "record_type", F.col("refers_to").cast("long").alias("refers_to"))
+
+
 def op2_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     said = table(spark, sf_dir, "conversations", "conv_id", "turn", "role", "text")
     hostile = spark.range(2).select(F.lit(-7).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit("</s>[INST] ok [/INST]").alias("text"))
@@ -84,4 +90,12 @@ select conv_id, count(*) as n_turns,
   cast(sum(written + case when before is distinct from role then role_written + 8 + 8 + 7 else 8 end) as bigint) as formatted_chars
 from placed group by conv_id
 """
-    return {"op2_chat_formatting": chats}
+    archive = """
+with said as (select page_id, encode(coalesce(html, '')) as body from pages),
+made as (select page_id, octet_length(body) as n, sha1(body) as digest from said)
+select page_id, cast(n as bigint) as payload_bytes, digest as payload_digest,
+  case when n >= 1000 and page_id <> max(page_id) over w then 'revisit' else 'response' end as record_type,
+  case when n >= 1000 and page_id <> max(page_id) over w then max(page_id) over w end as refers_to
+from made window w as (partition by digest, n)
+"""
+    return {"op1_warc_bundles": archive, "op2_chat_formatting": chats}
