@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from farpoint.llm import chat, licenses, media, mixing, packing, tokens, toxicity, warc
+from farpoint.llm import chat, jaccard, licenses, media, mixing, packing, tokens, toxicity, warc
 from farpoint.session import ship, table
 
 
@@ -38,6 +38,10 @@ def op2_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op3_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.similarity_classes(table(spark, sf_dir, "documents", "doc_id", "text")).select("doc_id", "class_id", "n_links")
+
+
 def op4_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     taken, by_source = mixing.mix(table(spark, sf_dir, "documents", "doc_id", "text", "source"), F.array("source"), carry=("source",))
     return taken.join(F.broadcast(by_source), F.col("source").eqNullSafe(F.col("s_source"))).select("doc_id", "size", "source_size", "target", "taken")  # by_source: at most MOST_PATTERNS rows
