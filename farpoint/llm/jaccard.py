@@ -335,7 +335,7 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     # Exact comparison inside candidate components: blocks of about BLOCK_TOKENS tokens, all pairs of blocks.
     blocks = likely.groupBy(F.col("component").alias("c")).agg(F.ceil(F.sum("n") / BLOCK_TOKENS).cast("int").alias("blocks"))
     wanted = likely.join(blocks, F.col("component") == F.col("c")).select(F.col("doc_id").alias("w_doc"), F.col("k1").alias("w1"), F.col("k2").alias("w2"), F.col("node").alias("rid"), "component", "blocks", F.col("size").alias("weight"))
-    texts = docs.join(wanted, F.col("doc_id").eqNullSafe(F.col("w_doc"))).select("text", "w1", "w2", "rid", "component", "blocks", "weight")
+    texts = docs.join(wanted.hint("merge"), F.col("doc_id").eqNullSafe(F.col("w_doc"))).select("text", "w1", "w2", "rid", "component", "blocks", "weight")
 
     def regram(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler()
