@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from farpoint.session import stage
+from farpoint.session import ship, stage
 
 
 def _large_star(edges: DataFrame) -> DataFrame:
@@ -23,18 +26,33 @@ def _small_star(edges: DataFrame) -> DataFrame:
     return moved.where("v <> m").select(F.col("v").alias("a"), F.col("m").alias("b")).union(least.select(F.col("k").alias("a"), F.col("m").alias("b"))).distinct()
 
 
+def _contract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Each batch's edges as links of its nodes to the smallest node that the batch connects them to."""
+    for b in batches:
+        root: dict[int, int] = {}
+
+        def find(x: int) -> int:
+            while root[x] != x:
+                root[x] = root[root[x]]
+                x = root[x]
+            return x
+
+        for a, c in zip(*(col.to_pylist() for col in b.columns)):
+            x, y = find(root.setdefault(a, a)), find(root.setdefault(c, c))
+            if x != y:
+                root[max(x, y)] = min(x, y)
+        links = [(x, find(x)) for x in root if find(x) != x]
+        if links:
+            yield pa.RecordBatch.from_arrays([pa.array(v, pa.int64()) for v in zip(*links)], names=["a", "b"])
+
+
 def components(edges: DataFrame, name: str = "components") -> DataFrame:
     """(node, component): component is the smallest node of each connected part; nodes without an edge to another are left out.
 
-    edges: a, b long. Rounds go on until a round changes nothing; their number grows with the logarithm of the nodes.
+    edges: a, b long. Batches are contracted first; rounds go on until every node has one link and it leads to a root.
     """
-    now = stage(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), name)
-    mark = lambda df: tuple(df.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
-    seen = mark(now)
-    while seen[0]:
+    ship(edges.sparkSession)
+    now = stage(edges.where("a <> b").select("a", "b").mapInArrow(_contract, "a long, b long").distinct(), name)
+    while not (now.groupBy("a").count().where("count > 1").isEmpty() and now.join(now.select(F.col("a").alias("c")), F.col("b") == F.col("c"), "left_semi").isEmpty()):
         now = stage(_small_star(_large_star(now)), name)
-        after = mark(now)
-        if after == seen:
-            break
-        seen = after
     return now.select(F.col("a").alias("node"), F.col("b").alias("component")).union(now.select(F.col("b"), F.col("b")).distinct())

@@ -36,7 +36,7 @@ from farpoint.session import ship, stage
 GRAM, THRESHOLD, RECALL = 5, 0.8, 0.9998
 SKETCH = 64
 #: First depth of the paths, largest bucket compared at once, sketch similarities of a pivot.
-DEPTH, SMALL, NEAR, LOOSE = 3, 256, 0.9, 0.55
+DEPTH, SMALL, NEAR, LOOSE = 3, 256, 0.8, 0.45
 #: Levels after which what is left of large buckets is compared pivot by pivot in one task each.
 DEEPEST = 10
 #: Tokens of one block of the exact comparison.
@@ -219,7 +219,6 @@ def candidate_edges(reps: DataFrame, recall: float = RECALL, threshold: float =
     edges: list[DataFrame] = []
     lists: list[DataFrame] = []
     for level in range(DEPTH, DEEPEST + 1):
-        keys = stage(keys, f"paths-{level}")
         counts = keys.groupBy(F.col("path").alias("c_path")).agg(F.count("*").alias("n"), F.min("rid").alias("pivot")).where("n > 1")
         shared = stage(keys.join(counts, F.col("path") == F.col("c_path")).select("rid", "run", "path", "n", "pivot"), f"shared-{level}")
         # Small buckets: the same few sets meet in most runs; each list of sets is compared once. At most SMALL ids in a list.
