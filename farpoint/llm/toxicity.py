@@ -234,21 +234,26 @@ def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_co
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = ToxicityModel(*sent.value)
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([m.score(t) for t in b.column(1).to_pylist()], pa.float64())], names=[id_col, "score"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(_scores(m, b.column(1)), pa.float64())], names=[id_col, "score"])
 
     kind = docs.schema[id_col].dataType.simpleString()
     return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, score double")
 
 
 def keep_clean(docs: DataFrame, model: ToxicityModel, reject_from: float = 0.5) -> DataFrame:
-    """The rows whose score is below the cut, with all their columns."""
+    """The rows whose score is below the cut, with all their columns. Only texts go to the Python workers and only scores come back."""
     spark = ship(docs.sparkSession)
     sent = spark.sparkContext.broadcast((model.words, model.beginnings, model.curve))
-    at = docs.columns.index("text")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    @F.arrow_udf("double")
+    def toxic(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         m = ToxicityModel(*sent.value)
-        for b in batches:
-            yield b.filter(pa.array([m.score(t) < reject_from for t in b.column(at).to_pylist()], pa.bool_()))
+        for t in texts:
+            yield pa.array(_scores(m, t), pa.float64())
+
+    return docs.where(toxic(F.col("text")) < reject_from)
+
 
-    return docs.mapInArrow(run, docs.schema)
+def _scores(m: ToxicityModel, texts: pa.Array) -> list[float]:
+    """Few texts at a time become Python strings."""
+    return [m.score(t) for at in range(0, len(texts), 256) for t in texts.slice(at, 256).to_pylist()]
