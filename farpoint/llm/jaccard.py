@@ -171,6 +171,26 @@ def _forest(n: int, pairs: Iterator[tuple[int, int]]) -> list[tuple[int, int]]:
     return kept
 
 
+def _dense_forest(hit: np.ndarray, square: bool) -> list[tuple[int, int]]:
+    """Edges (row, column) that connect whatever a boolean matrix connects, by breadth-first search over its rows; square: rows and columns are the same nodes."""
+    kept: list[tuple[int, int]] = []
+    new_row = np.ones(hit.shape[0], bool)
+    new_column = new_row if square else np.ones(hit.shape[1], bool)
+    for start in range(hit.shape[0]):
+        if not new_row[start]:
+            continue
+        new_row[start] = False
+        todo = [(start, True)]
+        while todo:
+            at, is_row = todo.pop()
+            new = new_column if is_row else new_row
+            met = np.flatnonzero((hit[at] if is_row else hit[:, at]) & new).tolist()
+            new[met] = False
+            kept += [(at, m) for m in met] if is_row else [(m, at) for m in met]
+            todo += [(m, square or not is_row) for m in met]
+    return kept
+
+
 def _sketch_edges(sk: np.ndarray) -> list[tuple[int, int]]:
     """Links of one bucket that join all sets which a chain of loose sketch matches joins."""
     n, edges = len(sk), []
@@ -253,8 +273,8 @@ def _sets(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler()
         for b in batches:
-            for at in range(0, b.num_rows, 512):
-                part = b.slice(at, 512)
+            for at in range(0, b.num_rows, 128):
+                part = b.slice(at, 128)
                 sets = shingler.sets(part.column(1).to_pylist())
                 key = np.array([(s.sum(dtype=np.uint64), np.bitwise_xor.reduce(s * np.uint64(_K)) if len(s) else 0) for s in sets], np.uint64).view(np.int64).reshape(-1, 2)
                 sk = pa.array(np.concatenate([sketch(s) for s in sets]), pa.int32())
@@ -284,8 +304,7 @@ def _exact(members: DataFrame) -> DataFrame:
             links[x] += hit @ weight[y]
             if not alone:
                 links[y] += hit.T @ weight[x]
-            a, b = np.nonzero(np.triu(hit) if alone else hit)
-            forest = _forest(len(side), zip(x[a].tolist(), y[b].tolist()))
+            forest = [(int(x[a]), int(y[b])) for a, b in _dense_forest(hit, alone)]
             got = np.flatnonzero(links)
             rows = [(int(rid[i]), int(links[i]), None) for i in got] + [(int(rid[i]), None, int(rid[j])) for i, j in forest]
             if rows:
@@ -318,8 +337,11 @@ def similar(sets: list[np.ndarray], x: np.ndarray, y: np.ndarray, threshold: flo
         left[at_x[r[in_x]], c[in_x]] = 1
         right[at_y[r[in_y]], c[in_y]] = 1
         both += left @ right.T
-    union = sizes[x][:, None] + sizes[y] - both
-    return both.astype(np.float64) >= threshold * union - 1e-9
+    hit = np.zeros(both.shape, bool)
+    for at in range(0, len(x), 256):  # a few rows at a time in double precision
+        common = both[at : at + 256].astype(np.float64)
+        hit[at : at + 256] = common >= threshold * (sizes[x[at : at + 256]][:, None] + sizes[y] - common) - 1e-9
+    return hit
 
 
 def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", recall: float = RECALL) -> DataFrame:
@@ -329,7 +351,8 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     sets = stage(_sets(docs, "doc_id", "text").withColumn("rid", F.monotonically_increasing_id()), "sets")
     classes = stage(sets.where("n > 0").groupBy("k1", "k2").agg(F.min("rid").alias("rep"), F.count("*").alias("size"), F.min("doc_id").alias("least"), F.min("n").alias("n")), "classes")
     reps = stage(sets.select("rid", "doc_id", "sketch").join(classes.select(F.col("rep").alias("rid"), "size", "k1", "k2", "n"), "rid"), "representatives")
-    likely = components(candidate_edges(reps.select("rid", "sketch"), recall))
+    edges = stage(candidate_edges(reps.select("rid", "sketch"), recall), "edges")  # on its own: no task needs two Python workers
+    likely = components(edges)
     likely = stage(likely.join(reps.select(F.col("rid").alias("node"), "doc_id", "k1", "k2", "n", "size"), "node"), "likely")
     # Exact comparison inside candidate components: blocks of about BLOCK_TOKENS tokens, all pairs of blocks.
     blocks = likely.groupBy(F.col("component").alias("c")).agg(F.ceil(F.sum("n") / BLOCK_TOKENS).cast("int").alias("blocks"))
