@@ -16,12 +16,13 @@ ignored in ``mix``. Equal hashes are ordered by id.
 from __future__ import annotations
 
 import heapq
+import json
 from collections.abc import Callable
 from dataclasses import dataclass
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
 from farpoint.session import stage
@@ -162,8 +163,6 @@ def mix(docs: DataFrame, members: Column, seed: int = 7, weights: tuple[float, .
     found = sized.groupBy("pattern").agg(F.sum("size").alias("total")).limit(MOST_PATTERNS + 1).collect()
     if len(found) > MOST_PATTERNS:
         raise ValueError(f"more than {MOST_PATTERNS} membership patterns")
-    import json
-
     named = {r["pattern"]: tuple(json.loads(r["pattern"])["m"]) for r in found}
     by_pattern = {named[r["pattern"]]: r["total"] for r in found}
     sizes: dict = {}
@@ -172,10 +171,10 @@ def mix(docs: DataFrame, members: Column, seed: int = 7, weights: tuple[float, .
             sizes[s] = sizes.get(s, 0) + n
     goal = targets(sizes, weights, share, passes)
     flow = plan(by_pattern, goal, passes)
-    rows = [(r["pattern"], int(round(flow.words[named[r["pattern"]]])), int(r["total"])) for r in found]
-    quota = spark.createDataFrame(rows, "q_pattern string, words long, total long")
+    keys = [r["pattern"] for r in found]
+    quota = spark.createDataFrame(pa.table({"q_pattern": pa.array(keys, pa.string()), "words": pa.array([int(round(flow.words[named[k]])) for k in keys], pa.int64()), "total": pa.array([int(r["total"]) for r in found], pa.int64())}))
     out = _take(sized, quota, [id_col])
-    by_source = spark.createDataFrame([(s, int(n), float(goal[s])) for s, n in sizes.items()], T.StructType.fromDDL("s_source string, source_size long, target double"))
+    by_source = spark.createDataFrame(pa.table({"s_source": pa.array(list(sizes), pa.string()), "source_size": pa.array(list(sizes.values()), pa.int64()), "target": pa.array([float(goal[s]) for s in sizes], pa.float64())}))
     return out, by_source
 
 

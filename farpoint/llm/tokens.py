@@ -101,9 +101,7 @@ class ByteEncoder:
     """Ids of the byte-level vocabulary. A second library with the same ranks is several times faster; texts beyond PLAIN go to the first."""
 
     def __init__(self, path: str, ranks_path: str | None):
-        from tokenizers import Tokenizer
-
-        self.library = Tokenizer.from_file(path)
+        self.path, self._library = path, None
         self.special = {t["content"]: t["id"] for t in json.load(open(path, encoding="utf-8"))["added_tokens"]}
         self.fast = None
         if ranks_path:
@@ -115,6 +113,15 @@ class ByteEncoder:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(ranks_path, "rb"))}
             self.fast = tiktoken.Encoding("byte_level", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
 
+    @property
+    def library(self):
+        """Loaded when the first text needs it."""
+        if self._library is None:
+            from tokenizers import Tokenizer
+
+            self._library = Tokenizer.from_file(self.path)
+        return self._library
+
     def ids(self, text: str) -> list[int]:
         if self.fast and PLAIN.fullmatch(text) and not any(s in text for s in self.special):
             return self.fast.encode_ordinary(text)
