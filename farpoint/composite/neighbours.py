@@ -101,7 +101,7 @@ def _ranked(edges: DataFrame, k: int) -> DataFrame:
     return edges.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("i", "j", "rank", "dist")
 
 
-def knn(x: FeatureFrame, k: int, y: FeatureFrame | None = None, mode: str = "fused", blocks: int = 4, metric: str = "euclidean", precision: int = 64, verify: bool = True, budget: int = 4 << 30) -> DataFrame:
+def knn(x: FeatureFrame, k: int, y: FeatureFrame | None = None, mode: str = "fused", blocks: int = 4, metric: str = "euclidean", precision: int = 64, verify: bool = True, budget: int = 4 << 30, clock=None) -> DataFrame:
     """(i, j, rank, dist): the k nearest rows of y (default: the other rows of x) of each row of x, ties to the smaller id.
 
     'direct': every pair at once, refused beyond the budget. 'concat': all distances by blocks, then top-k. 'fused': each owner keeps only its
@@ -133,7 +133,7 @@ def knn(x: FeatureFrame, k: int, y: FeatureFrame | None = None, mode: str = "fus
         place = np.arange(len(i)) - np.searchsorted(i, i) + 1
         yield pa.RecordBatch.from_arrays([pa.array(own.ids[i]), pa.array(j), pa.array(place, pa.int32()), pa.array(dist)], names=["i", "j", "rank", "dist"])
 
-    return run_owners(x, blocks, kernel, "i long, j long, rank int, dist double", y=y)
+    return run_owners(x, blocks, kernel, "i long, j long, rank int, dist double", y=y, clock=clock)
 
 
 def knn_symmetric(x: FeatureFrame, k: int, blocks: int = 4) -> DataFrame:
@@ -212,7 +212,7 @@ def _quantized_knn(x: FeatureFrame, k: int, y: FeatureFrame | None, blocks: int,
     return _ranked(_exact(x, band.select("i", "j"), y) if verify else band, k)
 
 
-def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64, compute: int | None = None, bound: str = "residual", verify: bool = True, blocks: int = 4, symmetric: bool = True, scale: str | None = "pow2", include_self: bool = False, with_flag: bool = False) -> DataFrame:
+def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64, compute: int | None = None, bound: str = "residual", verify: bool = True, blocks: int = 4, symmetric: bool = True, scale: str | None = "pow2", include_self: bool = False, with_flag: bool = False, clock=None) -> DataFrame:
     """(i, j) of all ordered pairs at a distance of at most phi (squared: phi is a squared distance).
 
     In low precision each pair is surely in, surely out, or ambiguous; only ambiguous pairs are computed again from full-precision rows.
@@ -267,7 +267,7 @@ def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64,
                 i, j, sure = np.concatenate((i, j)), np.concatenate((j, i)), np.concatenate((sure, sure))
             yield pa.RecordBatch.from_arrays([pa.array(i, pa.int64()), pa.array(j, pa.int64()), pa.array(sure)], names=["i", "j", "certain"])
 
-    found = run_owners(x, blocks, kernel, "i long, j long, certain boolean", bits=precision, symmetric=symmetric, factor=factor)
+    found = run_owners(x, blocks, kernel, "i long, j long, certain boolean", bits=precision, symmetric=symmetric, factor=factor, clock=clock)
     if with_flag:
         return found
     if precision == 64 or not verify:

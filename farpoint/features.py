@@ -101,3 +101,8 @@ def synthetic(spark: SparkSession, n: int, d: int, outlier_share: float = 0.01,
 
 def planted(outlier_share: float = 0.01, seed: int = 1):
     return (F.col("id") * 7717 + seed) % 10007 < int(outlier_share * 10007)
+
+
+def scale_unit(spark: SparkSession, n: int, d: int = 20) -> FeatureFrame:
+    """Generated points, packed, scaled to the unit box by a fixed factor."""
+    return synthetic(spark, n, d).map(lambda f, c: (c + 4) / 8).pack()

@@ -8,7 +8,6 @@ from collections.abc import Callable, Sequence
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from farpoint.model import FeatureFrame
 from farpoint.operators.ecdf import value_ranks
@@ -30,11 +29,12 @@ def precision_at(scores: DataFrame, n: int, ids: Sequence[str] = ("id",), truth:
 
 
 def average_precision(scores: DataFrame, truth: str = "truth") -> DataFrame:
-    """Mean over positives of the precision at their score; equal scores form one step."""
-    steps = scores.groupBy("score").agg(F.sum(F.col(truth).cast("int")).alias("p"), F.count("*").alias("n"))
-    w = Window.orderBy(F.desc("score"))
-    run = steps.withColumn("tp", F.sum("p").over(w)).withColumn("all", F.sum("n").over(w))
-    return run.agg((F.sum(F.col("p") * F.col("tp") / F.col("all")) / F.sum("p")).alias("ap"))
+    """Mean over positives of the precision at their score; equal scores form one step. Counts of rows not below a score come from value counts of all rows and of the positives."""
+    positives = scores.where(F.col(truth).cast("int") == 1)
+    ranks = lambda df, name: value_ranks(FeatureFrame(df.select("score"), (), ("score",))).select(F.col("value").alias(f"{name}_v"), F.col("f_right").alias(name))
+    sizes = scores.agg(F.count("*").alias("n"), F.sum(F.col(truth).cast("int")).alias("p"))  # one row
+    placed = positives.select("score").join(ranks(scores, "above"), F.col("score") == F.col("above_v")).join(ranks(positives, "hits"), F.col("score") == F.col("hits_v")).crossJoin(F.broadcast(sizes))
+    return placed.agg(F.avg(F.col("hits") * F.col("p") / (F.col("above") * F.col("n"))).alias("ap"))
 
 
 def agreement(a: DataFrame, b: DataFrame) -> DataFrame:

@@ -8,6 +8,7 @@ only when i < B / 2), so that each pair is met once and owners have equal work.
 from __future__ import annotations
 
 import math
+import time
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -87,8 +88,8 @@ class Block:
 Kernel = Callable[[Block, Iterator[Block]], Iterator[pa.RecordBatch]]
 
 
-def run_owners(x: FeatureFrame, b: int, kernel: Kernel, schema: str, bits: int = 64, symmetric: bool = False, factor: float = 1.0, y: FeatureFrame | None = None) -> DataFrame:
-    """kernel(own block, its partners) for every owner. Without y the own block is its own first partner; with y partners are the blocks of y."""
+def run_owners(x: FeatureFrame, b: int, kernel: Kernel, schema: str, bits: int = 64, symmetric: bool = False, factor: float = 1.0, y: FeatureFrame | None = None, clock=None) -> DataFrame:
+    """kernel(own block, its partners) for every owner. Without y the own block is its own first partner; with y partners are the blocks of y. clock: an accumulator that gets the seconds spent in kernels, waiting for partners left out."""
     d, apart = x.d, y is not None
 
     def send(df: DataFrame, role: int) -> DataFrame:
@@ -111,6 +112,7 @@ def run_owners(x: FeatureFrame, b: int, kernel: Kernel, schema: str, bits: int =
         row = next(rows, None)
         while row is not None:
             owner = row["owner"]
+            waited = [0.0]
             own = Block(row, d, bits) if row["role"] == 0 else None
             ahead: list = [None]
 
@@ -118,13 +120,19 @@ def run_owners(x: FeatureFrame, b: int, kernel: Kernel, schema: str, bits: int =
                 if not apart:
                     yield own
                 while True:
+                    began = time.perf_counter()
                     ahead[0] = next(rows, None)
+                    waited[0] += time.perf_counter() - began
                     if ahead[0] is None or ahead[0]["owner"] != owner:
                         return
                     yield Block(ahead[0], d, bits)
 
             if own is not None:
-                yield from kernel(own, partners())
+                began = time.perf_counter()
+                found = list(kernel(own, partners())) if clock is not None else kernel(own, partners())
+                if clock is not None:
+                    clock.add(time.perf_counter() - began - waited[0])
+                yield from found
                 while ahead[0] is not None and ahead[0]["owner"] == owner:
                     ahead[0] = next(rows, None)
                 row = ahead[0]

@@ -72,6 +72,8 @@ def hbos_sql(view, keys, features, bins, where="true", alpha=0.1):
 
 scored("hbos_width", lambda s, d: S.HistogramDetector(10).fit_score(X.line_measures(s, d)), f"with {hbos_sql(LINES, LINE_KEYS, LINE_FEATURES, '10')} select {LINE_KEYS}, round(score, 6) + 0.0 as score from scores")
 scored("hbos_sqrt_bins", lambda s, d: S.HistogramDetector("sqrt").fit_score(X.order_prices(s, d)), f"with {hbos_sql(ORDERS, 'o_orderkey', ['price', 'days'], '(select ceil(sqrt(count(*))) from orders)')} select o_orderkey, round(score, 6) + 0.0 as score from scores")
+_fd = f"(select ceil((max({{f}}) - min({{f}})) / (2 * (quantile_cont({{f}}, 0.75) - quantile_cont({{f}}, 0.25)) / pow(count(*), 1.0 / 3))) from ({ORDERS}))"
+scored("hbos_fd_bins", lambda s, d: S.HistogramDetector("fd").fit_score(X.order_prices(s, d)), f"with {hbos_sql(ORDERS, 'o_orderkey', ['price', 'days'], _fd)} select o_orderkey, round(score, 6) + 0.0 as score from scores")
 scored("hbos_events", lambda s, d: S.HistogramDetector(20).fit_score(X.event_values(s, d)), f"with {hbos_sql(EVENTS, 'event_id', ['value', 'hour', 'k'], '20')} select event_id, round(score, 6) + 0.0 as score from scores")
 _qs = ", ".join(f"quantile_cont(price, {k / 10}) as q{k}" for k in range(11))
 scored("hbos_frequency", lambda s, d: S.HistogramDetector(10, "frequency").fit_score(X.order_prices(s, d).select(["price"])), f"with q as (select {_qs} from ({ORDERS})), e as (" + " union all ".join(f"select {k} as k, q{k} as lo, q{k + 1} as hi from q" for k in range(10)) + f"), p as (select o_orderkey, k, hi - lo as w from ({ORDERS}) join e on price >= lo and (price < hi or k = 9 and price <= hi)), h as (select k, count(*) / any_value(w) as h from p group by k), t as (select max(h) as t from h) select o_orderkey, round(-ln(h / t + 0.1), 6) + 0.0 as score from p join h using (k), t")
