@@ -380,7 +380,7 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     joined = components(exact.where("other is not null").select(F.col("rid").alias("a"), F.col("other").alias("b")), "linked")
     named = classes.select("rep", "least").join(joined, F.col("rep") == F.col("node")).groupBy("component").agg(F.min("least").alias("class_id")).select(F.col("component").alias("m"), "class_id")
     where = joined.join(named, F.col("component") == F.col("m")).select("node", "class_id").join(links.withColumnRenamed("rid", "l_rid"), F.col("node") == F.col("l_rid"), "left").select("node", "class_id", "links")
-    told = stage(classes.join(where, F.col("rep") == F.col("node"), "left").select(F.col("k1").alias("t1"), F.col("k2").alias("t2"), F.coalesce("class_id", "least").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("size") - 1).alias("n_links")), "told")
+    told = classes.join(where, F.col("rep") == F.col("node"), "left").select(F.col("k1").alias("t1"), F.col("k2").alias("t2"), F.coalesce("class_id", "least").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("size") - 1).alias("n_links"))
     rows = sets.select("rid", "doc_id", "k1", "k2", "n")
     with_class = rows.where("n > 0").join(told, (F.col("k1") == F.col("t1")) & (F.col("k2") == F.col("t2")), "left").select(F.col("doc_id").alias(id_col), "class_id", "n_links", F.col("rid").alias("_row"))
     empty = rows.where("n = 0").select(F.col("doc_id").alias(id_col), F.col("doc_id").alias("class_id"), F.lit(0).cast("long").alias("n_links"), F.col("rid").alias("_row"))
@@ -388,8 +388,8 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row of each class, with all columns: a row whose id is the class's smallest. Empty texts all stay."""
+    """One row of each class, with all columns: the one with the smallest id, nulls last. Empty texts all stay."""
     numbered = stage(docs.withColumn("_n", F.monotonically_increasing_id()), "numbered")
-    classes = similarity_classes(numbered, "_n", text_col)
-    ranked = classes.where(F.col("_n") == F.col("class_id")).select("_n")
+    classes = similarity_classes(numbered, "_n", text_col).select("_n", "class_id")
+    ranked = classes.join(numbered.select("_n", F.col(id_col).alias("_id")), "_n").groupBy("class_id").agg(F.min(F.struct(F.col("_id").isNull(), "_id", "_n")).alias("first")).select(F.col("first._n").alias("_n"))
     return numbered.join(ranked, "_n", "left_semi").drop("_n")

@@ -155,12 +155,12 @@ def _take(sized: DataFrame, quota: DataFrame, ids: list[str]) -> DataFrame:
     return out.withColumn("taken", (F.col("passes") * F.col("size") + F.col("more")).cast("long")).drop("passes", "more")
 
 
-def mix(docs: DataFrame, members: Column, seed: int = 7, weights: tuple[float, ...] = (3, 1, 2), share: float = 1.5, passes: int = 2, id_col: str = "doc_id", text_col: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
-    """(id, pattern, size, taken, carry...) of every row. members: array of a row's sources."""
+def mix(docs: DataFrame, members: Column, seed: int = 7, weights: tuple[float, ...] = (3, 1, 2), share: float = 1.5, passes: int = 2, id_col: str = "doc_id", text_col: str = "text", carry: tuple[str, ...] = (), drawn_by: str | None = None) -> tuple[DataFrame, DataFrame]:
+    """(id, pattern, size, taken, carry...) of every row, and (s_source, source_size, target) of every source. members: array of a row's sources. drawn_by: the column whose hash orders the rows (default: the id)."""
     spark = docs.sparkSession
     size = F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("long")
-    sized = stage(docs.select(F.col(id_col), *carry, _key(members).alias("pattern"), size.alias("size"), F.xxhash64(F.lit(seed), F.col(id_col), size).alias("hash")), "sized")
-    found = sized.groupBy("pattern").agg(F.sum("size").alias("total")).limit(MOST_PATTERNS + 1).collect()
+    sized = stage(docs.select(F.col(id_col), *carry, _key(members).alias("pattern"), size.alias("size"), F.xxhash64(F.lit(seed), F.col(drawn_by or id_col), size).alias("hash")), "sized")
+    found = sized.groupBy("pattern").agg(F.sum("size").alias("total")).orderBy("pattern").limit(MOST_PATTERNS + 1).collect()
     if len(found) > MOST_PATTERNS:
         raise ValueError(f"more than {MOST_PATTERNS} membership patterns")
     named = {r["pattern"]: tuple(json.loads(r["pattern"])["m"]) for r in found}
@@ -178,10 +178,10 @@ def mix(docs: DataFrame, members: Column, seed: int = 7, weights: tuple[float, .
     return out, by_source
 
 
-def mix_rows(docs: DataFrame, source_col: str = "source", **options) -> DataFrame:
+def mix_rows(docs: DataFrame, source_col: str = "source", id_col: str = "doc_id", **options) -> DataFrame:
     """The mixed documents with all columns of docs: a row for each copy taken. The document at a cut counts as taken if at least half of it is; documents of size 0 stay once."""
     keyed = stage(docs.withColumn("_row", F.monotonically_increasing_id()), "mix-rows")
-    taken, _ = mix(keyed, F.array(F.col(source_col)), id_col="_row", **options)
+    taken, _ = mix(keyed, F.array(F.col(source_col)), id_col="_row", drawn_by=id_col, **options)
     copies = F.when(F.col("size") > 0, F.floor(F.col("taken") / F.greatest(F.col("size"), F.lit(1)) + 0.5)).otherwise(1).cast("int")
     counted = taken.select("_row", copies.alias("_copies")).where("_copies > 0")
     joined = keyed.join(counted, "_row")
