@@ -29,7 +29,7 @@ class MemoryBudgetExceeded(MemoryError):
 
 def block_rows(d: int, value_bytes: int = 8, budget: int = 256 << 20) -> int:
     """Most rows b of a block so that a tile of b * b doubles and two blocks fit the budget of a task."""
-    b = int((-d * value_bytes + math.sqrt((d * value_bytes) ** 2 + 16 * budget)) / 16)
+    b = int((-d * value_bytes + math.sqrt((d * value_bytes) ** 2 + 8 * budget)) / 8)
     return max(1, b)
 
 
@@ -70,7 +70,7 @@ def pack(x: FeatureFrame, b: int, bits: int = 64, factor: float = 1.0) -> DataFr
             left = np.sqrt(((exact - stored.astype(np.float64)) ** 2).sum(1))
             yield pa.RecordBatch.from_arrays([g.column(0).slice(0, 1), *(pa.array([a.tobytes()], pa.binary()) for a in (g.column(1).to_numpy(zero_copy_only=False), stored, left))], names=["block", "ids", "body", "residual"])
 
-    rows = p.df.select(F.pmod(F.xxhash64("id"), F.lit(b)).alias("block"), "id", "x").repartition("block").sortWithinPartitions("block", "id")
+    rows = p.df.select(F.pmod(F.xxhash64("id"), F.lit(b)).alias("block"), "id", "x").repartitionById(b, F.col("block").cast("int")).sortWithinPartitions("block", "id")
     return rows.mapInArrow(run, "block long, ids binary, body binary, residual binary")
 
 
@@ -139,4 +139,4 @@ def run_owners(x: FeatureFrame, b: int, kernel: Kernel, schema: str, bits: int =
             else:  # blocks of y without rows of x
                 row = next(rows, None)
 
-    return sent.select("owner", "role", "block", "ids", "body", "residual").repartition("owner").sortWithinPartitions("owner", "role", "block").mapInArrow(run, schema)
+    return sent.select("owner", "role", "block", "ids", "body", "residual").repartitionById(b, F.col("owner").cast("int")).sortWithinPartitions("owner", "role", "block").mapInArrow(run, schema)
