@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from farpoint.llm.jaccard import grouped
+from farpoint.plans.arrow import grouped
 from farpoint.session import ship, stage
 
 #: Vectors that the partitioning and the classifier are fitted on, at most, and those of them that calibrate the number of visits.

@@ -31,6 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from farpoint.llm.components import components
+from farpoint.plans.arrow import grouped
 from farpoint.session import ship, stage
 
 GRAM, THRESHOLD, RECALL = 5, 0.8, 0.9998
@@ -133,27 +134,6 @@ def _order(run: int, level: int) -> int:
     return random.Random(run * 1009 + 7).sample(range(SKETCH), SKETCH)[level % SKETCH]
 
 
-def grouped(batches: Iterator[pa.RecordBatch], key: int = 0) -> Iterator[pa.RecordBatch]:
-    """Whole groups of consecutive equal keys (longs), put together across batches."""
-    held: list[pa.RecordBatch] = []
-    join = lambda parts: parts[0] if len(parts) == 1 else pa.Table.from_batches(parts).combine_chunks().to_batches()[0]
-    for b in batches:
-        if not b.num_rows:
-            continue
-        keys = b.column(key).to_numpy(zero_copy_only=False)
-        cuts = [0, *(np.flatnonzero(keys[1:] != keys[:-1]) + 1).tolist(), b.num_rows]
-        for a, z in zip(cuts, cuts[1:]):
-            part = b.slice(a, z - a)
-            if held and a == 0 and held[0].column(key)[0].as_py() == keys[0]:
-                held.append(part)
-                continue
-            if held:
-                yield join(held)
-            held = [part]
-    if held:
-        yield join(held)
-
-
 def _forest(n: int, pairs: Iterator[tuple[int, int]]) -> list[tuple[int, int]]:
     root, kept = list(range(n)), []
 
