@@ -17,7 +17,7 @@ from pyspark.sql.window import Window
 from farpoint.model import FeatureFrame
 from farpoint.operators.basic import x_max
 from farpoint.plans.blocks import Block, check_budget, run_owners
-from farpoint.quantize.bounds import FloatFormat, distance_bound, gamma, rowwise_bound
+from farpoint.quantize.bounds import FloatFormat, depth, distance_bound, gamma, rowwise_bound
 
 PAIR = "i long, j long, dist double"
 
@@ -158,17 +158,36 @@ def knn_symmetric(x: FeatureFrame, k: int, blocks: int = 4) -> DataFrame:
     return _ranked(run_owners(x, blocks, kernel, PAIR, symmetric=True), k)
 
 
-def _distance_interval(own: Block, other: Block, d: int, compute: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(low-precision distance, surely not above, surely not below) of the true distances: arithmetic error of the compute format by norms, and the stored rows' residuals by the triangle inequality."""
-    kind = {64: np.float64, 32: np.float32, 16: np.float16}[compute]
-    a, b = own.stored.astype(kind), other.stored.astype(kind)
-    square = _gram(a, b).astype(np.float64)
-    na, nb = (np.sqrt((s.astype(np.float64) ** 2).sum(1)) for s in (own.stored, other.stored))
-    err = (na[:, None] + nb) ** 2 * (gamma(d + 3, FloatFormat(compute).eps) * (1 + 1e-9)) + (8 * d + 8) * FloatFormat(compute).tiny
-    apart = (own.residual[:, None] + other.residual) * (1 + 1e-9)
-    low = np.sqrt(np.maximum(square - err, 0)) * (1 - 1e-15) - apart
-    high = np.sqrt(np.maximum(square + err, 0)) * (1 + 1e-15) + apart
-    return np.sqrt(np.maximum(square, 0)), low, high
+class _LowPrecision:
+    """Squared distances of two blocks in the compute format, with what bounds their errors: arithmetic by the rows' norms, storage by
+    the rows' residuals and the triangle inequality. Pairs are sorted out by one comparison per row; the exact interval is worked out
+    only for those that remain."""
+
+    def __init__(self, own: Block, other: Block, compute: int):
+        kind = {64: np.float64, 32: np.float32, 16: np.float16}[compute]
+        a, b = own.stored.astype(kind), other.stored.astype(kind)
+        self.square = _gram(a, b)
+        self.norm_a, self.norm_b = (np.sqrt(np.einsum("ij,ij->i", s, s, dtype=np.float64)) for s in (own.stored.astype(np.float32), other.stored.astype(np.float32)))
+        self.left_a, self.left_b = own.residual * (1 + 1e-9), other.residual * (1 + 1e-9)
+        d, f = own.stored.shape[1], FloatFormat(compute)
+        self.rate, self.floor = gamma(d + 3, f.eps) * (1 + 1e-6), (8 * d + 8) * f.tiny
+        # Largest errors of a row of the own block with any row of the other.
+        self.row_err = (self.norm_a + self.norm_b.max(initial=0)) ** 2 * self.rate + self.floor
+        self.row_left = self.left_a + self.left_b.max(initial=0)
+
+    def not_above(self, limit: np.ndarray | float) -> tuple[np.ndarray, np.ndarray]:
+        """Pairs (a, b) that may be at a true distance of at most limit (one for all rows, or one each)."""
+        reach = (limit + self.row_left) ** 2 * (1 + 1e-9) + self.row_err
+        with np.errstate(over="ignore"):
+            cut = np.nextafter(reach.astype(self.square.dtype), np.inf, dtype=self.square.dtype)
+        return np.nonzero(self.square <= cut[:, None])
+
+    def interval(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(surely not above, surely not below) the true distances of the pairs."""
+        square = self.square[a, b].astype(np.float64)
+        err = (self.norm_a[a] + self.norm_b[b]) ** 2 * self.rate + self.floor
+        apart = self.left_a[a] + self.left_b[b]
+        return np.sqrt(np.maximum(square - err, 0)) * (1 - 1e-15) - apart, np.sqrt(np.maximum(square + err, 0)) * (1 + 1e-15) + apart
 
 
 def _exact(x: FeatureFrame, pairs: DataFrame, y: FeatureFrame | None = None, metric: str = "euclidean") -> DataFrame:
@@ -179,23 +198,29 @@ def _exact(x: FeatureFrame, pairs: DataFrame, y: FeatureFrame | None = None, met
 
 
 def _quantized_knn(x: FeatureFrame, k: int, y: FeatureFrame | None, blocks: int, precision: int, verify: bool) -> DataFrame:
-    d, apart = x.d, y is not None
+    apart = y is not None
+    top = max(x_max(x), x_max(y) if y is not None else 0.0)
+    factor = 2.0 ** -int(np.ceil(np.log2(top))) if top > 0 else 1.0  # no value exceeds 1 in the stored form
 
     def kernel(own: Block, partners: Iterator[Block]) -> Iterator[pa.RecordBatch]:
         n = len(own.ids)
         i, j, lo, hi = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0), np.zeros(0)
         for other in partners:
-            mid, low, high = _distance_interval(own, other, d, 32)
-            if not verify:
-                low = high = mid
+            low = _LowPrecision(own, other, 32)
             if not apart and other.number == own.number:
-                out = own.ids[:, None] == other.ids
-                low, high = np.where(out, np.inf, low), np.where(out, np.inf, high)
-            kk = min(k, high.shape[1]) - 1
-            cut = np.partition(high, kk, axis=1)[:, kk]
-            a, b = np.nonzero((low <= cut[:, None]) & np.isfinite(low))
+                low.square[own.ids[:, None] == other.ids] = np.inf
+            kk = min(k, low.square.shape[1]) - 1
+            nearest = np.partition(low.square, kk, axis=1)[:, kk].astype(np.float64)
+            cut = np.sqrt(np.maximum(nearest + low.row_err, 0)) + low.row_left  # not below the k-th true distance
+            a, b = low.not_above(cut) if verify else np.nonzero(low.square <= nearest.astype(np.float32)[:, None])
+            real = np.isfinite(low.square[a, b])
+            a, b = a[real], b[real]
+            if verify:
+                ends = low.interval(a, b)
+            else:
+                ends = (np.sqrt(np.maximum(low.square[a, b].astype(np.float64), 0)),) * 2
             i, j = np.concatenate((i, a)), np.concatenate((j, other.ids[b]))
-            lo, hi = np.concatenate((lo, low[a, b])), np.concatenate((hi, high[a, b]))
+            lo, hi = np.concatenate((lo, ends[0])), np.concatenate((hi, ends[1]))
             # The k-th smallest upper end over all partners so far; whoever's lower end is above it is out.
             best = _best(i, j, hi, k)
             last = np.full(n, -np.inf)
@@ -206,9 +231,9 @@ def _quantized_knn(x: FeatureFrame, k: int, y: FeatureFrame | None, blocks: int,
         if not verify:
             keep = _best(i, j, hi, k)
             i, j, lo, hi = i[keep], j[keep], lo[keep], hi[keep]
-        yield _pairs_batch(own.ids[i], j, hi)
+        yield _pairs_batch(own.ids[i], j, hi / factor)
 
-    band = run_owners(x, blocks, kernel, PAIR, bits=precision, y=y)
+    band = run_owners(x, blocks, kernel, PAIR, bits=precision, y=y, factor=factor)
     return _ranked(_exact(x, band.select("i", "j"), y) if verify else band, k)
 
 
@@ -242,23 +267,33 @@ def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64,
                 a, b = a[inside], b[inside]
                 sure = np.ones(len(a), bool)
             else:
-                mid, low, high = _distance_interval(own, other, d, compute)
+                low = _LowPrecision(own, other, compute)
                 if not verify:
-                    hit, doubt = mid <= goal, np.zeros(mid.shape, bool)
+                    a, b = np.nonzero(low.square <= np.array(goal * goal, low.square.dtype))
+                    sure = np.ones(len(a), bool)
                 elif bound == "residual":
-                    hit = high <= goal
-                    doubt = ~hit & (low <= goal)
+                    a, b = low.not_above(goal)
+                    lower, upper = low.interval(a, b)
+                    keep = lower <= goal
+                    a, b, sure = a[keep], b[keep], upper[keep] <= goal
                 else:
-                    e = err
                     if bound == "rowwise":
-                        na, nb = (np.sqrt((s.astype(np.float64) ** 2).sum(1)) + blk.residual for s, blk in ((own.stored, own), (other.stored, other)))
-                        e = rowwise_bound(na, nb, d, reach, compute, cast=False) + (na[:, None] + nb) ** 2 * gamma(2, FloatFormat(precision).eps) + (8 * d * reach + 4 * d) * FloatFormat(precision).tiny
-                    square = mid * mid
+                        na, nb = low.norm_a + own.residual, low.norm_b + other.residual
+                        top_e = rowwise_bound(na, nb.max(initial=0)[None], d, reach, compute, cast=False)[:, 0] + (na + nb.max(initial=0)) ** 2 * gamma(2, FloatFormat(precision).eps) + (8 * d * reach + 4 * d) * FloatFormat(precision).tiny
+                    else:
+                        top_e = np.full(len(own.ids), err)
+                    with np.errstate(over="ignore"):
+                        cut = np.nextafter((goal * goal * (1 + 1e-9) + top_e).astype(low.square.dtype), np.inf, dtype=low.square.dtype)
+                    a, b = np.nonzero(low.square <= cut[:, None])
+                    square, e = low.square[a, b].astype(np.float64), err
+                    if bound == "rowwise":
+                        m = 1 + depth(d, "sequential") + 2
+                        g = (gamma(m, FloatFormat(compute).eps) + gamma(m, 2.0**-53)) * (1 + 1e-9)
+                        e = (na[a] + nb[b]) ** 2 * (g + gamma(2, FloatFormat(precision).eps)) + (8 * d * reach + 4 * d + 3) * FloatFormat(compute).tiny + (8 * d * reach + 4 * d) * FloatFormat(precision).tiny
                     e = e + 1e-15 * square
-                    hit = square <= goal * goal - e
-                    doubt = ~hit & (square <= goal * goal + e)
-                a, b = np.nonzero(hit | doubt)
-                sure = hit[a, b]
+                    keep = square <= goal * goal + e
+                    sure = square[keep] <= goal * goal - (e if np.isscalar(e) else e[keep])
+                    a, b = a[keep], b[keep]
             i, j = own.ids[a], other.ids[b]
             if same and not include_self:
                 keep = i != j

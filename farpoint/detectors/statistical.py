@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from farpoint.model import FeatureFrame
-from farpoint.operators.basic import bin_of, covariance, edges_of, eigh_sorted, feature_sample, histogram, stats
+from farpoint.operators.basic import covariance, edges_of, eigh_sorted, feature_sample, histogram, stats
 from farpoint.operators.ecdf import with_ranks
 
 
@@ -48,10 +48,12 @@ class HistogramModel:
         if len(b) < 2 or b[-1] == b[0]:
             return F.when(F.col(f) == b[0], 0.0).otherwise(-math.log(self.alpha) if self.alpha else float("inf"))
         n, step = len(b) - 1, (b[-1] - b[0]) / (len(b) - 1)
-        raw = bin_of(F.col(f), b, self.kind)
-        near = F.when((raw == -1) & (F.col(f) >= b[0] - self.tol * step), 0).when((raw == n) & (F.col(f) <= b[-1] + self.tol * step), n - 1).otherwise(raw)
         value = [-math.log(v + self.alpha) if v + self.alpha > 0 else float("inf") for v in [*h, 0.0]]
-        return F.element_at(F.array(*map(F.lit, value)), F.when((near < 0) | (near >= n), n + 1).otherwise(near + 1).cast("int"))
+        c = F.col(f)
+        inner = F.floor((c - b[0]) / step) if self.kind == "width" else F.size(F.filter(F.array(*map(F.lit, b[1:])), lambda e: e <= c))
+        at = F.greatest(F.least(inner, F.lit(n - 1)), F.lit(0)) + 1
+        far = (c < b[0] - self.tol * step) | (c > b[-1] + self.tol * step)
+        return F.when(far, value[n]).otherwise(F.element_at(F.array(*map(F.lit, value)), at.cast("int")))
 
 
 @dataclass(frozen=True)

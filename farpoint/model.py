@@ -59,6 +59,12 @@ class FeatureFrame:
         """(ids..., feature, value)."""
         return self.unpack().df.unpivot(list(self.ids), list(self.features), "feature", "value")
 
+    def staged(self, name: str = "features") -> FeatureFrame:
+        """Written once to the shared folder: for frames that are costly to assemble and read by several aggregates."""
+        from farpoint.session import stage
+
+        return replace(self, df=stage(self.df, name))
+
     def select(self, features: list[str]) -> FeatureFrame:
         if self.is_packed:
             at = [self.features.index(f) for f in features]

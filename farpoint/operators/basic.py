@@ -97,11 +97,20 @@ def bin_of(c: Column, borders: list[float], kind: str = "width") -> Column:
     return F.when(c < borders[0], -1).when(c > borders[-1], n).otherwise(inner)
 
 
-def histogram(x: FeatureFrame, bins: int | str = 10, kind: str = "width", borders: dict[str, list[float]] | None = None) -> DataFrame:
-    """(feature, bin, lo, hi, count), empty bins included. One aggregation over (feature, bin), combined before the shuffle."""
+def _checked_bin(c: Column, borders: list[float], kind: str) -> Column:
+    """The bin of the 32-bit value where both ends of its rounding interval share it, else that of the full value."""
+    low = c.cast("float").cast("double")
+    err = F.abs(low) * 2.0**-24 * (1 + 2.0**-20) + 2.0**-149
+    a, b = bin_of(low - err, borders, kind), bin_of(low + err, borders, kind)
+    return F.when(a == b, a).otherwise(bin_of(c, borders, kind))
+
+
+def histogram(x: FeatureFrame, bins: int | str = 10, kind: str = "width", borders: dict[str, list[float]] | None = None, precision: int = 64) -> DataFrame:
+    """(feature, bin, lo, hi, count), empty bins included. One aggregation over (feature, bin), combined before the shuffle. precision 32 bins rounded values and looks again at those near a border."""
     w = x.unpack()
     borders = borders or edges_of(w, bins, kind)
-    cells = F.explode(F.array(*(F.struct(F.lit(f).alias("feature"), bin_of(F.col(f), borders[f], kind).cast("int").alias("bin")) for f in w.features)))
+    placed = bin_of if precision == 64 else _checked_bin
+    cells = F.explode(F.array(*(F.struct(F.lit(f).alias("feature"), placed(F.col(f), borders[f], kind).cast("int").alias("bin")) for f in w.features)))
     counts = w.df.select(cells.alias("c")).select("c.feature", "c.bin").groupBy("feature", "bin").agg(F.count("*").alias("count"))
     ranges = [(f, k, float(b[k]), float(b[k + 1])) for f, b in borders.items() for k in range(max(1, len(b) - 1))]
     frame = w.df.sparkSession.createDataFrame([r if len(borders[r[0]]) > 1 else (*r[:2], borders[r[0]][0], borders[r[0]][0]) for r in ranges], "feature string, bin int, lo double, hi double")

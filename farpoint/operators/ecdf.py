@@ -6,6 +6,8 @@ inside each range by a window, and shifted by the ranges' totals. The quantiles
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -15,34 +17,44 @@ from farpoint.model import FeatureFrame
 RANGES = 64
 
 
+#: Distinct values (estimated, within a few hundredths) up to which a feature's CDF is broadcast.
+FEW = 10_000
+
+
+def _plan(w: FeatureFrame, ranges: int) -> dict[str, tuple[list[float], int]]:
+    """Range borders and estimated distinct values of every feature: one aggregate, at most ``ranges`` numbers a feature."""
+    row = w.df.agg(*(c for f in w.features for c in (F.percentile_approx(f, [k / ranges for k in range(1, ranges)], 1000).alias(f"c_{f}"), F.approx_count_distinct(f).alias(f"n_{f}")))).first()
+    return {f: (sorted(set(row[f"c_{f}"] or [])), row[f"n_{f}"] or 0) for f in w.features}
+
+
+def _ranks(w: FeatureFrame, f: str, borders: list[float]) -> DataFrame:
+    """(value, f_left, f_right) of one feature's distinct values."""
+    counts = w.df.groupBy(F.col(f).alias("value")).agg(F.count("*").alias("c"))
+    dealt = counts.withColumn("range", F.size(F.filter(F.array(*map(F.lit, borders)), lambda b: b < F.col("value"))) if borders else F.lit(0))
+    inside = dealt.withColumn("upto", F.sum("c").over(Window.partitionBy("range").orderBy("value")))
+    totals = dealt.groupBy(F.col("range").alias("t_range")).agg(F.sum("c").alias("t"))  # at most `ranges` rows
+    one = Window.partitionBy(F.lit(0)).orderBy("t_range")
+    totals = totals.select("t_range", (F.sum("t").over(one) - F.col("t")).alias("before"), F.sum("t").over(Window.partitionBy(F.lit(0))).alias("n"))
+    upto = F.col("before") + F.col("upto")
+    placed = inside.join(F.broadcast(totals), F.col("range") == F.col("t_range"))
+    return placed.select("value", (upto / F.col("n")).alias("f_left"), ((F.col("n") - upto + F.col("c")) / F.col("n")).alias("f_right"))
+
+
 def value_ranks(x: FeatureFrame, ranges: int = RANGES) -> DataFrame:
     """(feature, value, f_left, f_right) of every distinct value: shares of rows not above and not below it."""
     w = x.unpack()
-    counts = w.long().groupBy("feature", "value").agg(F.count("*").alias("c"))
-    cuts = w.df.agg(*(F.percentile_approx(f, [k / ranges for k in range(1, ranges)], 1000).alias(f) for f in w.features)).first()
-    pick = F.lit(None).cast("array<double>")
-    for f in w.features:
-        borders = sorted(set(cuts[f] or []))
-        pick = F.when(F.col("feature") == f, F.array(*map(F.lit, borders)) if borders else F.array().cast("array<double>")).otherwise(pick)
-    dealt = counts.withColumn("range", F.size(F.filter(pick, lambda b: b < F.col("value"))))
-    running = F.sum("c").over(Window.partitionBy("feature", "range").orderBy("value"))
-    inside = dealt.withColumn("upto", running)
-    totals = dealt.groupBy(F.col("feature").alias("t_feature"), F.col("range").alias("t_range")).agg(F.sum("c").alias("t"))
-    over = Window.partitionBy("t_feature").orderBy("t_range")
-    totals = totals.select("t_feature", "t_range", (F.sum("t").over(over) - F.col("t")).alias("before"), F.sum("t").over(Window.partitionBy("t_feature")).alias("n"))  # at most `ranges` rows a feature
-    placed = inside.join(F.broadcast(totals), (F.col("feature") == F.col("t_feature")) & (F.col("range") == F.col("t_range")))
-    upto = F.col("before") + F.col("upto")
-    return placed.select("feature", "value", (upto / F.col("n")).alias("f_left"), ((F.col("n") - upto + F.col("c")) / F.col("n")).alias("f_right"))
+    plan = _plan(w, ranges)
+    return reduce(DataFrame.unionByName, (_ranks(w, f, plan[f][0]).select(F.lit(f).alias("feature"), "value", "f_left", "f_right") for f in w.features))
 
 
-def with_ranks(x: FeatureFrame) -> DataFrame:
-    """x's wide rows plus l_<feature> and r_<feature>. One join for each feature; few distinct values become a broadcast at run time."""
+def with_ranks(x: FeatureFrame, ranges: int = RANGES) -> DataFrame:
+    """x's wide rows plus l_<feature> and r_<feature>. Rows move only for features of many distinct values; the CDF of the others is broadcast."""
     w = x.unpack()
-    ranks = value_ranks(w)
-    out = w.df
+    plan, out = _plan(w, ranges), w.df
     for f in w.features:
-        one = ranks.where(F.col("feature") == f).select(F.col("value").alias(f"v_{f}"), F.col("f_left").alias(f"l_{f}"), F.col("f_right").alias(f"r_{f}"))
-        out = out.join(one, F.col(f) == F.col(f"v_{f}")).drop(f"v_{f}")
+        borders, distinct = plan[f]
+        one = _ranks(w, f, borders).select(F.col("value").alias(f"v_{f}"), F.col("f_left").alias(f"l_{f}"), F.col("f_right").alias(f"r_{f}"))
+        out = out.join(F.broadcast(one) if distinct <= FEW else one, F.col(f) == F.col(f"v_{f}")).drop(f"v_{f}")
     return out
 
 

@@ -15,7 +15,7 @@ from farpoint.model import FeatureFrame
 from farpoint.queries.base import CUSTOMER_FEATURES, CUSTOMERS, CUSTOMERS_SCALED, DOCUMENT_FEATURES, DOCUMENTS, EVENTS, LINE_KEYS, LINES, ORDERS, VECTORS, cdf_sql, edges_sql, knn_sql, register, rounded, side_sums
 from farpoint.queries.operators import LINE_FEATURES, customers_scaled
 from farpoint.quantize.bounds import distance_bound, gamma
-from farpoint.session import table
+from farpoint.session import stage, table
 
 _lines = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice"]
 
@@ -146,7 +146,7 @@ _cop = f"{_cust_tails} select c_custkey, round({side_sums(CUSTOMER_FEATURES)}, 6
 
 
 def _two_detectors(s, d):
-    x = X.customer_behaviour(s, d)
+    x = X.customer_behaviour(s, d).staged()
     return rounded(S.HistogramDetector(10).fit_score(x), "score"), rounded(S.CopulaDetector().fit_score(x), "score")
 
 
@@ -174,9 +174,9 @@ register("detector_agreement", _agree, f"with a as (select c_custkey from ({_his
 
 # Measures: copula score of text statistics against the labels
 def judged(s, d, scores=None):
-    scores = scores if scores is not None else S.CopulaDetector().fit_score(X.document_stats(s, d))
+    scores = scores if scores is not None else S.CopulaDetector().fit_score(X.document_stats(s, d).staged())
     truth = table(s, d, "labels", "doc_id", "quality")
-    return rounded(scores, "score").join(truth, "doc_id").select("doc_id", "score", (F.col("quality") == 0).alias("truth"))
+    return stage(rounded(scores, "score").join(truth, "doc_id").select("doc_id", "score", (F.col("quality") == 0).alias("truth")), "judged")
 
 
 _judged = f"with {cdf_sql(DOCUMENTS, 'doc_id', DOCUMENT_FEATURES)}, j as (select doc_id, round({side_sums(DOCUMENT_FEATURES)}, 6) + 0.0 as score, quality = 0 as truth from t join labels using (doc_id))"

@@ -54,6 +54,7 @@ register("intersect_lists", _shared, f"with {knn_sql(VECTORS, 10)}, l as (select
 # Histograms
 _bins = lambda view, f, n: f"select '{f}' as feature, cast(bin as int) as bin, round(lo + bin * w, 6) + 0.0 as lo, round(lo + (bin + 1) * w, 6) + 0.0 as hi, count(value) as count from (select min({f}) as lo, (max({f}) - min({f})) / {n} as w from ({view})) r cross join (select unnest(range(0, cast({n} as bigint))) as bin) b left join (select {f} as value, least(floor(({f} - (select min({f}) from ({view}))) / (select (max({f}) - min({f})) / {n} from ({view}))), {n} - 1) as vb from ({view})) v on v.vb = b.bin group by all"
 register("histogram_width", lambda s, d: rounded(O.histogram(X.line_measures(s, d), 10), "lo", "hi"), " union all ".join(_bins(LINES, f, 10) for f in LINE_FEATURES))
+register("histogram_quantized32", lambda s, d: rounded(O.histogram(X.line_measures(s, d), 10, precision=32), "lo", "hi"), " union all ".join(_bins(LINES, f, 10) for f in LINE_FEATURES))
 register("histogram_sqrt_bins", lambda s, d: rounded(O.histogram(X.order_prices(s, d), "sqrt"), "lo", "hi"), " union all ".join(_bins(ORDERS, f, "(select ceil(sqrt(count(*))) from orders)") for f in ("price", "days")))
 _fd = lambda f: f"(select ceil((max({f}) - min({f})) / (2 * (quantile_cont({f}, 0.75) - quantile_cont({f}, 0.25)) / pow(count(*), 1.0 / 3))) from ({ORDERS}))"
 register("histogram_fd_bins", lambda s, d: rounded(O.histogram(X.order_prices(s, d), "fd"), "lo", "hi"), " union all ".join(_bins(ORDERS, f, _fd(f)) for f in ("price", "days")))
