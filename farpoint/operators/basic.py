@@ -66,8 +66,11 @@ def row_norms(x: FeatureFrame) -> DataFrame:
 
 def edges_of(x: FeatureFrame, bins: int | str = 10, kind: str = "width") -> dict[str, list[float]]:
     """Bin borders of every feature. bins: a number, 'sqrt' (of the rows) or 'fd' (width from the quartile range and the cube root of the rows). Equal borders of 'frequency' bins are merged."""
-    w, s = x.unpack(), stats(x)
-    n = next(iter(s.values()))["n"] if s else 0
+    w = x.unpack()
+    row = w.df.agg(F.count("*").alias("n"), *(c for f in w.features for c in (F.min(f).alias(f"lo_{f}"), F.max(f).alias(f"hi_{f}")))).first()
+    n, s = row["n"], {f: {"min": row[f"lo_{f}"], "max": row[f"hi_{f}"]} for f in w.features}
+    if not n:
+        return {f: [0.0, 0.0] for f in w.features}
     count = dict.fromkeys(w.features, bins if isinstance(bins, int) else max(1, math.ceil(math.sqrt(n))))
     if bins == "fd":
         q = w.df.agg(*(F.percentile(f, F.array(F.lit(0.25), F.lit(0.75))).alias(f) for f in w.features)).first()
@@ -81,7 +84,7 @@ def edges_of(x: FeatureFrame, bins: int | str = 10, kind: str = "width") -> dict
     out = {}
     for f in w.features:
         lo, hi = s[f]["min"], s[f]["max"]
-        out[f] = [lo + k * ((hi - lo) / count[f]) for k in range(count[f] + 1)] if hi > lo else [lo, lo]
+        out[f] = [*(lo + k * ((hi - lo) / count[f]) for k in range(count[f])), hi] if hi > lo else [lo, lo]  # the last border is the maximum itself
     return out
 
 
@@ -110,8 +113,11 @@ def histogram(x: FeatureFrame, bins: int | str = 10, kind: str = "width", border
     w = x.unpack()
     borders = borders or edges_of(w, bins, kind)
     placed = bin_of if precision == 64 else _checked_bin
-    cells = F.explode(F.array(*(F.struct(F.lit(f).alias("feature"), placed(F.col(f), borders[f], kind).cast("int").alias("bin")) for f in w.features)))
-    counts = w.df.select(cells.alias("c")).select("c.feature", "c.bin").groupBy("feature", "bin").agg(F.count("*").alias("count"))
+    # One small integer for each cell of (feature, bin): bins outside the borders are -1 and the number of bins.
+    wide = max(len(b) for b in borders.values()) + 2
+    cells = F.explode(F.array(*((placed(F.col(f), borders[f], kind) + (i * wide + 1)).cast("int") for i, f in enumerate(w.features))))
+    named = F.element_at(F.array(*map(F.lit, w.features)), (F.floor(F.col("cell") / wide) + 1).cast("int"))
+    counts = w.df.select(cells.alias("cell")).groupBy("cell").agg(F.count("*").alias("count")).select(named.alias("feature"), (F.pmod("cell", F.lit(wide)) - 1).cast("int").alias("bin"), "count")
     ranges = [(f, k, float(b[k]), float(b[k + 1])) for f, b in borders.items() for k in range(max(1, len(b) - 1))]
     frame = w.df.sparkSession.createDataFrame([r if len(borders[r[0]]) > 1 else (*r[:2], borders[r[0]][0], borders[r[0]][0]) for r in ranges], "feature string, bin int, lo double, hi double")
     return frame.join(counts, ["feature", "bin"], "left").select("feature", "bin", "lo", "hi", F.coalesce("count", F.lit(0)).alias("count"))

@@ -145,6 +145,12 @@ def test_histograms_and_constants(spark):
     assert sum(r["count"] for r in f.collect()) == 6
 
 
+def test_many_features_and_the_largest_value(spark):
+    m = np.random.default_rng(11).random((300, 12)) * 0.1 + 0.7
+    assert np.allclose(scores(S.HistogramDetector(10).fit_score(frame(spark, m))), B.local_score("hbos", m))
+    assert sum(r["count"] for r in O.histogram(frame(spark, m), 7).collect()) == 300 * 12
+
+
 def test_ecdf_ties(spark):
     got = {(r["id"]): (r["f_left"], r["f_right"]) for r in ecdf(frame(spark, [[1], [2], [2], [3]])).collect()}
     assert got == {0: (0.25, 1.0), 1: (0.75, 0.75), 2: (0.75, 0.75), 3: (1.0, 0.25)}
