@@ -123,6 +123,41 @@ def test_jaccard_against_brute_force(spark, monkeypatch, small):
     assert got == brute(rows)
 
 
+@pytest.mark.parametrize("depth", [3, 6, 10])
+def test_jaccard_recall_at_every_depth(depth):
+    """Share of 400,000 ideal pairs at the threshold that no run finds when every bucket is split down to depth."""
+    n, rng = 400_000, np.random.default_rng(6)
+    equal = [np.packbits(rng.random(n) < jaccard.THRESHOLD) for _ in range(jaccard.SKETCH)]
+
+    def below(run, node, level):
+        if level == depth:
+            return np.uint8(255)
+        children = [jaccard.BRANCHES * node + b for b in range(jaccard.BRANCHES)]
+        return np.bitwise_or.reduce([equal[jaccard._branch_order(run, c)] & below(run, c, level + 1) for c in children])
+
+    runs = jaccard.runs_for(jaccard.RECALL)
+    orders = [[jaccard._order(r, k) for k in range(jaccard.DEPTH)] for r in range(runs)]
+    assert len({o for x in orders for o in x}) == runs * jaccard.DEPTH
+    found = np.bitwise_or.reduce([np.bitwise_and.reduce([equal[o] for o in x]) & below(r, 1, jaccard.DEPTH) for r, x in enumerate(orders)])
+    assert 1 - np.unpackbits(found)[:n].mean() <= 1 - jaccard.RECALL
+
+
+def test_jaccard_pairs_in_a_hot_passage(spark):
+    """Pairs near the threshold inside one very large group that shares a passage: buckets are split many times and no link may go."""
+    rng = random.Random(8)
+    passage = [f"p{k}" for k in range(60)]
+    rows, pairs = [], 600
+    for i in range(pairs):
+        own = [f"o{i}x{k}" for k in range(60)]
+        other = list(own)
+        other[30] = "changed"  # 5 of 116 grams differ on this side
+        other[50] = "again"
+        rows += [(2 * i, " ".join(passage + own)), (2 * i + 1, " ".join(passage + other))]
+    rng.shuffle(rows)
+    got = jaccard.similarity_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert all(r["n_links"] == 1 and r["class_id"] == r["doc_id"] // 2 * 2 for r in got) and len(got) == 2 * pairs
+
+
 def test_jaccard_edges(spark):
     assert jaccard.similarity_classes(spark.createDataFrame([], "doc_id long, text string")).count() == 0
     kept = jaccard.keep_one(docs(spark, ODD))
