@@ -45,8 +45,8 @@ DEEPEST = 10
 #: Orders by which each set of a large bucket is split, and runs added because these orders are also those of other runs (by simulation: 18 runs
 #: miss 0.0001 of pairs at the threshold when all buckets are split to DEEPEST, 14 would miss 0.0005).
 BRANCHES, SPARE = 2, 4
-#: Tokens of one block of the exact comparison.
-BLOCK_TOKENS = 600_000
+#: Tokens of one block of the exact comparison, rows of a tile of it (bounds the dense matrices), rows of a token up to which its pairs are listed.
+BLOCK_TOKENS, TILE, RARE = 600_000, 2048, 16
 
 _R, _K = 0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93
 _MASK = (1 << 64) - 1
@@ -296,14 +296,7 @@ def _exact(members: DataFrame) -> DataFrame:
             x, y = (np.arange(len(side)),) * 2 if alone else (np.flatnonzero(side == 0), np.flatnonzero(side == 1))
             if not len(x) or not len(y) or alone and len(x) < 2:
                 continue
-            hit = similar(sets, x, y)
-            if alone:
-                np.fill_diagonal(hit, False)
-            links = np.zeros(len(side))
-            links[x] += hit @ weight[y]
-            if not alone:
-                links[y] += hit.T @ weight[x]
-            forest = [(int(x[a]), int(y[b])) for a, b in _dense_forest(hit, alone)]
+            links, forest = links_between(sets, x, y, weight)
             got = np.flatnonzero(links)
             rows = [(int(rid[i]), int(links[i]), None) for i in got] + [(int(rid[i]), None, int(rid[j])) for i, j in forest]
             if rows:
@@ -312,6 +305,25 @@ def _exact(members: DataFrame) -> DataFrame:
     return members.select("g", "side", "rid", "weight", "grams").repartition("g").sortWithinPartitions("g").mapInArrow(run, "rid long, links long, other long")
 
 
+def links_between(sets: list[np.ndarray], x: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, list[tuple[int, int]]]:
+    """Weight of every set's links between x and y (the same sets or disjoint ones) and forest edges, tile by tile."""
+    links, alone = np.zeros(len(sets)), np.array_equal(x, y)
+
+    def edges() -> Iterator[tuple[int, int]]:
+        for i in range(0, len(x), TILE):
+            for j in range(i if alone else 0, len(y), TILE):
+                left, right, square = x[i : i + TILE], y[j : j + TILE], alone and i == j
+                hit = similar(sets, left, right)
+                if square:
+                    np.fill_diagonal(hit, False)
+                links[left] += hit @ weight[right]
+                if not square:
+                    links[right] += hit.T @ weight[left]
+                yield from ((int(left[a]), int(right[b])) for a, b in _dense_forest(hit, square))
+
+    return links, _forest(len(sets), edges())
+
+
 def similar(sets: list[np.ndarray], x: np.ndarray, y: np.ndarray, threshold: float = THRESHOLD) -> np.ndarray:
     """Boolean len(x) by len(y): Jaccard similarity of at least threshold, exactly, from products of incidence matrices over shared tokens."""
     use = np.unique(np.concatenate([x, y]))
@@ -322,13 +334,21 @@ def similar(sets: list[np.ndarray], x: np.ndarray, y: np.ndarray, threshold: flo
     tokens, row = tokens[order], row[order]
     new = np.concatenate(([True], tokens[1:] != tokens[:-1]))
     column = np.cumsum(new) - 1
-    shared = np.bincount(column)[column] > 1
-    column, row = np.unique(column[shared], return_inverse=True)[1], row[shared]
+    held = np.bincount(column)[column]
     at_x, at_y = np.full(len(sets), -1), np.full(len(sets), -1)
     at_x[x], at_y[y] = np.arange(len(x)), np.arange(len(y))
     both = np.zeros((len(x), len(y)), np.float32)
-    width = 1024
-    for lo in range(0, int(column[-1]) + 1 if len(column) else 0, width):
+    rare = (held > 1) & (held <= RARE)
+    c, r = column[rare], row[rare]
+    for step in range(1, RARE):  # tokens of few sets: pairs one by one
+        a, b = r[:-step][c[:-step] == c[step:]], r[step:][c[:-step] == c[step:]]
+        for a, b in ((a, b), (b, a)):
+            ok = (at_x[a] >= 0) & (at_y[b] >= 0)
+            np.add.at(both, (at_x[a[ok]], at_y[b[ok]]), 1)
+    column, row = np.unique(column[held > RARE], return_inverse=True)[1], row[held > RARE]
+    columns = int(column[-1]) + 1 if len(column) else 0
+    width = min(1024, columns)
+    for lo in range(0, columns, max(width, 1)):
         a, z = np.searchsorted(column, [lo, lo + width])
         c, r = column[a:z] - lo, row[a:z]
         left, right = np.zeros((len(x), width), np.float32), np.zeros((len(y), width), np.float32)

@@ -158,6 +158,30 @@ def test_jaccard_pairs_in_a_hot_passage(spark):
     assert all(r["n_links"] == 1 and r["class_id"] == r["doc_id"] // 2 * 2 for r in got) and len(got) == 2 * pairs
 
 
+def test_jaccard_exact_memory_is_bounded_by_tiles():
+    """Many short sets in one block: counts and forest equal brute force, and no matrix of all rows is made."""
+    import tracemalloc
+
+    rng = np.random.default_rng(9)
+    sets = [np.unique(np.concatenate([np.arange(16), 100 + rng.integers(0, 40, 5)])).astype(np.uint64) for _ in range(6000)]
+    has = np.zeros((6000, 140), np.float32)
+    for k, s in enumerate(sets):
+        has[k, s.astype(int)] = 1
+    size, rows, weight = has.sum(axis=1), np.arange(6000), rng.integers(1, 4, 6000).astype(float)
+    tracemalloc.start()
+    links, forest = jaccard.links_between(sets, rows, rows, weight)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 150e6  # 6000 x 6000 in single precision alone is 144 MB
+    common = has @ has.T
+    hit = common >= 0.8 * (size[:, None] + size - common) - 1e-5
+    np.fill_diagonal(hit, False)
+    assert (links == hit @ weight).all() and all(hit[a, b] for a, b in forest)
+    assert len(jaccard._dense_forest(hit, True)) == len(forest)
+    half = jaccard.links_between(sets, rows[:2500], rows[2500:], weight)[0]
+    assert (half[:2500] == hit[:2500, 2500:] @ weight[2500:]).all() and (half[2500:] == hit[2500:, :2500] @ weight[:2500]).all()
+
+
 def test_jaccard_edges(spark):
     assert jaccard.similarity_classes(spark.createDataFrame([], "doc_id long, text string")).count() == 0
     kept = jaccard.keep_one(docs(spark, ODD))
