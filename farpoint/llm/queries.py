@@ -19,7 +19,7 @@ def tokenizer_path(name: str) -> str:
 
 def op1_warc_bundles(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder, index = warc.write_archive(table(spark, sf_dir, "pages", "page_id", "url", "html"))
-    back = warc.read_archive(spark, folder, index)
+    back = warc.read_archive(spark, folder, index, null_id=None)
     return back.select(F.col("record_id").cast("long").alias("page_id"), "payload_bytes", "payload_digest", "record_type", F.col("refers_to").cast("long").alias("refers_to"))
 
 

@@ -37,6 +37,7 @@ from farpoint.session import fresh_path, ship
 SKIPPABLE, SEEKABLE = 0x184D2A5E, 0x8F92EAB1
 #: A bundle is closed at so many compressed bytes.
 BUNDLE_BYTES = 8 << 20
+NO_KEY = "<urn:null-record>"
 DATE = "2024-01-01T00:00:00Z"
 INDEX = "record_id {kind}, bundle string, frame int, offset long, size long"
 
@@ -64,7 +65,8 @@ def read_seek_table(bundle: bytes) -> list[tuple[int, int, int]]:
 
 
 def identifier(key) -> str:
-    return f"<urn:record:{key}>" if key is not None else "<urn:record:null>"
+    """A null key has an identifier that no other key can spell."""
+    return f"<urn:record:{key}>" if key is not None else NO_KEY
 
 
 def record(key, url: str | None, payload: bytes, n: int, digest: str, refers_to) -> bytes:
@@ -169,8 +171,8 @@ def write_archive(pages: DataFrame, folder: str | None = None, key: str = "page_
     return folder, spark.read.schema(T.StructType.fromDDL(INDEX.format(kind=kind.simpleString()))).parquet(f"{folder}/index")
 
 
-def read_archive(spark, folder: str, index: DataFrame, as_files: bool = True) -> DataFrame:
-    """Every record that the index names, read back through the seek tables: record_id as text, record_type, refers_to as text, payload_bytes, payload_digest, payload, url."""
+def read_archive(spark, folder: str, index: DataFrame, as_files: bool = True, null_id: str | None = "null") -> DataFrame:
+    """Every record that the index names, read back through the seek tables: record_id as text (null_id for a null one), record_type, refers_to as text, payload_bytes, payload_digest, payload, url."""
     ship(spark)
     if as_files:
         named = index.select("bundle").distinct()
@@ -186,7 +188,7 @@ def read_archive(spark, folder: str, index: DataFrame, as_files: bool = True) ->
 
         zstd = zstandard.ZstdDecompressor()
         files, root = fs.FileSystem.from_uri(f"{folder}/bundles") if as_files else (None, None)
-        bare = lambda x: None if x is None else x[len("<urn:record:") : -1]
+        bare = lambda x: None if x is None else null_id if x == NO_KEY else x[len("<urn:record:") : -1]
         for b in batches:
             for body in b.column(0):
                 if as_files:

@@ -43,6 +43,19 @@ def test_warc_round_trip(spark, tmp_path):
     assert warc.read_archive(spark, empty, none).count() == 0
 
 
+def test_warc_query_keeps_a_null_page_id(spark, tmp_path):
+    from farpoint.llm import queries
+
+    big = "<p>" + "x" * 1200
+    rows = [(1, "u", big), (None, "v", big), (None, "w", "small"), (2, None, None)]
+    spark.createDataFrame(rows, "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    got = {(r["page_id"], r["payload_bytes"], r["record_type"], r["refers_to"]) for r in queries.op1_warc_bundles(spark, str(tmp_path)).collect()}
+    assert got == {(1, 1203, "response", None), (None, 1203, "revisit", 1), (None, 5, "response", None), (2, 0, "response", None)}
+    texts = spark.createDataFrame([("null", "u", "a"), (None, "u", "b")], "page_id string, url string, html string")
+    back = warc.read_archive(spark, *warc.write_archive(texts, f"file://{tmp_path}/t"), null_id=None).collect()
+    assert {(r["record_id"], bytes(r["payload"])) for r in back} == {("null", b"a"), (None, b"b")}
+
+
 def test_seek_table_is_a_skippable_frame():
     import zstandard
 
