@@ -6,6 +6,7 @@ order, as Spark's own ``aggregate`` does it, so all forms give the same bits and
 
 from __future__ import annotations
 
+import time
 from collections.abc import Iterator
 
 import numpy as np
@@ -16,8 +17,9 @@ from pyspark.sql.window import Window
 
 from farpoint.model import FeatureFrame
 from farpoint.operators.basic import x_max
-from farpoint.plans.blocks import Block, check_budget, run_owners
+from farpoint.plans.blocks import Block, blocks_for, check_budget, plan_slices, run_owners
 from farpoint.quantize.bounds import FloatFormat, depth, distance_bound, gamma, rowwise_bound
+from farpoint.session import stage
 
 PAIR = "i long, j long, dist double"
 
@@ -52,12 +54,41 @@ def canonical(x: np.ndarray, y: np.ndarray, a: np.ndarray, b: np.ndarray, metric
 
 
 def _all_pairs(x: np.ndarray, y: np.ndarray, metric: str) -> np.ndarray:
-    a, b = np.divmod(np.arange(len(x) * len(y)), len(y))
-    return canonical(x, y, a, b, metric).reshape(len(x), len(y))
+    """canonical() of every row of x with every row of y."""
+    out = np.zeros((len(x), len(y)))
+    if metric == "cosine":
+        nx, ny = np.zeros(len(x)), np.zeros(len(y))
+        for k in range(x.shape[1]):
+            nx += x[:, k] * x[:, k]
+            ny += y[:, k] * y[:, k]
+            out += np.multiply.outer(x[:, k], y[:, k])
+        size = np.multiply.outer(np.sqrt(nx), np.sqrt(ny))
+        return 1 - np.divide(out, size, out=np.zeros_like(out), where=size > 0)
+    for k in range(x.shape[1]):
+        diff = np.subtract.outer(x[:, k], y[:, k])
+        out += np.abs(diff) if metric == "manhattan" else diff * diff
+    return np.sqrt(out) if metric == "euclidean" else out
 
 
 def _gram(x: np.ndarray, y: np.ndarray) -> np.ndarray:
-    return (x * x).sum(1)[:, None] + (y * y).sum(1) - 2 * (x @ y.T)
+    """Squared distances by norms and inner products; in place, so that one tile is all the memory it takes."""
+    out = x @ (y.T * np.array(-2, y.dtype))
+    out += (x * x).sum(1)[:, None]
+    out += (y * y).sum(1)
+    return out
+
+
+def _centred(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Squared distances of doubles by _gram around the mean of x, and for each row of x a bound of their difference from what canonical() gives.
+
+    A subtraction errs by eps of its result, an inner product by the depth of its sum times the product of the norms: all of it is in
+    proportion to the square of the two centred norms, and centring keeps these small wherever the points lie.
+    """
+    c = x.mean(0) if len(x) else 0.0
+    a, b = x - c, y - c
+    norm = lambda m: np.sqrt(np.einsum("ij,ij->i", m, m))
+    reach = norm(a) + norm(b).max(initial=0)
+    return _gram(a, b), reach * reach * (gamma(3 * x.shape[1] + 16, 2.0**-53) * (1 + 1e-6))
 
 
 def _pairs_batch(i, j, dist) -> pa.RecordBatch:
@@ -78,13 +109,11 @@ def pairwise_distance(x: FeatureFrame, metric: str = "sqeuclidean", include_self
 
     def kernel(own: Block, partners: Iterator[Block]) -> Iterator[pa.RecordBatch]:
         for other in partners:
-            a, b = np.divmod(np.arange(len(own.ids) * len(other.ids)), len(other.ids))
-            if not include_self and not apart:
-                keep = own.ids[a] != other.ids[b]
-                a, b = a[keep], b[keep]
-            for at in range(0, len(a), 1 << 18):
-                s = slice(at, at + (1 << 18))
-                yield _pairs_batch(own.ids[a[s]], other.ids[b[s]], canonical(own.stored, other.stored, a[s], b[s], metric))
+            for u in own.tiles():
+                for v in other.tiles():
+                    i, j, dist = np.repeat(u.ids, len(v.ids)), np.tile(v.ids, len(u.ids)), _all_pairs(u.stored, v.stored, metric).ravel()
+                    keep = slice(None) if include_self or apart else i != j
+                    yield _pairs_batch(i[keep], j[keep], dist[keep])
 
     return run_owners(x, blocks, kernel, PAIR, y=y)
 
@@ -96,66 +125,108 @@ def _best(i: np.ndarray, j: np.ndarray, dist: np.ndarray, k: int) -> np.ndarray:
     return order[np.arange(len(s)) - np.searchsorted(s, s) < k]
 
 
+class _Nearest:
+    """Running k nearest of n rows by (distance, id); reach is each row's k-th distance so far, infinite while there are fewer."""
+
+    def __init__(self, n: int, k: int):
+        self.n, self.k = n, k
+        self.row, self.id, self.dist = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+        self.reach = np.full(n, np.inf)
+
+    def add(self, row: np.ndarray, ids: np.ndarray, dist: np.ndarray) -> None:
+        row, ids, dist = np.concatenate((self.row, row)), np.concatenate((self.id, ids)), np.concatenate((self.dist, dist))
+        keep = _best(row, ids, dist, self.k)
+        self.row, self.id, self.dist = row[keep], ids[keep], dist[keep]
+        last = np.full(self.n, np.inf)
+        last[self.row] = self.dist  # rows are sorted by distance: the last entry stays
+        self.reach = np.where(np.bincount(self.row, minlength=self.n) >= self.k, last, np.inf)
+
+    def candidates(self, near: np.ndarray, slack: np.ndarray, square: bool) -> tuple[np.ndarray, np.ndarray]:
+        """Pairs of a tile that may be among the k nearest: within the reach, or within the tile's own k-th value while there is none."""
+        cut = self.reach * self.reach if square else self.reach.copy()
+        fresh = np.flatnonzero(~np.isfinite(cut))
+        if len(fresh):
+            at = min(self.k, near.shape[1]) - 1
+            cut[fresh] = np.partition(near[fresh], at, axis=1)[:, at]
+        a, b = np.nonzero(near <= (cut + 2 * slack)[:, None])
+        real = np.isfinite(near[a, b])
+        return a[real], b[real]
+
+
+def _meet(u: Block, v: Block, same: bool, metric: str) -> tuple[np.ndarray, np.ndarray]:
+    """A tile of distances (squared for euclidean) with a bound of its rows' errors; a row and itself are infinitely far."""
+    near, slack = _centred(u.stored, v.stored) if metric == "euclidean" else (_all_pairs(u.stored, v.stored, metric), np.zeros(len(u.ids)))
+    if same:
+        near[u.ids[:, None] == v.ids] = np.inf
+    return near, slack
+
+
 def _ranked(edges: DataFrame, k: int) -> DataFrame:
     w = Window.partitionBy("i").orderBy("dist", "j")
     return edges.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("i", "j", "rank", "dist")
 
 
-def knn(x: FeatureFrame, k: int, y: FeatureFrame | None = None, mode: str = "fused", blocks: int = 4, metric: str = "euclidean", precision: int = 64, verify: bool = True, budget: int = 4 << 30, clock=None) -> DataFrame:
+def _batches(x: FeatureFrame, blocks: int | None, y: FeatureFrame | None = None, bits: int = 64, symmetric: bool = False) -> tuple[int, int]:
+    """(blocks, slices): planned from rows, width, format and task memory; a given number of blocks overrides."""
+    b = blocks or blocks_for(x, y, bits)
+    return b, plan_slices(b, x.df.sparkSession.sparkContext.defaultParallelism, symmetric) if b > 1 else 1
+
+
+def knn(x: FeatureFrame, k: int, y: FeatureFrame | None = None, mode: str = "fused", blocks: int | None = None, metric: str = "euclidean", precision: int = 64, verify: bool = True, budget: int = 4 << 30, clock=None) -> DataFrame:
     """(i, j, rank, dist): the k nearest rows of y (default: the other rows of x) of each row of x, ties to the smaller id.
 
-    'direct': every pair at once, refused beyond the budget. 'concat': all distances by blocks, then top-k. 'fused': each owner keeps only its
+    'direct': every pair at once, refused beyond the budget. 'concat': all distances by blocks, then top-k. 'fused': each subtask keeps only its
     running k best, so n * k rows leave the kernels. precision 32 or 16 keeps, in low precision, all that may be among the
-    k nearest and ranks these exactly; verify=False trusts the low-precision order.
+    k nearest and ranks these exactly; verify=False trusts the low-precision order. blocks: by default planned from rows, width and task memory.
     """
     if mode == "direct":
-        check_budget(x.df.count(), x.d, budget)
+        check_budget(x.count(), x.d, budget)
         return _ranked(pairwise_distance(x, metric, y=y), k)
     if mode == "concat":
-        return _ranked(pairwise_distance(x, metric, blocks=blocks, y=y), k)
+        return _ranked(pairwise_distance(x, metric, blocks=_batches(x, blocks, y)[0], y=y), k)
     if precision != 64:
         return _quantized_knn(x, k, y, blocks, precision, verify)
-    d, apart = x.d, y is not None
+    apart, square = y is not None, metric == "euclidean"
+    blocks, slices = _batches(x, blocks, y)
 
     def kernel(own: Block, partners: Iterator[Block]) -> Iterator[pa.RecordBatch]:
-        best = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+        tiles = [(u, _Nearest(len(u.ids), k)) for u in own.tiles()]
         for other in partners:
-            near = _gram(own.stored, other.stored) if metric == "euclidean" else _all_pairs(own.stored, other.stored, metric)
-            if not apart and other.number == own.number:
-                near[own.ids[:, None] == other.ids] = np.inf
-            cut = np.partition(near, min(k, near.shape[1]) - 1, axis=1)[:, min(k, near.shape[1]) - 1]
-            slack = 1e-12 * (1 + np.abs(np.where(np.isfinite(cut), cut, 0))) * d
-            a, b = np.nonzero((near <= (cut + slack)[:, None]) & np.isfinite(near))
-            i, j, dist = (np.concatenate(p) for p in zip(best, (a, other.ids[b], canonical(own.stored, other.stored, a, b, metric))))
-            keep = _best(i, j, dist, k)
-            best = (i[keep], j[keep], dist[keep])
-        i, j, dist = best
-        place = np.arange(len(i)) - np.searchsorted(i, i) + 1
-        yield pa.RecordBatch.from_arrays([pa.array(own.ids[i]), pa.array(j), pa.array(place, pa.int32()), pa.array(dist)], names=["i", "j", "rank", "dist"])
-
-    return run_owners(x, blocks, kernel, "i long, j long, rank int, dist double", y=y, clock=clock)
-
-
-def knn_symmetric(x: FeatureFrame, k: int, blocks: int = 4) -> DataFrame:
-    """Fused, each pair of blocks met once: both sides' local k best leave the kernel and are merged."""
-    d = x.d
+            for v in other.tiles():
+                for u, best in tiles:
+                    near, slack = _meet(u, v, not apart and other.number == own.number, metric)
+                    a, b = best.candidates(near, slack, square)
+                    best.add(a, v.ids[b], canonical(u.stored, v.stored, a, b, metric))
+        for u, best in tiles:
+            place = np.arange(len(best.row)) - np.searchsorted(best.row, best.row) + 1
+            yield pa.RecordBatch.from_arrays([pa.array(u.ids[best.row]), pa.array(best.id), pa.array(place, pa.int32()), pa.array(best.dist)], names=["i", "j", "rank", "dist"])
+
+    found = run_owners(x, blocks, kernel, "i long, j long, rank int, dist double", y=y, clock=clock, slices=slices)
+    return found if slices == 1 else _ranked(found, k)
+
+
+def knn_symmetric(x: FeatureFrame, k: int, blocks: int | None = None) -> DataFrame:
+    """Fused, each pair of blocks met once: the own block's running k best and each partner's k best leave the kernel and are merged."""
+    blocks, slices = _batches(x, blocks, symmetric=True)
 
     def kernel(own: Block, partners: Iterator[Block]) -> Iterator[pa.RecordBatch]:
+        tiles = [(u, _Nearest(len(u.ids), k)) for u in own.tiles()]
         for other in partners:
-            near = _gram(own.stored, other.stored)
             same = other.number == own.number
-            if same:
-                near[own.ids[:, None] == other.ids] = np.inf
-            for flip in (False,) if same else (False, True):
-                m = near.T if flip else near
-                u, v = (other, own) if flip else (own, other)
-                cut = np.partition(m, min(k, m.shape[1]) - 1, axis=1)[:, min(k, m.shape[1]) - 1]
-                a, b = np.nonzero((m <= (cut + 1e-12 * d * (1 + np.abs(np.where(np.isfinite(cut), cut, 0))))[:, None]) & np.isfinite(m))
-                dist = canonical(u.stored, v.stored, a, b)
-                keep = _best(a, v.ids[b], dist, k)
-                yield _pairs_batch(u.ids[a[keep]], v.ids[b[keep]], dist[keep])
-
-    return _ranked(run_owners(x, blocks, kernel, PAIR, symmetric=True), k)
+            for v in other.tiles():
+                back = _Nearest(len(v.ids), k)
+                for u, best in tiles:
+                    near, slack = _meet(u, v, same, "euclidean")
+                    a, b = best.candidates(near, slack, True)
+                    best.add(a, v.ids[b], canonical(u.stored, v.stored, a, b))
+                    if not same:
+                        b, a = back.candidates(near.T, np.full(len(v.ids), slack.max(initial=0)), True)
+                        back.add(b, u.ids[a], canonical(v.stored, u.stored, b, a))
+                yield _pairs_batch(v.ids[back.row], back.id, back.dist)
+        for u, best in tiles:
+            yield _pairs_batch(u.ids[best.row], best.id, best.dist)
+
+    return _ranked(run_owners(x, blocks, kernel, PAIR, symmetric=True, slices=slices), k)
 
 
 class _LowPrecision:
@@ -166,6 +237,7 @@ class _LowPrecision:
     def __init__(self, own: Block, other: Block, compute: int):
         kind = {64: np.float64, 32: np.float32, 16: np.float16}[compute]
         a, b = own.stored.astype(kind), other.stored.astype(kind)
+        self.loose = (own.stored.shape[1] + 8) * 2.0**-52  # rounding of the exact distance that decides
         self.square = _gram(a, b)
         self.norm_a, self.norm_b = (np.sqrt(np.einsum("ij,ij->i", s, s, dtype=np.float64)) for s in (own.stored.astype(np.float32), other.stored.astype(np.float32)))
         self.left_a, self.left_b = own.residual * (1 + 1e-9), other.residual * (1 + 1e-9)
@@ -187,7 +259,7 @@ class _LowPrecision:
         square = self.square[a, b].astype(np.float64)
         err = (self.norm_a[a] + self.norm_b[b]) ** 2 * self.rate + self.floor
         apart = self.left_a[a] + self.left_b[b]
-        return np.sqrt(np.maximum(square - err, 0)) * (1 - 1e-15) - apart, np.sqrt(np.maximum(square + err, 0)) * (1 + 1e-15) + apart
+        return (np.sqrt(np.maximum(square - err, 0)) - apart) * (1 - self.loose), (np.sqrt(np.maximum(square + err, 0)) + apart) * (1 + self.loose)
 
 
 def _exact(x: FeatureFrame, pairs: DataFrame, y: FeatureFrame | None = None, metric: str = "euclidean") -> DataFrame:
@@ -197,52 +269,57 @@ def _exact(x: FeatureFrame, pairs: DataFrame, y: FeatureFrame | None = None, met
     return pairs.join(left, "i").join(right, "j").select("i", "j", distance_column(F.col("u"), F.col("v"), metric).alias("dist"))
 
 
-def _quantized_knn(x: FeatureFrame, k: int, y: FeatureFrame | None, blocks: int, precision: int, verify: bool) -> DataFrame:
+def _quantized_knn(x: FeatureFrame, k: int, y: FeatureFrame | None, blocks: int | None, precision: int, verify: bool) -> DataFrame:
     apart = y is not None
     top = max(x_max(x), x_max(y) if y is not None else 0.0)
     factor = 2.0 ** -int(np.ceil(np.log2(top))) if top > 0 else 1.0  # no value exceeds 1 in the stored form
+    blocks, slices = _batches(x, blocks, y, precision)
 
     def kernel(own: Block, partners: Iterator[Block]) -> Iterator[pa.RecordBatch]:
-        n = len(own.ids)
-        i, j, lo, hi = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0), np.zeros(0)
+        # Of every tile: candidates (row, id, lower end, upper end) and each row's k-th smallest upper end so far.
+        tiles = [[u, (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0), np.zeros(0)), np.full(len(u.ids), np.inf)] for u in own.tiles()]
         for other in partners:
-            low = _LowPrecision(own, other, 32)
-            if not apart and other.number == own.number:
-                low.square[own.ids[:, None] == other.ids] = np.inf
-            kk = min(k, low.square.shape[1]) - 1
-            nearest = np.partition(low.square, kk, axis=1)[:, kk].astype(np.float64)
-            cut = np.sqrt(np.maximum(nearest + low.row_err, 0)) + low.row_left  # not below the k-th true distance
-            a, b = low.not_above(cut) if verify else np.nonzero(low.square <= nearest.astype(np.float32)[:, None])
-            real = np.isfinite(low.square[a, b])
-            a, b = a[real], b[real]
-            if verify:
-                ends = low.interval(a, b)
-            else:
-                ends = (np.sqrt(np.maximum(low.square[a, b].astype(np.float64), 0)),) * 2
-            i, j = np.concatenate((i, a)), np.concatenate((j, other.ids[b]))
-            lo, hi = np.concatenate((lo, ends[0])), np.concatenate((hi, ends[1]))
-            # The k-th smallest upper end over all partners so far; whoever's lower end is above it is out.
-            best = _best(i, j, hi, k)
-            last = np.full(n, -np.inf)
-            np.maximum.at(last, i[best], hi[best])
-            top = np.where(np.bincount(i[best], minlength=n) >= k, last, np.inf)
-            keep = lo <= top[i]
-            i, j, lo, hi = i[keep], j[keep], lo[keep], hi[keep]
-        if not verify:
-            keep = _best(i, j, hi, k)
-            i, j, lo, hi = i[keep], j[keep], lo[keep], hi[keep]
-        yield _pairs_batch(own.ids[i], j, hi / factor)
-
-    band = run_owners(x, blocks, kernel, PAIR, bits=precision, y=y, factor=factor)
+            for v in other.tiles():
+                for t in tiles:
+                    u, held, reach = t
+                    n = len(u.ids)
+                    low = _LowPrecision(u, v, 32)
+                    if not apart and other.number == own.number:
+                        low.square[u.ids[:, None] == v.ids] = np.inf
+                    cut = reach.copy()
+                    fresh = np.flatnonzero(~np.isfinite(cut))
+                    if len(fresh):
+                        at = min(k, len(v.ids)) - 1
+                        nearest = np.partition(low.square[fresh], at, axis=1)[:, at].astype(np.float64)
+                        # not below the k-th true distance, if checked
+                        cut[fresh] = np.sqrt(np.maximum(nearest + low.row_err[fresh], 0)) + low.row_left[fresh] if verify else np.sqrt(np.maximum(nearest, 0))
+                    a, b = low.not_above(cut)
+                    real = np.isfinite(low.square[a, b])
+                    a, b = a[real], b[real]
+                    ends = low.interval(a, b) if verify else (np.sqrt(np.maximum(low.square[a, b].astype(np.float64), 0)),) * 2
+                    i, j, lo, hi = (np.concatenate(p) for p in zip(held, (a, v.ids[b], *ends)))
+                    best = _best(i, j, hi, k)
+                    last = np.full(n, -np.inf)
+                    np.maximum.at(last, i[best], hi[best])
+                    reach = np.where(np.bincount(i[best], minlength=n) >= k, last, np.inf)
+                    # Whoever's lower end is above the k-th upper end is out.
+                    keep = lo <= reach[i] if verify else best
+                    t[1:] = (i[keep], j[keep], lo[keep], hi[keep]), reach
+        for u, (i, j, _, hi), _ in tiles:
+            yield _pairs_batch(u.ids[i], j, hi / factor)
+
+    band = run_owners(x, blocks, kernel, PAIR, bits=precision, y=y, factor=factor, slices=slices)
     return _ranked(_exact(x, band.select("i", "j"), y) if verify else band, k)
 
 
-def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64, compute: int | None = None, bound: str = "residual", verify: bool = True, blocks: int = 4, symmetric: bool = True, scale: str | None = "pow2", include_self: bool = False, with_flag: bool = False, clock=None) -> DataFrame:
+def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64, compute: int | None = None, bound: str = "residual", verify: bool = True, blocks: int | None = None, symmetric: bool = True, scale: str | None = "pow2", include_self: bool = False, with_flag: bool = False, clock=None, phases: dict | None = None) -> DataFrame:
     """(i, j) of all ordered pairs at a distance of at most phi (squared: phi is a squared distance).
 
     In low precision each pair is surely in, surely out, or ambiguous; only ambiguous pairs are computed again from full-precision rows.
     bound: 'residual' and 'rowwise' for each pair, 'sound' and 'paper' one number for all. verify=False trusts the low precision.
     scale 'pow2' multiplies rows and phi by one power of two so that no value exceeds 1. with_flag gives (i, j, certain) before the second pass.
+    The kernels run once: their pairs are written to the shared folder, where certain and ambiguous ones are read apart. phases: accumulators
+    'distance' and 'check' that get the seconds of low-precision distances and of bounding them.
     """
     d = x.d
     limit = phi**0.5 if squared else phi
@@ -257,75 +334,130 @@ def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64,
         err += 4 * d * reach**2 * gamma(2, FloatFormat(precision).eps)
     goal = limit * factor
 
+    blocks, slices = _batches(x, blocks, None, precision, symmetric)
+
+    def decide(u: Block, v: Block) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Pairs (a, b) of two tiles that are within, or may be, and whether they surely are."""
+        began = time.perf_counter()
+        if precision == 64:
+            square, slack = _centred(u.stored, v.stored)
+            a, b = np.nonzero(square <= (goal * goal + slack)[:, None])
+            inside = canonical(u.stored, v.stored, a, b) <= goal
+            return a[inside], b[inside], np.ones(int(inside.sum()), bool)
+        low = _LowPrecision(u, v, compute)
+        met = time.perf_counter()
+        a, b, sure = bounded(u, v, low)
+        if phases is not None:
+            phases["distance"].add(met - began)
+            phases["check"].add(time.perf_counter() - met)
+        return a, b, sure
+
+    def bounded(u: Block, v: Block, low: _LowPrecision) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        if not verify:
+            a, b = np.nonzero(low.square <= np.array(goal * goal, low.square.dtype))
+            return a, b, np.ones(len(a), bool)
+        if bound == "residual":
+            a, b = low.not_above(goal)
+            lower, upper = low.interval(a, b)
+            keep = lower <= goal
+            return a[keep], b[keep], upper[keep] <= goal
+        cast, floor = gamma(2, FloatFormat(precision).eps), (8 * d * reach + 4 * d) * FloatFormat(precision).tiny
+        if bound == "rowwise":
+            na, nb = low.norm_a + u.residual, low.norm_b + v.residual
+            top_e = rowwise_bound(na, nb.max(initial=0)[None], d, reach, compute, cast=False)[:, 0] + (na + nb.max(initial=0)) ** 2 * cast + floor
+        else:
+            top_e = np.full(len(u.ids), err)
+        with np.errstate(over="ignore"):
+            cut = np.nextafter((goal * goal * (1 + 1e-9) + top_e).astype(low.square.dtype), np.inf, dtype=low.square.dtype)
+        a, b = np.nonzero(low.square <= cut[:, None])
+        square, e = low.square[a, b].astype(np.float64), np.full(len(a), err)
+        if bound == "rowwise":
+            m = 1 + depth(d, "sequential") + 2
+            g = (gamma(m, FloatFormat(compute).eps) + gamma(m, 2.0**-53)) * (1 + 1e-9)
+            e = (na[a] + nb[b]) ** 2 * (g + cast) + (8 * d * reach + 4 * d + 3) * FloatFormat(compute).tiny + floor
+        e = e + low.loose * square
+        keep = square <= goal * goal + e
+        return a[keep], b[keep], square[keep] <= goal * goal - e[keep]
+
     def kernel(own: Block, partners: Iterator[Block]) -> Iterator[pa.RecordBatch]:
+        mine = own.tiles()
         for other in partners:
             same = other.number == own.number
-            if precision == 64:
-                square = _gram(own.stored, other.stored)
-                a, b = np.nonzero(square <= goal * goal + 1e-9 * (1 + goal * goal) * max(1.0, np.abs(square).max(initial=1.0)))
-                inside = canonical(own.stored, other.stored, a, b) <= goal
-                a, b = a[inside], b[inside]
-                sure = np.ones(len(a), bool)
-            else:
-                low = _LowPrecision(own, other, compute)
-                if not verify:
-                    a, b = np.nonzero(low.square <= np.array(goal * goal, low.square.dtype))
-                    sure = np.ones(len(a), bool)
-                elif bound == "residual":
-                    a, b = low.not_above(goal)
-                    lower, upper = low.interval(a, b)
-                    keep = lower <= goal
-                    a, b, sure = a[keep], b[keep], upper[keep] <= goal
-                else:
-                    if bound == "rowwise":
-                        na, nb = low.norm_a + own.residual, low.norm_b + other.residual
-                        top_e = rowwise_bound(na, nb.max(initial=0)[None], d, reach, compute, cast=False)[:, 0] + (na + nb.max(initial=0)) ** 2 * gamma(2, FloatFormat(precision).eps) + (8 * d * reach + 4 * d) * FloatFormat(precision).tiny
-                    else:
-                        top_e = np.full(len(own.ids), err)
-                    with np.errstate(over="ignore"):
-                        cut = np.nextafter((goal * goal * (1 + 1e-9) + top_e).astype(low.square.dtype), np.inf, dtype=low.square.dtype)
-                    a, b = np.nonzero(low.square <= cut[:, None])
-                    square, e = low.square[a, b].astype(np.float64), err
-                    if bound == "rowwise":
-                        m = 1 + depth(d, "sequential") + 2
-                        g = (gamma(m, FloatFormat(compute).eps) + gamma(m, 2.0**-53)) * (1 + 1e-9)
-                        e = (na[a] + nb[b]) ** 2 * (g + gamma(2, FloatFormat(precision).eps)) + (8 * d * reach + 4 * d + 3) * FloatFormat(compute).tiny + (8 * d * reach + 4 * d) * FloatFormat(precision).tiny
-                    e = e + 1e-15 * square
-                    keep = square <= goal * goal + e
-                    sure = square[keep] <= goal * goal - (e if np.isscalar(e) else e[keep])
-                    a, b = a[keep], b[keep]
-            i, j = own.ids[a], other.ids[b]
-            if same and not include_self:
-                keep = i != j
-                i, j, sure = i[keep], j[keep], sure[keep]
-            if symmetric and not same:
-                i, j, sure = np.concatenate((i, j)), np.concatenate((j, i)), np.concatenate((sure, sure))
-            yield pa.RecordBatch.from_arrays([pa.array(i, pa.int64()), pa.array(j, pa.int64()), pa.array(sure)], names=["i", "j", "certain"])
-
-    found = run_owners(x, blocks, kernel, "i long, j long, certain boolean", bits=precision, symmetric=symmetric, factor=factor, clock=clock)
+            for v in other.tiles():
+                for u in mine:
+                    a, b, sure = decide(u, v)
+                    i, j = u.ids[a], v.ids[b]
+                    if same and not include_self:
+                        keep = i != j
+                        i, j, sure = i[keep], j[keep], sure[keep]
+                    if symmetric and not same:
+                        i, j, sure = np.concatenate((i, j)), np.concatenate((j, i)), np.concatenate((sure, sure))
+                    if len(i):
+                        yield pa.RecordBatch.from_arrays([pa.array(i, pa.int64()), pa.array(j, pa.int64()), pa.array(sure)], names=["i", "j", "certain"])
+
+    found = run_owners(x, blocks, kernel, "i long, j long, certain boolean", bits=precision, symmetric=symmetric, factor=factor, clock=clock, slices=slices)
     if with_flag:
         return found
     if precision == 64 or not verify:
         return found.select("i", "j")
+    found = stage(found, "pairs")
     again = _exact(x, found.where(~F.col("certain")).select("i", "j")).where(F.col("dist") <= limit).select("i", "j")
     return found.where("certain").select("i", "j").unionByName(again)
 
 
-def nwr_counts(x: FeatureFrame, radii: list[float], blocks: int = 4) -> DataFrame:
+def _within(u: Block, v: Block, radii: list[float], same: bool, width: int | None = None) -> Iterator[tuple[int, np.ndarray]]:
+    """For each radius its number and a boolean tile of the pairs within it; only pairs that the inner-product form leaves open are summed by differences."""
+    a, b = u.stored[:, :width], v.stored[:, :width]
+    square, slack = _centred(a, b)
+    if same:
+        square[u.ids[:, None] == v.ids] = np.inf
+    for k, r in enumerate(radii):
+        inside = square <= (r * r - slack)[:, None]
+        p, q = np.nonzero((square <= (r * r + slack)[:, None]) & ~inside)
+        inside[p, q] = canonical(a, b, p, q) <= r
+        yield k, inside
+
+
+def nwr_counts(x: FeatureFrame, radii: list[float], blocks: int | None = None) -> DataFrame:
     """(i, phi, n): how many other rows lie within each radius, rows without any included. Counts leave the kernels, not pairs."""
+    blocks, slices = _batches(x, blocks)
+
+    def kernel(own: Block, partners: Iterator[Block]) -> Iterator[pa.RecordBatch]:
+        tiles = [(u, np.zeros((len(u.ids), len(radii)), np.int64)) for u in own.tiles()]
+        for other in partners:
+            for v in other.tiles():
+                for u, total in tiles:
+                    for k, inside in _within(u, v, radii, other.number == own.number):
+                        total[:, k] += inside.sum(1)
+        for u, total in tiles:
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(u.ids, len(radii))), pa.array(np.tile(np.array(radii, float), len(u.ids))), pa.array(total.ravel())], names=["i", "phi", "n"])
+
+    found = run_owners(x, blocks, kernel, "i long, phi double, n long", slices=slices)
+    return found if slices == 1 else found.groupBy("i", "phi").agg(F.sum("n").alias("n"))
+
+
+def nwr_spread(x: FeatureFrame, values: int, radii: list[float], blocks: int | None = None) -> DataFrame:
+    """(i, k, n, s, s2): over all rows within radius k of row i, itself included, their number and the sum and sum of squares of (their k-th value - its own).
+    The last ``values`` features of x are these values and take no part in distances. Sums leave the kernels, not pairs."""
+    blocks, slices = _batches(x, blocks)
+    width, many = x.d - values, len(radii)
 
     def kernel(own: Block, partners: Iterator[Block]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros((len(own.ids), len(radii)), np.int64)
+        tiles = [(u, np.zeros((3, len(u.ids), many))) for u in own.tiles()]
         for other in partners:
-            dist = _all_pairs(own.stored, other.stored, "euclidean")
-            if other.number == own.number:
-                dist[own.ids[:, None] == other.ids] = np.inf
-            for k, r in enumerate(radii):
-                total[:, k] += (dist <= r).sum(1)
-        n = len(own.ids)
-        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(own.ids, len(radii))), pa.array(np.tile(np.array(radii, float), n)), pa.array(total.ravel())], names=["i", "phi", "n"])
+            for v in other.tiles():
+                for u, total in tiles:
+                    for k, inside in _within(u, v, radii, False, width):
+                        a, b = np.nonzero(inside)
+                        gap = v.stored[b, width + k] - u.stored[a, width + k]
+                        for at, w in enumerate((None, gap, gap * gap)):
+                            total[at, :, k] += np.bincount(a, w, len(u.ids))
+        for u, total in tiles:
+            cells = [pa.array(np.repeat(u.ids, many)), pa.array(np.tile(np.arange(many), len(u.ids)), pa.int32()), pa.array(total[0].ravel().astype(np.int64)), pa.array(total[1].ravel()), pa.array(total[2].ravel())]
+            yield pa.RecordBatch.from_arrays(cells, names=["i", "k", "n", "s", "s2"])
 
-    return run_owners(x, blocks, kernel, "i long, phi double, n long")
+    found = run_owners(x, blocks, kernel, "i long, k int, n long, s double, s2 double", slices=slices)
+    return found if slices == 1 else found.groupBy("i", "k").agg(*(F.sum(c).alias(c) for c in ("n", "s", "s2")))
 
 
 def nwr_grid(x: FeatureFrame, phi: float) -> DataFrame:
@@ -346,9 +478,11 @@ def nwr_grid(x: FeatureFrame, phi: float) -> DataFrame:
 
 
 def topk_quantized(x: FeatureFrame, k: int, bits: int = 16, largest: bool = True, verify: bool = True, with_flag: bool = False) -> DataFrame:
-    """(id, rank, index, value): top-k of each row from low-precision values. A row whose low-precision gaps up to rank k all exceed twice its rounding error is certain; only the others are ranked again in full precision."""
+    """(id, rank, index, value): top-k of each row from low-precision values. A row whose low-precision gaps up to rank k all exceed twice its rounding error is certain; only the others are ranked again in full precision.
+
+    Rows are ranked where they lie, so nothing is shipped that a narrower format would save: this is the faithful variant, topk_rows the fast one.
+    What it saves is the memory of the ranking kernel (``metrics.kernel_bytes``)."""
     from farpoint.plans.arrow import matrix
-    from farpoint.quantize.bounds import FloatFormat
     from farpoint.session import ship
 
     p, d, f = x.pack(), x.d, FloatFormat(bits)

@@ -10,7 +10,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from farpoint.composite.neighbours import distance_column, knn, nwr
+from farpoint.composite.neighbours import distance_column, knn, nwr, nwr_counts, nwr_spread
 from farpoint.model import FeatureFrame
 from farpoint.session import stage
 
@@ -24,7 +24,7 @@ class KnnDetector:
     precision: int = 64
     verify: bool = True
     mode: str = "fused"
-    blocks: int = 4
+    blocks: int | None = None
 
     def fit_score(self, x: FeatureFrame, y: FeatureFrame | None = None) -> DataFrame:
         """y: reference rows (default: the other rows of x)."""
@@ -57,7 +57,7 @@ class LofDetector:
     ties: str = "exact"
     duplicate: str = "eps"
     phi: float | None = None
-    blocks: int = 4
+    blocks: int | None = None
     precision: int = 64
 
     def edges(self, x: FeatureFrame) -> DataFrame:
@@ -106,7 +106,7 @@ class AngleDetector:
 
     k: int | None = 10
     method: str = "mean_cosine"
-    blocks: int = 4
+    blocks: int | None = None
 
     def fit_score(self, x: FeatureFrame) -> DataFrame:
         ids = x.pack().df.select("id")
@@ -130,23 +130,24 @@ class AngleDetector:
 
 @dataclass(frozen=True)
 class LociDetector:
-    """For each radius r: counts within alpha * r of all rows within r (self included), their mean and deviation; score is the largest (1 - n / mean) / (sd / mean), 0 where sd is 0. Flag above 3."""
+    """For each radius r: counts within alpha * r of all rows within r (self included), their mean and deviation; score is the largest (1 - n / mean) / (sd / mean), 0 where sd is 0 or fewer than n_min rows are within. Flag above 3.
+    Two passes of kernels that give counts and sums, so memory and output stay at a few numbers a row."""
 
     radii: tuple[float, ...]
     alpha: float = 0.5
-    n_min: int = 1
-    blocks: int = 4
+    n_min: int = 20
+    blocks: int | None = None
 
     def fit_score(self, x: FeatureFrame) -> DataFrame:
-        from farpoint.composite.neighbours import _exact
-
-        ids = x.pack().df.select(F.col("id").alias("i"))
-        near = stage(_exact(x, nwr(x, max(self.radii), blocks=self.blocks)).unionByName(ids.select("i", F.col("i").alias("j"), F.lit(0.0).alias("dist"))), "loci")
-        counts = near.groupBy(F.col("i").alias("n")).agg(*(F.count_if(F.col("dist") <= self.alpha * r).alias(f"c{k}") for k, r in enumerate(self.radii)))
-        met = near.join(counts, F.col("j") == F.col("n"))
-        within = lambda k, r: F.when(F.col("dist") <= r, F.col(f"c{k}"))
-        own = [F.max(F.when(F.col("i") == F.col("j"), F.col(f"c{k}"))).alias(f"o{k}") for k in range(len(self.radii))]
-        sums = met.groupBy("i").agg(*own, *(a for k, r in enumerate(self.radii) for a in (F.avg(within(k, r)).alias(f"m{k}"), F.stddev_pop(within(k, r)).alias(f"s{k}"), F.count(within(k, r)).alias(f"k{k}"))))
-        ratio = lambda k: F.when((F.col(f"s{k}") > 1e-12) & (F.col(f"k{k}") >= self.n_min), (F.col(f"m{k}") - F.col(f"o{k}")) / F.when(F.col(f"s{k}") > 1e-12, F.col(f"s{k}"))).otherwise(0.0)
-        all_ = [ratio(k) for k in range(len(self.radii))]
-        return sums.select(F.col("i").alias("id"), (F.greatest(*all_) if len(all_) > 1 else all_[0]).alias("score"))
+        p, many = x.pack(), len(self.radii)
+        inner = nwr_counts(p, [self.alpha * r for r in self.radii], self.blocks)
+        at = F.when(F.lit(False), 0)
+        for k, r in enumerate(self.radii):
+            at = at.when(F.col("phi") == self.alpha * r, F.lit(k))
+        counts = inner.groupBy("i").agg(F.transform(F.array_sort(F.collect_list(F.struct(at.alias("k"), (F.col("n") + 1.0).alias("n")))), lambda c: c["n"]).alias("c"))  # one count a radius
+        both = p.df.join(counts, F.col("id") == F.col("i")).select("id", F.concat("x", "c").alias("x"))
+        frame = FeatureFrame(stage(both, "counted"), ("id",), (*p.features, *(f"n{k}" for k in range(many))), True, p.rows)
+        mean = F.col("s") / F.col("n")
+        sd = F.sqrt(F.greatest(F.col("s2") / F.col("n") - mean * mean, F.lit(0.0)))
+        ratio = F.when((sd > 1e-12) & (F.col("n") >= self.n_min), mean / F.when(sd > 1e-12, sd)).otherwise(0.0)
+        return nwr_spread(frame, many, list(self.radii), self.blocks).groupBy(F.col("i").alias("id")).agg(F.max(ratio).alias("score"))

@@ -74,6 +74,32 @@ def speedup_table(base: dict[str, float], engine: dict[str, float]) -> dict[str,
     return each | {"mean": sum(each.values()) / len(each)} if each else {}
 
 
+def kernel_bytes(kind: str, n: int, d: int, bits: int, k: int = 10, seed: int = 5) -> int:
+    """Measured: the most memory that the kernel of 'range' (a tile of a range search) or 'topk' (a batch of rows) holds at once, input included, in a format."""
+    import tracemalloc
+
+    import numpy as np
+
+    from farpoint.composite.neighbours import _centred, _LowPrecision
+    from farpoint.plans.blocks import FORMATS, Block
+
+    values = np.random.default_rng(seed).random((n, d))
+    tracemalloc.start()
+    try:
+        rows = values.astype(FORMATS[bits])
+        if kind == "range":
+            tile = Block(0, np.arange(n), rows, np.zeros(n))
+            if bits == 64:
+                _centred(rows, rows)
+            else:
+                _LowPrecision(tile, tile, bits)
+        else:
+            np.partition(rows, d - k, axis=1)[:, d - k :]
+        return tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+
+
 def block_bytes(n: int, d: int, blocks: int, bits: int, symmetric: bool = True) -> dict[str, float]:
     """Machine-independent cost of one all-pairs run: bytes of all blocks, bytes sent to owners, largest pair of blocks with its tile, distance evaluations."""
     rows, sends = math.ceil(n / blocks), blocks // 2 + 1 if symmetric else blocks

@@ -19,6 +19,8 @@ class FeatureFrame:
     ids: tuple[str, ...]
     features: tuple[str, ...]
     is_packed: bool = False
+    #: Number of rows where it is known.
+    rows: int | None = None
 
     @staticmethod
     def wide(df: DataFrame, ids: list[str], features: list[str], nulls: str = "error") -> FeatureFrame:
@@ -43,17 +45,20 @@ class FeatureFrame:
     def d(self) -> int:
         return len(self.features)
 
+    def count(self) -> int:
+        return self.df.count() if self.rows is None else self.rows
+
     def pack(self) -> FeatureFrame:
         if self.is_packed:
             return self
         if len(self.ids) != 1:
             raise ValueError("packing needs one id column")
-        return FeatureFrame(self.df.select(F.col(self.ids[0]).cast("long").alias("id"), F.array(*self.features).alias("x")), ("id",), self.features, True)
+        return FeatureFrame(self.df.select(F.col(self.ids[0]).cast("long").alias("id"), F.array(*self.features).alias("x")), ("id",), self.features, True, self.rows)
 
     def unpack(self) -> FeatureFrame:
         if not self.is_packed:
             return self
-        return FeatureFrame(self.df.select("id", *(F.col("x")[i].alias(f) for i, f in enumerate(self.features))), ("id",), self.features)
+        return FeatureFrame(self.df.select("id", *(F.col("x")[i].alias(f) for i, f in enumerate(self.features))), ("id",), self.features, rows=self.rows)
 
     def long(self) -> DataFrame:
         """(ids..., feature, value)."""
@@ -63,7 +68,8 @@ class FeatureFrame:
         """Written once to the shared folder: for frames that are costly to assemble and read by several aggregates."""
         from farpoint.session import stage
 
-        return replace(self, df=stage(self.df, name))
+        df = stage(self.df, name)
+        return replace(self, df=df, rows=df.count())
 
     def select(self, features: list[str]) -> FeatureFrame:
         if self.is_packed:

@@ -1,6 +1,6 @@
 """Pair-of-splits batching: rows packed into blocks, and every block sent to the owners that compare it with their own.
 
-One owner is one subtask. It holds its own block and streams its partners, so a task's memory is two blocks and one tile, and
+One owner is one subtask or a few. It holds its own block and streams its partners, so a task's memory is two blocks and a few tiles, and
 nothing but results leaves it. In the symmetric plan owner i meets the partners (i + t) mod B for t up to B / 2 (for even B the last t
 only when i < B / 2), so that each pair is met once and owners have equal work.
 """
@@ -44,11 +44,32 @@ def feasible_rows(d: int, budget: int = 4 << 30) -> int:
     return int((-d + math.sqrt(d * d + budget / 2)) / 2)
 
 
-def plan_batches(n: int, d: int, direct_budget: int = 64 << 20, task_budget: int = 64 << 20, value_bytes: int = 8, tasks: int = 8) -> int | None:
-    """None: small enough to run unbatched. Otherwise the number of blocks: enough for the memory of a task, and for all tasks to have work."""
-    if n * n * 8 <= direct_budget and n <= 1024:
+#: Memory of a task for blocks and tiles, rows of a tile's side, fewest rows worth a block of their own, bytes of one binary cell.
+TASK_BUDGET, TILE, LEAST, CELL = 256 << 20, 1024, 512, 16 << 20
+
+
+def tiled_rows(d: int, value_bytes: int = 8, budget: int = TASK_BUDGET) -> int:
+    """Most rows of a block where kernels work tile by tile: two blocks, stored and in compute format, and four tiles fit the budget of a task."""
+    return max(TILE, (budget - 4 * TILE * TILE * 8) // (2 * d * (value_bytes + 8)))
+
+
+def plan_batches(n: int, d: int, task_budget: int = TASK_BUDGET, value_bytes: int = 8, tasks: int = 8) -> int | None:
+    """None: small enough to run unbatched. Otherwise the number of blocks: enough for the memory of a task and for all tasks to have work.
+    Blocks grow with the square root of the tasks only, since every block is sent to half of the owners; owners are sliced for the rest."""
+    if n <= TILE:
         return None
-    return max(math.ceil(n / block_rows(d, value_bytes, task_budget)), min(tasks, n))
+    return max(math.ceil(n / tiled_rows(d, value_bytes, task_budget)), min(math.ceil(math.sqrt(8 * tasks)), math.ceil(n / LEAST)))
+
+
+def plan_slices(blocks: int, tasks: int, symmetric: bool = False) -> int:
+    """Subtasks into which each owner's partners are dealt, so that blocks * slices reaches the tasks."""
+    return max(1, min(blocks // 2 + 1 if symmetric else blocks, math.ceil(tasks / blocks)))
+
+
+def blocks_for(x: FeatureFrame, y: FeatureFrame | None = None, bits: int = 64) -> int:
+    """plan_batches for the rows at hand: one count, which a parquet scan answers from its footers."""
+    n = max(x.count(), y.count() if y is not None else 0)
+    return plan_batches(n, x.d, value_bytes=bits // 8, tasks=x.df.sparkSession.sparkContext.defaultParallelism) or 1
 
 
 def owners_of(block: int, b: int, symmetric: bool) -> list[int]:
@@ -58,85 +79,95 @@ def owners_of(block: int, b: int, symmetric: bool) -> list[int]:
 
 
 def pack(x: FeatureFrame, b: int, bits: int = 64, factor: float = 1.0) -> DataFrame:
-    """(block, ids, body, residual): one row a block; values times factor in the storage format, and each row's distance from its stored form."""
+    """(block, part, ids, body, residual): a block's rows in parts of at most CELL bytes; values times factor in the storage format, and each row's distance from its stored form."""
     p, d, kind = x.pack(), x.d, FORMATS[bits]
     ship(p.df.sparkSession)
+    most = max(1, CELL // (8 * max(d, 1)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for g in grouped(batches):
-            exact = matrix(g.column(2), d) * factor
-            with np.errstate(over="ignore"):
-                stored = exact.astype(kind)
-            left = np.sqrt(((exact - stored.astype(np.float64)) ** 2).sum(1))
-            yield pa.RecordBatch.from_arrays([g.column(0).slice(0, 1), *(pa.array([a.tobytes()], pa.binary()) for a in (g.column(1).to_numpy(zero_copy_only=False), stored, left))], names=["block", "ids", "body", "residual"])
+            for part, at in enumerate(range(0, g.num_rows, most)):
+                rows = g.slice(at, most)
+                exact = matrix(rows.column(2), d) * factor
+                with np.errstate(over="ignore"):
+                    stored = exact.astype(kind)
+                left = np.zeros(0) if bits == 64 else np.sqrt(((exact - stored.astype(np.float64)) ** 2).sum(1))
+                yield pa.RecordBatch.from_arrays([rows.column(0).slice(0, 1), pa.array([part], pa.int32()), *(pa.array([a.tobytes()], pa.binary()) for a in (rows.column(1).to_numpy(zero_copy_only=False), stored, left))], names=["block", "part", "ids", "body", "residual"])
 
     rows = p.df.select(F.pmod(F.xxhash64("id"), F.lit(b)).alias("block"), "id", "x").repartitionById(b, F.col("block").cast("int")).sortWithinPartitions("block", "id")
-    return rows.mapInArrow(run, "block long, ids binary, body binary, residual binary")
+    return rows.mapInArrow(run, "block long, part int, ids binary, body binary, residual binary")
 
 
 class Block:
-    """A decoded block."""
+    """Decoded rows of one block: a part of it, all of it, or a tile."""
 
-    def __init__(self, row: dict, d: int, bits: int):
-        self.number = row["block"]
-        self.ids = np.frombuffer(row["ids"], np.int64)
-        self.stored = np.frombuffer(row["body"], FORMATS[bits]).reshape(-1, d)
-        self.residual = np.frombuffer(row["residual"], np.float64)
-        self.bytes = len(row["body"])
+    def __init__(self, number: int, ids: np.ndarray, stored: np.ndarray, residual: np.ndarray):
+        self.number, self.ids, self.stored, self.residual = number, ids, stored, residual
 
+    @staticmethod
+    def decode(rows: list[dict], d: int, bits: int) -> Block:
+        ids, stored, residual = ([np.frombuffer(r[c], t) for r in rows] for c, t in (("ids", np.int64), ("body", FORMATS[bits]), ("residual", np.float64)))
+        join = lambda a: a[0] if len(a) == 1 else np.concatenate(a)
+        return Block(rows[0]["block"], join(ids), join(stored).reshape(-1, d), join(residual))
 
-Kernel = Callable[[Block, Iterator[Block]], Iterator[pa.RecordBatch]]
+    def tiles(self) -> list[Block]:
+        return [Block(self.number, self.ids[at : at + TILE], self.stored[at : at + TILE], self.residual[at : at + TILE]) for at in range(0, len(self.ids), TILE)]
 
 
-def run_owners(x: FeatureFrame, b: int, kernel: Kernel, schema: str, bits: int = 64, symmetric: bool = False, factor: float = 1.0, y: FeatureFrame | None = None, clock=None) -> DataFrame:
-    """kernel(own block, its partners) for every owner. Without y the own block is its own first partner; with y partners are the blocks of y. clock: an accumulator that gets the seconds spent in kernels, waiting for partners left out."""
-    d, apart = x.d, y is not None
+Kernel = Callable[[Block, Iterator[Block]], Iterator[pa.RecordBatch]]
 
-    def send(df: DataFrame, role: int) -> DataFrame:
-        return df.withColumn("role", F.lit(role))
 
+def run_owners(x: FeatureFrame, b: int, kernel: Kernel, schema: str, bits: int = 64, symmetric: bool = False, factor: float = 1.0, y: FeatureFrame | None = None, clock=None, slices: int = 1) -> DataFrame:
+    """kernel(own block, its partners) for every owner and slice. Without y the own block is its own first partner; with y partners are the blocks of y.
+    Partners come part by part. slices: an owner's partners are dealt to so many subtasks, each with a copy of the own block; the caller merges
+    what they give. clock: an accumulator that gets the seconds spent in kernels, waiting for partners left out."""
+    d, apart = x.d, y is not None
     mine = pack(x, b, bits, factor)
     if y is not None:
-        theirs = pack(y, b, bits, factor)
-        sent = send(mine.withColumn("owner", F.col("block")), 0).unionByName(send(theirs.withColumn("owner", F.explode(F.sequence(F.lit(0), F.lit(b - 1)))), 1))
+        reach, others = F.sequence(F.lit(0).cast("long"), F.lit(b - 1).cast("long")), pack(y, b, bits, factor)
+        met = F.transform(reach, lambda o: o * slices + F.pmod(F.col("block"), F.lit(slices)))
     else:
-        half = b // 2
-        steps = F.sequence(F.lit(0), F.lit(half if symmetric else b - 1))
-        owner = lambda t: F.pmod(F.col("block") - t, F.lit(b))
-        met = F.transform(F.filter(steps, lambda t: (t < half) | (owner(t) < half)) if symmetric and b % 2 == 0 and b > 1 else steps, owner)
-        sent = mine.withColumn("owner", F.explode(met))
-        sent = send(sent, 1).withColumn("role", (F.col("owner") != F.col("block")).cast("int"))
+        half, others = b // 2, mine
+        steps = F.sequence(F.lit(1).cast("long"), F.lit(half if symmetric else b - 1).cast("long")) if b > 1 else F.expr("cast(array() as array<bigint>)")
+        owner = lambda t: F.pmod(F.col("block") - t, F.lit(b).cast("long"))
+        met = F.transform(F.filter(steps, lambda t: (t < half) | (owner(t) < half)) if symmetric and b % 2 == 0 and b > 1 else steps, lambda t: owner(t) * slices + F.pmod(t, F.lit(slices).cast("long")))
+    own = F.transform(F.sequence(F.lit(0).cast("long"), F.lit(slices - 1).cast("long")), lambda t: F.col("block") * slices + t)
+    role = lambda owners, r: F.transform(owners, lambda o: F.struct(o.alias("owner"), F.lit(r).alias("role")))
+    send = lambda df, copies: df.withColumn("to", F.explode(copies)).select("to.owner", "to.role", "block", "part", "ids", "body", "residual")
+    # Without y the packed rows are read once: a block's own copies and those for its owners are exploded together.
+    sent = send(mine, F.concat(role(own, 0), role(met, 1))) if y is None else send(mine, role(own, 0)).unionByName(send(others, role(met, 1)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rows = ({n: v for n, v in zip(r.schema.names, (c[0].as_py() for c in r.columns))} for big in batches for r in (big.slice(i, 1) for i in range(big.num_rows)))
         row = next(rows, None)
         while row is not None:
             owner = row["owner"]
-            waited = [0.0]
-            own = Block(row, d, bits) if row["role"] == 0 else None
-            ahead: list = [None]
+            waited, held = [0.0], []
+            while row is not None and row["owner"] == owner and row["role"] == 0:
+                held.append(row)
+                row = next(rows, None)
+            ahead: list = [row]
 
             def partners():
-                if not apart:
-                    yield own
-                while True:
+                if not apart and owner % slices == 0:
+                    yield own_block
+                while ahead[0] is not None and ahead[0]["owner"] == owner:
+                    yield Block.decode([ahead[0]], d, bits)
                     began = time.perf_counter()
                     ahead[0] = next(rows, None)
                     waited[0] += time.perf_counter() - began
-                    if ahead[0] is None or ahead[0]["owner"] != owner:
-                        return
-                    yield Block(ahead[0], d, bits)
 
-            if own is not None:
+            if held:  # none: blocks of y without rows of x
+                own_block = Block.decode(held, d, bits)
+                held = []
                 began = time.perf_counter()
-                found = list(kernel(own, partners())) if clock is not None else kernel(own, partners())
+                found = list(kernel(own_block, partners())) if clock is not None else kernel(own_block, partners())
                 if clock is not None:
                     clock.add(time.perf_counter() - began - waited[0])
                 yield from found
-                while ahead[0] is not None and ahead[0]["owner"] == owner:
-                    ahead[0] = next(rows, None)
-                row = ahead[0]
-            else:  # blocks of y without rows of x
-                row = next(rows, None)
+            while ahead[0] is not None and ahead[0]["owner"] == owner:
+                ahead[0] = next(rows, None)
+            row = ahead[0]
 
-    return sent.select("owner", "role", "block", "ids", "body", "residual").repartitionById(b, F.col("owner").cast("int")).sortWithinPartitions("owner", "role", "block").mapInArrow(run, schema)
+    n = b * slices
+    return sent.repartitionById(n, F.col("owner").cast("int")).sortWithinPartitions("owner", "role", "block", "part").mapInArrow(run, schema)

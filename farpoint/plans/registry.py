@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from farpoint.model import FeatureFrame
 from farpoint.plans.arrow import grouped, matrix
-from farpoint.plans.blocks import Block, run_owners
+from farpoint.plans.blocks import Block, blocks_for, run_owners
 from farpoint.quantize.bounds import eligible
 from farpoint.session import ship
 
@@ -77,18 +77,21 @@ def register_operator(spec: OpSpec, fn: Callable, splitter: Callable | None = No
     IMPLEMENTATIONS[spec.name] = splitter if spec.strategy == "pairs" else fn
 
 
-def run_operator(name: str, x: FeatureFrame, batch: int = 4096, blocks: int = 4) -> DataFrame:
+def run_operator(name: str, x: FeatureFrame, batch: int = 4096, blocks: int | None = None) -> DataFrame:
     """A registered operator over a frame, batched by its class. rows and features: (id, x array); pairs: (i, j, value)."""
     spec, fn, d = OPERATORS[name], IMPLEMENTATIONS[name], x.d
     ship(x.df.sparkSession)
     if spec.strategy == "pairs":
 
         def kernel(own: Block, partners: Iterator[Block]) -> Iterator[pa.RecordBatch]:
+            mine = own.tiles()
             for other in partners:
-                i, j, v = fn(own.ids, own.stored, other.ids, other.stored)
-                yield pa.RecordBatch.from_arrays([pa.array(i, pa.int64()), pa.array(j, pa.int64()), pa.array(v, pa.float64())], names=["i", "j", "value"])
+                for theirs in other.tiles():
+                    for u in mine:
+                        i, j, v = fn(u.ids, u.stored, theirs.ids, theirs.stored)
+                        yield pa.RecordBatch.from_arrays([pa.array(i, pa.int64()), pa.array(j, pa.int64()), pa.array(v, pa.float64())], names=["i", "j", "value"])
 
-        return run_owners(x, blocks, kernel, "i long, j long, value double")
+        return run_owners(x, blocks or blocks_for(x), kernel, "i long, j long, value double")
     if spec.strategy == "rows":
 
         def by_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -155,9 +158,9 @@ def lower(node: OpNode, fused: bool = True) -> DataFrame:
         node = fuse(node)
     p = node.params
     src = lambda: lower(node.inputs[0], False) if isinstance(node.inputs[0], OpNode) else node.inputs[0]
-    blocks = p.get("blocks", 4)
+    blocks = p.get("blocks")
     table = {
-        "pairwise_distance": lambda: N.pairwise_distance(src(), p.get("metric", "euclidean"), blocks=blocks),
+        "pairwise_distance": lambda: N.pairwise_distance(src(), p.get("metric", "euclidean"), blocks=blocks or blocks_for(src())),
         "topk_smallest": lambda: N._ranked(src(), p["k"]),
         "within": lambda: src().where(F.col("dist") <= p["phi"]).select("i", "j"),
         "count": lambda: src().groupBy("i").agg(F.count("*").alias("n")),

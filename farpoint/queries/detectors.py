@@ -55,7 +55,7 @@ def _users(s, d):
 # Correlation integral
 _radii = (0.1, 0.2, 0.3)
 _ratio = lambda k: f"case when s{k} > 1e-12 then (m{k} - o{k}) / s{k} else 0 end"
-scored("loci", lambda s, d: LociDetector(_radii).fit_score(customers_scaled(s, d)), f"with {edges_sql(CUSTOMERS_SCALED)}, w as materialized (select * from e where dist <= 0.3 union all select id, id, 0.0 from x), c as materialized (select i, {', '.join(f'count(*) filter (where dist <= {0.5 * r!r}) as c{k}' for k, r in enumerate(_radii))} from w group by i), m as (select w.i, {', '.join(f'max(c{k}) filter (where w.i = w.j) as o{k}, avg(c{k}) filter (where dist <= {r!r}) as m{k}, stddev_pop(c{k}) filter (where dist <= {r!r}) as s{k}' for k, r in enumerate(_radii))} from w join c on c.i = w.j group by w.i) select i as id, round(greatest({', '.join(map(_ratio, range(3)))}), 5) + 0.0 as score from m", 5)
+scored("loci", lambda s, d: LociDetector(_radii, n_min=1).fit_score(customers_scaled(s, d)), f"with {edges_sql(CUSTOMERS_SCALED)}, w as materialized (select * from e where dist <= 0.3 union all select id, id, 0.0 from x), c as materialized (select i, {', '.join(f'count(*) filter (where dist <= {0.5 * r!r}) as c{k}' for k, r in enumerate(_radii))} from w group by i), m as (select w.i, {', '.join(f'max(c{k}) filter (where w.i = w.j) as o{k}, avg(c{k}) filter (where dist <= {r!r}) as m{k}, stddev_pop(c{k}) filter (where dist <= {r!r}) as s{k}' for k, r in enumerate(_radii))} from w join c on c.i = w.j group by w.i) select i as id, round(greatest({', '.join(map(_ratio, range(3)))}), 5) + 0.0 as score from m", 5)
 
 
 # Histogram scores

@@ -19,7 +19,7 @@ LINE_FEATURES = ["quantity", "price", "discount", "tax"]
 
 
 def customers_scaled(spark, sf):
-    return O.scale(X.customer_behaviour(spark, sf)).pack()
+    return O.scale(X.customer_behaviour(spark, sf).staged()).pack()
 
 
 # Pairwise distances

@@ -64,6 +64,71 @@ def test_range_search_on_an_existing_distance(spark, bound, bits):
     assert all(counts[i] == sum(1 for a, _ in want if a == i) for i in range(60))
 
 
+@pytest.mark.parametrize("offset", [0.0, 1e3, 1e6, 1e8])
+def test_all_forms_are_exact_far_from_the_origin(spark, offset):
+    """Norms are huge against the distances there: every filter must allow for what they lose."""
+    m = np.random.default_rng(17).random((160, 4)) + offset
+    m[40:44] = m[7]
+    x = frame(spark, m).pack()
+    key = lambda df: sorted(tuple(r) for r in df.select("i", "rank", "j", "dist").collect())
+    want = key(N.knn(x, 5, mode="direct"))
+    at, dist = B.local_knn(m, 5)
+    assert [w[2] for w in want] == at.ravel().tolist() and [w[3] for w in want] == dist.ravel().tolist()
+    for got in (N.knn(x, 5), N.knn(x, 5, blocks=3), N.knn_symmetric(x, 5, 3), N.knn(x, 5, mode="concat", blocks=2), N.knn(x, 5, blocks=3, precision=32), N.knn(x, 5, blocks=2, precision=16), B.broadcast_knn(x, 5)):
+        assert key(got) == want
+    pairs = lambda df: sorted(map(tuple, df.collect()))
+    phi = float(N.canonical(m, m, np.array([3]), np.array([90]))[0])
+    near = [(i, j) for i in range(160) for j in range(160) if i != j and N.canonical(m, m, np.array([i]), np.array([j]))[0] <= phi]
+    assert (3, 90) in near
+    for bits in (64, 32, 16):
+        assert pairs(N.nwr(x, phi, precision=bits, blocks=3)) == near
+    counts = {r["i"]: r["n"] for r in N.nwr_counts(x, [phi], 3).collect()}
+    assert all(counts[i] == sum(1 for a, _ in near if a == i) for i in range(160))
+
+
+def test_slices_and_tiles_change_nothing(spark, monkeypatch):
+    m = np.random.default_rng(23).random((300, 3))
+    x = frame(spark, m).pack()
+    at, _ = B.local_knn(m, 4)
+    for module in (K, N):
+        monkeypatch.setattr(module, "plan_slices", lambda b, tasks, symmetric=False: 2)
+    monkeypatch.setattr(K, "CELL", 40 * 8 * 3)  # blocks travel in several parts
+    order = lambda df: [r["j"] for r in df.orderBy("i", "rank").collect()]
+    for got in (N.knn(x, 4, blocks=3), N.knn_symmetric(x, 4, 4), N.knn(x, 4, blocks=3, precision=16), N.knn(x, 4, y=x, blocks=2).where("i <> j").withColumn("rank", F.col("rank") - 1).where("rank <= 3")):
+        got = order(got)
+        assert got == at.ravel().tolist() or got == at[:, :3].ravel().tolist()
+    want = sorted(map(tuple, N.nwr(x, 0.2, blocks=1).collect()))
+    assert sorted(map(tuple, N.nwr(x, 0.2, blocks=4).collect())) == want == sorted(map(tuple, N.nwr(x, 0.2, blocks=3, precision=16).collect()))
+    counts = {r["i"]: r["n"] for r in N.nwr_counts(x, [0.2], 3).collect()}
+    assert counts == {i: sum(1 for a, _ in want if a == i) for i in range(300)}
+
+
+@pytest.mark.parametrize("n", [2_000, 20_000, 60_000])
+def test_planned_tasks_stay_within_their_memory(n):
+    """Two blocks, stored and in compute format, and four tiles fit the budget; the direct form is refused where it does not fit."""
+    for d in (6, 64, 500):
+        for tasks in (8, 4000):
+            b = K.plan_batches(n, d, tasks=tasks)
+            rows = -(-n // b)
+            assert 2 * rows * d * 16 + 4 * K.TILE**2 * 8 <= K.TASK_BUDGET and b * K.plan_slices(b, tasks) >= min(tasks, b * b, n // K.LEAST)
+    if n * n * 8 > 4 << 30:
+        with pytest.raises(K.MemoryBudgetExceeded):
+            K.check_budget(n, 64)
+
+
+def test_measured_kernel_memory_falls_with_the_format():
+    used = {bits: M.kernel_bytes("range", 512, 64, bits) for bits in (64, 32)}
+    assert used[32] < 0.62 * used[64]
+    used = {bits: M.kernel_bytes("topk", 2048, 64, bits) for bits in (64, 32, 16)}
+    assert used[16] < 0.3 * used[64] and used[32] < 0.6 * used[64]
+
+
+def test_low_precision_runs_its_kernels_once(spark):
+    x = X.vectors(spark, "/root/testdata/sf0.001")
+    plan = N.nwr(x, 1.25, precision=16)._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" not in plan  # pairs are written by one run and read apart
+
+
 def test_pure_half_precision_and_overflow(spark):
     x = frame(spark, np.random.default_rng(1).uniform(-1, 1, (40, 3))).pack()
     key = lambda df: sorted(map(tuple, df.collect()))
