@@ -14,11 +14,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from farpoint.model import FeatureFrame
-from farpoint.operators.basic import covariance, edges_of, eigh_sorted, feature_sample, histogram, stats
-from farpoint.operators.ecdf import with_ranks
+from farpoint.operators.basic import covariance, edges_of, eigh_sorted, feature_sample, histogram, skews
+from farpoint.operators.ecdf import quantiles, ranked_values, row_numbers, with_ranks
 
 
 #: Features beyond which components are scored by matrix products.
@@ -87,8 +86,12 @@ class HistogramDetector:
 
     def fit(self, x: FeatureFrame) -> HistogramModel:
         borders = edges_of(x, self.bins, self.kind)
+        return self.model(borders, histogram(x, borders=borders, kind=self.kind))
+
+    def model(self, borders: dict[str, list[float]], table: DataFrame) -> HistogramModel:
+        """From a histogram that exists."""
         counts: dict[str, dict[int, tuple]] = {}
-        for r in histogram(x, borders=borders, kind=self.kind).collect():  # bins of every feature
+        for r in table.collect():  # bins of every feature
             counts.setdefault(r["feature"], {})[r["bin"]] = (r["count"], r["hi"] - r["lo"])
         heights = {}
         for f, cells in counts.items():
@@ -106,9 +109,9 @@ class HistogramDetector:
 def tail_columns(x: FeatureFrame) -> DataFrame:
     """Wide rows with ul_, ur_ and us_<feature>: -ln of the left and right CDF, and the one that the skewness sign picks (left when negative)."""
     w = x.unpack()
-    s = stats(w)
+    s = skews(w)
     ln = lambda c: F.log(c) * -1.0
-    cols = [c for f in w.features for c in (ln(F.col(f"l_{f}")).alias(f"ul_{f}"), ln(F.col(f"r_{f}")).alias(f"ur_{f}"), ln(F.col(f"l_{f}" if s[f]["skew"] < 0 else f"r_{f}")).alias(f"us_{f}"))]
+    cols = [c for f in w.features for c in (ln(F.col(f"l_{f}")).alias(f"ul_{f}"), ln(F.col(f"r_{f}")).alias(f"ur_{f}"), ln(F.col(f"l_{f}" if s[f] < 0 else f"r_{f}")).alias(f"us_{f}"))]
     return with_ranks(w).select(*w.ids, *cols)
 
 
@@ -123,12 +126,59 @@ def _sides(x: FeatureFrame) -> Column:
     return F.greatest(*(_sum([F.col(f"{u}_{f}") for f in x.features]) for u in ("ul", "ur", "us")))
 
 
+@dataclass(frozen=True)
+class CopulaModel:
+    """Fitted borders of every feature with the exact shares of fitted rows not above and not below each; values between borders take the shares of the next
+    border on their outer side. With a border for every distinct value (the default up to ``most``) fitted rows score exactly as in fit_score. Scoring is map-only."""
+
+    features: tuple[str, ...]
+    values: dict[str, list[float]]
+    left: dict[str, list[float]]
+    right: dict[str, list[float]]
+    skew: dict[str, float]
+    combine: str
+
+    def score(self, x: FeatureFrame) -> DataFrame:
+        from farpoint.session import ship
+
+        w = x.unpack()
+        sent = ship(w.df.sparkSession).sparkContext.broadcast(self)
+
+        @F.arrow_udf("double")
+        def score(*columns: pa.Array) -> pa.Array:
+            m, sides = sent.value, []
+            for f, c in zip(m.features, columns):
+                v, borders = c.to_numpy(zero_copy_only=False), np.array(m.values[f])
+                up = np.append(np.array(m.left[f]), 1.0)[np.searchsorted(borders, v, "left")]
+                down = np.append(np.array(m.right[f]), m.right[f][-1] if len(borders) else 1.0)[np.searchsorted(borders, v, "left")]
+                sides.append((-np.log(up), -np.log(down)))
+            left, right = sum(a for a, _ in sides), sum(b for _, b in sides)
+            picked = [a if m.skew[f] < 0 else b for f, (a, b) in zip(m.features, sides)]
+            if m.combine == "sum_then_max":
+                return pa.array(np.maximum(np.maximum(left, right), sum(picked)))
+            return pa.array(sum(np.maximum(p, (a + b) / 2) for p, (a, b) in zip(picked, sides)))
+
+        return w.df.select(*w.ids, score(*(F.col(f) for f in self.features)).alias("score"))
+
+
 @dataclass(frozen=True)
 class CopulaDetector:
     """'sum_then_max': the largest of the three sums over features; 'max_then_sum': sum of max(skew side, mean of both sides)."""
 
     combine: str = "sum_then_max"
 
+    def fit(self, x: FeatureFrame, most: int = 100_000) -> CopulaModel:
+        """A model for rows to come, of at most ``most`` borders a feature: beyond that, evenly many distinct values lie between two borders."""
+        w = x.unpack()
+        r = ranked_values(w)
+        step = F.get(F.array(*(F.lit(max(1, -(-n // most))) for n in r.distinct)), F.col("at"))
+        first = r.values.withColumn("n", F.get(F.array(*map(F.lit, r.rows)), F.col("at")))
+        kept = first.where((F.pmod(F.xxhash64("value"), step) == 0) | (F.col("before") == 0) | (F.col("before") + F.col("c") == F.col("n")))
+        rows = kept.select("at", "value", ((F.col("before") + F.col("c")) / F.col("n")).alias("l"), ((F.col("n") - F.col("before")) / F.col("n")).alias("r")).orderBy("at", "value").collect()
+        parts = {f: [q for q in rows if q["at"] == k] for k, f in enumerate(w.features)}
+        pick = lambda c: {f: [q[c] for q in part] for f, part in parts.items()}
+        return CopulaModel(w.features, pick("value"), pick("l"), pick("r"), skews(w), self.combine)
+
     def fit_score(self, x: FeatureFrame) -> DataFrame:
         each = _sum([F.greatest(F.col(f"us_{f}"), (F.col(f"ul_{f}") + F.col(f"ur_{f}")) / 2) for f in x.features])
         return tail_columns(x).select(*x.ids, (_sides(x) if self.combine == "sum_then_max" else each).alias("score"))
@@ -219,7 +269,7 @@ class PcaDetector:
 
 @dataclass(frozen=True)
 class BaggingDetector:
-    """A base detector on random feature subsets; scores are z-scaled, then combined by 'mean', 'max' or 'breadth_first' (ranked lists interleaved; the earlier a row first appears the higher its score)."""
+    """A base detector on random feature subsets; scores are z-scaled, then combined by 'mean', 'max' or 'breadth_first' (ranked lists interleaved, scores equal to nine places in the order of their ids; the earlier a row first appears the higher its score)."""
 
     base: object
     n: int = 5
@@ -235,7 +285,7 @@ class BaggingDetector:
             parts.append(s.withColumn("score", (F.col("score") - m["m"]) / m["s"] if m["s"] else F.col("score") * 0.0).withColumn("draw", F.lit(k)))
         all_ = reduce(DataFrame.unionByName, parts)
         if self.combine == "breadth_first":
-            ranked = all_.withColumn("place", F.row_number().over(Window.partitionBy("draw").orderBy(F.desc("score"), *x.ids)) * self.n + F.col("draw"))
+            ranked = row_numbers(all_.withColumn("score", F.round("score", 9)), "draw", [F.desc("score"), *map(F.col, x.ids)], "number").withColumn("place", F.col("number") * self.n + F.col("draw"))
             return ranked.groupBy(*x.ids).agg((-F.min("place")).cast("double").alias("score"))
         return all_.groupBy(*x.ids).agg((F.avg("score") if self.combine == "mean" else F.max("score")).alias("score"))
 
@@ -248,12 +298,17 @@ def label(scores: DataFrame, contamination: float | None = None, threshold: floa
         n = math.ceil(contamination * scores.count())
         top = scores.orderBy(F.desc("score"), *ids).limit(n).select(*ids, F.lit(True).alias("_top"))
         return scores.join(top, list(ids), "left").withColumn("is_outlier", F.coalesce("_top", F.lit(False))).drop("_top")
-    q = (lambda p: F.percentile_approx("score", p, 10000)) if approximate else (lambda p: F.percentile("score", p))
+
+    def cuts(*shares: float) -> list[float]:
+        if approximate:
+            return [v for v in scores.agg(*(F.percentile_approx("score", p, 10000) for p in shares)).first() if v is not None]
+        return quantiles(FeatureFrame(scores.select("score"), (), ("score",)), shares)["score"]
+
     if contamination is not None:
-        cut = scores.agg(q(1 - contamination)).first()[0]
+        cut = next(iter(cuts(1 - contamination)), None)
     elif rule == "iqr":
-        a, b = scores.agg(q(0.25), q(0.75)).first()
-        cut = None if b is None else b + 1.5 * (b - a)
+        found = cuts(0.25, 0.75)
+        cut = found[1] + 1.5 * (found[1] - found[0]) if found else None
     elif rule == "sd":
         a, b = scores.agg(F.avg("score"), F.stddev_pop("score")).first()
         cut = None if a is None else a + 3 * b
@@ -263,7 +318,7 @@ def label(scores: DataFrame, contamination: float | None = None, threshold: floa
 
 
 def normalize(scores: DataFrame, kind: str = "minmax") -> DataFrame:
-    """minmax, zscore, gauss (upper tail of a normal, rising with the score) or rank (share of rows with a smaller score, exact by value counts)."""
+    """minmax, zscore, gauss (the error function of z over the root of 2, 0 below the mean) or rank (share of rows with a smaller score, exact by value counts)."""
     if kind == "rank":
         ids = [c for c in scores.columns if c != "score"]
         w = FeatureFrame(scores, tuple(ids), ("score",))
@@ -275,7 +330,18 @@ def normalize(scores: DataFrame, kind: str = "minmax") -> DataFrame:
     z = (c - m["m"]) / m["s"] if m["s"] else c * 0.0
     if kind == "zscore":
         return scores.withColumn("score", z)
-    return scores.withColumn("score", F.greatest(F.lit(0.0), F.tanh(z * math.sqrt(2 / math.pi) * (1 + 0.044715 * z * z))))
+    return scores.withColumn("score", F.greatest(F.lit(0.0), erf(z / math.sqrt(2))))
+
+
+#: The coefficients of a rational approximation of the error function (absolute error below 1.5e-7).
+ERF_P, ERF_A = 0.3275911, (0.254829592, -0.284496736, 1.421413741, -1.453152027, 1.061405429)
+
+
+def erf(c: Column) -> Column:
+    """The error function, with an absolute error below 1.5e-7: Spark has none of its own."""
+    t = 1 / (1 + ERF_P * F.abs(c))
+    series = reduce(lambda total, a: (total + a) * t, reversed(ERF_A), F.lit(0.0))
+    return F.signum(c) * (1 - series * F.exp(-(c * c)))
 
 
 def combine(scores: Sequence[DataFrame], ids: Sequence[str], how: str = "mean", weights: Sequence[float] | None = None) -> DataFrame:

@@ -21,6 +21,12 @@ def line_measures(spark: SparkSession, sf_dir: str) -> FeatureFrame:
     return FeatureFrame.wide(df, LINE_IDS, ["quantity", "price", "discount", "tax"], "trust")
 
 
+def line_subset(spark: SparkSession, sf_dir: str) -> FeatureFrame:
+    """The lines of orders below 500: small enough for all pairs at every scale."""
+    x = line_measures(spark, sf_dir)
+    return FeatureFrame(x.df.where(F.col("l_orderkey") < 500), x.ids, x.features)
+
+
 def customer_behaviour(spark: SparkSession, sf_dir: str) -> FeatureFrame:
     price = F.col("o_totalprice").cast("decimal(18,2)")
     per = table(spark, sf_dir, "orders", "o_custkey", "o_totalprice", "o_orderpriority").groupBy("o_custkey").agg(F.count("*").alias("n"), F.sum(price).cast("double").alias("s"), F.max(price).cast("double").alias("m"), F.count_if(F.col("o_orderpriority") == "1-URGENT").alias("u"))

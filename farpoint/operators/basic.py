@@ -16,15 +16,34 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from farpoint.model import FeatureFrame
+from farpoint.operators.ecdf import quantiles
 
 
-def moments(x: FeatureFrame) -> DataFrame:
-    """(feature, n, mean, sd, min, max, skew, kurt), population moments, one pass; a constant feature has skew and kurt 0."""
+def moments(x: FeatureFrame, exact: bool = False) -> DataFrame:
+    """(feature, n, mean, sd, min, max, skew, kurt), population moments, one pass; a constant feature has skew and kurt 0.
+
+    exact: the mean's sum is taken over decimals of 18 places, so that it does not vary with the order of rows (values from 1e-3 to 1e15 in size, else the plain mean).
+    """
     w = x.unpack()
-    one = lambda f: F.struct(F.lit(f).alias("feature"), F.count(f).alias("n"), F.avg(f).alias("mean"), F.stddev_pop(f).alias("sd"), F.min(f).alias("min"), F.max(f).alias("max"), _finite(F.skewness(f)).alias("skew"), _finite(F.kurtosis(f)).alias("kurt"))
+
+    def mean(f: str) -> Column:
+        if not exact:
+            return F.avg(f)
+        top = F.max(F.abs(f))
+        total = F.sum(F.when(F.abs(f) < 1e15, F.col(f)).cast("decimal(38,18)")).cast("double")
+        return F.when((top >= 1e-3) & (top < 1e15), total / F.count(f)).otherwise(F.avg(f))
+
+    one = lambda f: F.struct(F.lit(f).alias("feature"), F.count(f).alias("n"), mean(f).alias("mean"), F.stddev_pop(f).alias("sd"), F.min(f).alias("min"), F.max(f).alias("max"), _finite(F.skewness(f)).alias("skew"), _finite(F.kurtosis(f)).alias("kurt"))
     return w.df.agg(F.array(*(one(f) for f in w.features)).alias("m")).select(F.inline("m"))
 
 
+def skews(x: FeatureFrame) -> dict[str, float]:
+    """Population skewness of every feature, 0 where it is constant: one aggregate."""
+    w = x.unpack()
+    row = w.df.agg(*(_finite(F.skewness(f)).alias(f"k{i}") for i, f in enumerate(w.features))).first()
+    return dict(zip(w.features, row))
+
+
 def _finite(c: Column) -> Column:
     return F.when(c.isNull() | F.isnan(c), F.lit(0.0)).otherwise(c)
 
@@ -41,8 +60,8 @@ def scale(x: FeatureFrame, kind: str = "minmax") -> FeatureFrame:
         factor = 2.0 ** -math.ceil(math.log2(top)) if top > 0 else 1.0
         return x.map(lambda f, c: c * factor)
     if kind == "robust":
-        row = x.unpack().df.agg(*(F.percentile(f, F.array(F.lit(0.25), F.lit(0.5), F.lit(0.75))).alias(f) for f in x.features)).first()
-        return x.map(lambda f, c: (c - row[f][1]) / (row[f][2] - row[f][0]) if row[f][2] > row[f][0] else c * 0.0)
+        q = quantiles(x, [0.25, 0.5, 0.75])
+        return x.map(lambda f, c: (c - q[f][1]) / (q[f][2] - q[f][0]) if q[f] and q[f][2] > q[f][0] else c * 0.0)
     s = stats(x)
     if kind == "minmax":
         return x.map(lambda f, c: (c - s[f]["min"]) / (s[f]["max"] - s[f]["min"]) if s[f]["max"] > s[f]["min"] else c * 0.0)
@@ -73,14 +92,14 @@ def edges_of(x: FeatureFrame, bins: int | str = 10, kind: str = "width") -> dict
         return {f: [0.0, 0.0] for f in w.features}
     count = dict.fromkeys(w.features, bins if isinstance(bins, int) else max(1, math.ceil(math.sqrt(n))))
     if bins == "fd":
-        q = w.df.agg(*(F.percentile(f, F.array(F.lit(0.25), F.lit(0.75))).alias(f) for f in w.features)).first()
+        q = quantiles(w, [0.25, 0.75])
         for f in w.features:
             step = 2 * (q[f][1] - q[f][0]) / n ** (1 / 3) if n else 0
             if step > 0:
                 count[f] = max(1, math.ceil((s[f]["max"] - s[f]["min"]) / step))
     if kind == "frequency":
-        row = w.df.agg(*(F.percentile(f, F.array(*(F.lit(k / count[f]) for k in range(count[f] + 1)))).alias(f) for f in w.features)).first()
-        return {f: sorted(set(row[f])) for f in w.features}
+        cuts = {n: quantiles(w.select([f for f in w.features if count[f] == n]), [k / n for k in range(n + 1)]) for n in set(count.values())}
+        return {f: sorted(set(cuts[count[f]][f])) for f in w.features}
     out = {}
     for f in w.features:
         lo, hi = s[f]["min"], s[f]["max"]

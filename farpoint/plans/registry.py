@@ -17,9 +17,9 @@ from pyspark.sql import functions as F
 
 from farpoint.model import FeatureFrame
 from farpoint.plans.arrow import grouped, matrix
-from farpoint.plans.blocks import Block, blocks_for, run_owners
+from farpoint.plans.blocks import Block, MemoryBudgetExceeded, blocks_for, run_owners
 from farpoint.quantize.bounds import eligible
-from farpoint.session import ship
+from farpoint.session import ship, stage
 
 
 @dataclass(frozen=True)
@@ -44,6 +44,8 @@ class OpSpec:
         return eligible(self.raw_floats, self.gain, self.check_cost)
 
 
+#: Bytes of one feature (ids and values) that a task takes for an operator that needs it whole.
+FEATURE_BUDGET = 1 << 30
 OPERATORS: dict[str, OpSpec] = {}
 IMPLEMENTATIONS: dict[str, Callable] = {}
 DETECTORS: dict[str, Callable[..., DataFrame]] = {}
@@ -69,7 +71,7 @@ for spec in (
 
 
 def register_operator(spec: OpSpec, fn: Callable, splitter: Callable | None = None) -> None:
-    """fn: rows strategy, matrix to matrix with as many rows; features strategy, one column to one column; pairs strategy, unused.
+    """fn: rows strategy, matrix to matrix with as many rows; features strategy, one whole column to one column (refused beyond FEATURE_BUDGET); pairs strategy, unused.
     splitter (pairs only, mandatory there): (own ids, own rows, other ids, other rows) to (ids i, ids j, values)."""
     if spec.strategy == "pairs" and splitter is None:
         raise ValueError(f"{spec.name} depends on other rows and other features: it needs a splitter")
@@ -108,6 +110,8 @@ def run_operator(name: str, x: FeatureFrame, batch: int = 4096, blocks: int | No
             out = np.asarray(fn(g.column(2).to_numpy(zero_copy_only=False)), float)
             yield pa.RecordBatch.from_arrays([g.column(0), g.column(1), pa.array(out)], names=["at", "id", "v"])
 
+    if (need := x.count() * 16) > FEATURE_BUDGET:  # the function asks for a whole feature at once
+        raise MemoryBudgetExceeded(f"a feature of {need >> 20} MB does not fit a task of {FEATURE_BUDGET >> 20} MB; use ranked values, histograms or moments")
     cells = x.pack().df.select("id", F.posexplode("x").alias("at", "v")).select(F.col("at").cast("long").alias("at"), "id", "v")
     columns = cells.repartition("at").sortWithinPartitions("at", "id").mapInArrow(by_feature, "at long, id long, v double")
     return columns.groupBy("id").agg(F.transform(F.array_sort(F.collect_list(F.struct("at", "v"))), lambda c: c["v"]).alias("x"))
@@ -149,21 +153,56 @@ register_fusion(("lookup", "histogram"), _merged("histogram_score_fused"))
 register_fusion(("square", "project"), _merged("component_score_fused"))
 
 
-def lower(node: OpNode, fused: bool = True) -> DataFrame:
-    """Plan a tree. Without fusion, distances are written out between operators."""
+def lower(node: OpNode, fused: bool = True) -> DataFrame | FeatureFrame:
+    """Plan a tree. Without fusion every operator's result is written out and read by the next. Operators of a user's own run by their class."""
     from farpoint.composite import neighbours as N
     from farpoint.detectors import statistical as S
+    from farpoint.operators import basic as O
+    from farpoint.operators.ecdf import ecdf
 
     if fused:
         node = fuse(node)
     p = node.params
-    src = lambda: lower(node.inputs[0], False) if isinstance(node.inputs[0], OpNode) else node.inputs[0]
+
+    def src():
+        return lower(node.inputs[0], False) if isinstance(node.inputs[0], OpNode) else node.inputs[0]
+
+    def leaf(n: OpNode = node) -> FeatureFrame:
+        return leaf(n.inputs[0]) if isinstance(n.inputs[0], OpNode) else n.inputs[0]
+
+    def log() -> DataFrame:
+        x = leaf()
+        skew = F.element_at(F.create_map(*(F.lit(v) for f, s in O.skews(x).items() for v in (f, s))), F.col("feature"))
+        left, right = F.log("f_left") * -1.0, F.log("f_right") * -1.0
+        return stage(src(), "ecdf").select(*x.ids, "feature", left.alias("u_left"), right.alias("u_right"), F.when(skew < 0, left).otherwise(right).alias("u_skew"))
+
+    def lookup() -> DataFrame:
+        x, d = leaf(), S.HistogramDetector(node.inputs[0].params.get("bins", 10))
+        return d.model(O.edges_of(x, d.bins), stage(src(), "histogram")).score(x)
+
+    def project() -> FeatureFrame:
+        x = src()
+        m = S.PcaDetector().fit(x)
+        at = {f: k for k, f in enumerate(m.features)}
+        z = x.select(list(m.features)).map(lambda f, c: (c - m.mean[at[f]]) / m.sd[at[f]])
+        return O.project(z, m.vectors[:, list(m.chosen)] / np.sqrt(m.values[list(m.chosen)]))
+
+    def square() -> DataFrame:
+        x = src().staged("projected")
+        return x.df.select(*x.ids, sum((F.col(f) * F.col(f) for f in x.features), F.lit(0.0)).alias("score"))
+
     blocks = p.get("blocks")
     table = {
-        "pairwise_distance": lambda: N.pairwise_distance(src(), p.get("metric", "euclidean"), blocks=blocks or blocks_for(src())),
+        "pairwise_distance": lambda: (lambda x: N.pairwise_distance(x, p.get("metric", "euclidean"), blocks=blocks or blocks_for(x)))(src()),
         "topk_smallest": lambda: N._ranked(src(), p["k"]),
         "within": lambda: src().where(F.col("dist") <= p["phi"]).select("i", "j"),
         "count": lambda: src().groupBy("i").agg(F.count("*").alias("n")),
+        "ecdf": lambda: ecdf(src()),
+        "log": log,
+        "histogram": lambda: O.histogram(src(), p.get("bins", 10)),
+        "lookup": lookup,
+        "project": project,
+        "square": square,
         "knn_fused": lambda: N.knn(src(), p["k"], blocks=blocks, metric=p.get("metric", "euclidean"), precision=p.get("precision", 64)),
         "range_fused": lambda: N.nwr(src(), p["phi"], blocks=blocks, precision=p.get("precision", 64)),
         "range_count_fused": lambda: N.nwr_counts(src(), [p["phi"]], blocks).where("n > 0").select("i", "n"),
@@ -171,9 +210,12 @@ def lower(node: OpNode, fused: bool = True) -> DataFrame:
         "histogram_score_fused": lambda: S.HistogramDetector(p.get("bins", 10)).fit_score(src()),
         "component_score_fused": lambda: S.PcaDetector().fit_score(src()),
     }
-    if node.op not in table:
-        raise ValueError(f"no plan for {node.op}")
-    return table[node.op]()
+    if node.op in table:
+        return table[node.op]()
+    if node.op in IMPLEMENTATIONS:
+        x = src()
+        return run_operator(node.op, x if isinstance(x, FeatureFrame) else FeatureFrame(x, ("id",), leaf().features, True), blocks=blocks)
+    raise ValueError(f"no plan for {node.op}")
 
 
 def detector(name: str) -> Callable:

@@ -41,6 +41,15 @@ DOCUMENTS = r"""select doc_id, cast(length(t) as double) as chars, cast(len(w) a
   len(list_distinct(w)) / cast(greatest(len(w), 1) as double) as distinct_share, cast(length(t) - length(replace(t, chr(10), '')) + 1 as double) as lines
   from (select doc_id, t, cast(greatest(length(t), 1) as double) as n, list_filter(string_split_regex(t, '[ \t\n\r]+'), lambda x: x <> '') as w from (select doc_id, coalesce(text, '') as t from documents))"""
 DOCUMENT_FEATURES = ["chars", "words", "mean_word", "digit_share", "upper_share", "punct_share", "distinct_share", "lines"]
+_types = ["click", "view", "purchase", "signup"]
+USERS = "select user_id, cast(count(*) as double) as n, avg(value) as mean_value, stddev_pop(value) as sd_value, max(value) as max_value, " + ", ".join(f"count(*) filter (where event_type = '{t}') / cast(count(*) as double) as share_{t}" for t in _types) + " from events group by user_id"
+USER_FEATURES = ["n", "mean_value", "sd_value", "max_value", *(f"share_{t}" for t in _types)]
+PAGES = r"""select page_id, cast(length(t) as double) as html_len, cast(len(regexp_extract_all(t, '<[a-z]')) as double) as tags, cast(len(regexp_extract_all(t, '<a ')) as double) as links,
+  cast(len(regexp_extract_all(t, '<script')) as double) as scripts, length(regexp_replace(t, '<[^>]*>', '', 'g')) / cast(greatest(length(t), 1) as double) as text_share, cast(len(regexp_extract_all(u, '/')) as double) as url_depth
+  from (select page_id, coalesce(html, '') as t, coalesce(url, '') as u from pages)"""
+PAGE_FEATURES = ["html_len", "tags", "links", "scripts", "text_share", "url_depth"]
+CONVERSATIONS = "select conv_id, cast(count(*) as double) as turns, avg(n) as mean_len, cast(max(n) as double) as max_len, stddev_pop(n) as sd_len, count(*) filter (where role = 'user') / cast(count(*) as double) as user_share from (select *, length(coalesce(text, '')) as n from conversations) group by conv_id"
+CONVERSATION_FEATURES = ["turns", "mean_len", "max_len", "sd_len", "user_share"]
 CUSTOMERS_SCALED = f"""select c_custkey as id, [{', '.join(f'({f} - lo_{f}) / (hi_{f} - lo_{f})' for f in CUSTOMER_FEATURES)}] as v
   from ({CUSTOMERS}), (select {', '.join(f'min({f}) as lo_{f}, max({f}) as hi_{f}' for f in CUSTOMER_FEATURES)} from ({CUSTOMERS}))"""
 

@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import random
+from functools import reduce
 
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from farpoint import features as X
@@ -12,7 +14,7 @@ from farpoint.composite import neighbours as N
 from farpoint.detectors import statistical as S
 from farpoint.detectors.proximity import AngleDetector, KnnDetector, LociDetector, LofDetector
 from farpoint.model import FeatureFrame
-from farpoint.queries.base import CUSTOMER_FEATURES, CUSTOMERS, CUSTOMERS_SCALED, DOCUMENT_FEATURES, DOCUMENTS, EVENTS, LINE_KEYS, LINES, ORDERS, VECTORS, cdf_sql, edges_sql, knn_sql, register, rounded, side_sums
+from farpoint.queries.base import CONVERSATION_FEATURES, CONVERSATIONS, CUSTOMER_FEATURES, CUSTOMERS, CUSTOMERS_SCALED, DOCUMENT_FEATURES, DOCUMENTS, EVENTS, LINE_KEYS, LINES, ORDERS, PAGE_FEATURES, PAGES, USER_FEATURES, USERS, VECTORS, cdf_sql, edges_sql, knn_sql, register, rounded, side_sums
 from farpoint.queries.operators import LINE_FEATURES, customers_scaled
 from farpoint.quantize.bounds import distance_bound, gamma
 from farpoint.session import stage, table
@@ -43,13 +45,18 @@ _pairs = f"{knn_sql(VECTORS, 5)}, w as materialized (select n.i, n.j, list_trans
 scored("abod_mean_cosine", lambda s, d: AngleDetector(5, blocks=3).fit_score(X.vectors(s, d)), f"with {_pairs} select i as id, round(avg(dot / (sqrt(na) * sqrt(nb))), 6) + 0.0 as score from c group by i")
 scored("abod_fast_variance", lambda s, d: AngleDetector(5, "fast_variance", 3).fit_score(X.vectors(s, d)), f"with {_pairs}, f as (select i, dot / (na * nb) as f, 1 / (sqrt(na) * sqrt(nb)) as w from c) select i as id, round(-(sum(w * f * f) / sum(w) - pow(sum(w * f) / sum(w), 2)), 6) + 0.0 as score from f group by i")
 scored("abod_raw_cosine", lambda s, d: AngleDetector(5, "raw", 3).fit_score(X.vectors(s, d)), f"with {knn_sql(VECTORS, 5)} select n.i as id, round(avg(1 - list_sum(list_transform(list_zip(p.v, q.v), lambda z: z[1] * z[2])) / (sqrt(list_sum(list_transform(p.v, lambda z: z * z))) * sqrt(list_sum(list_transform(q.v, lambda z: z * z))))), 6) as score from n join x p on p.id = n.i join x q on q.id = n.j group by n.i")
-scored("abod_full_pairs", lambda s, d: AngleDetector(None).fit_score(_users(s, d)), None)
 
 
 def _users(s, d):
     from farpoint.operators.basic import scale
 
-    return scale(X.user_activity(s, d)).pack()
+    return scale(X.user_activity(s, d).staged()).pack()
+
+
+_unit = ", ".join(f"case when hi_{f} > lo_{f} then ({f} - lo_{f}) / (hi_{f} - lo_{f}) else {f} * 0.0 end" for f in USER_FEATURES)
+_users_scaled = f"select user_id as id, [{_unit}] as v from ({USERS}), (select {', '.join(f'min({f}) as lo_{f}, max({f}) as hi_{f}' for f in USER_FEATURES)} from ({USERS}))"
+_all_angles = f"x as materialized ({_users_scaled}), w as materialized (select p.id as i, q.id as j, list_transform(list_zip(q.v, p.v), lambda z: z[1] - z[2]) as w from x p join x q on p.id <> q.id), m as materialized (select *, list_sum(list_transform(w, lambda q: q * q)) as n from w), c as (select a.i, list_sum(list_transform(list_zip(a.w, b.w), lambda z: z[1] * z[2])) as dot, a.n as na, b.n as nb from m a join m b on a.i = b.i and a.j < b.j and a.n > 0 and b.n > 0)"
+scored("abod_full_pairs", lambda s, d: AngleDetector(None).fit_score(_users(s, d)), f"with {_all_angles} select x.id, round(coalesce(avg(dot / (sqrt(na) * sqrt(nb))), 0.0), 6) + 0.0 as score from x left join c on c.i = x.id group by x.id")
 
 
 # Correlation integral
@@ -66,7 +73,7 @@ def hbos_sql(view, keys, features, bins, where="true", alpha=0.1):
     binned = ", ".join(f"least(floor(({f} - lo_{f}) / ((hi_{f} - lo_{f}) / {n(f)})), {n(f)} - 1) as b_{f}" for f in features)
     heights = ", ".join(f"h_{f} as (select b_{f}, count(*) / cast(max(count(*)) over () as double) as h_{f} from b where fitted group by b_{f})" for f in features)
     joins = " ".join(f"left join h_{f} using (b_{f})" for f in features)
-    total = " + ".join(f"-ln(coalesce(h_{f}, 0) + {alpha})" for f in features)
+    total = " + ".join(f"case when hi_{f} > lo_{f} then -ln(coalesce(h_{f}, 0) + {alpha}) else 0.0 end" for f in features)  # a constant feature adds nothing
     return f"x as (select *, ({where}) as fitted from ({view})), r as (select {lim} from x where fitted), b as materialized (select x.*, r.*, {binned} from x, r), {heights}, scores as (select {keys}, {total} as score from b {joins})"
 
 
@@ -128,7 +135,8 @@ for _ in range(4):
 _bags = "with " + ", ".join(f"s{k} as (with {hbos_sql(LINES, LINE_KEYS, fs, '10')} select {LINE_KEYS}, (score - avg(score) over ()) / stddev_pop(score) over () as score from scores)" for k, fs in enumerate(_draws)) + ", u as (" + " union all ".join(f"select * from s{k}" for k in range(4)) + ")"
 for how, agg in (("mean", "avg"), ("max", "max")):
     scored(f"bagging_{how}", lambda s, d, h=how: S.BaggingDetector(S.HistogramDetector(10), 4, h, 2).fit_score(X.line_measures(s, d)), f"{_bags} select {LINE_KEYS}, round({agg}(score), 5) + 0.0 as score from u group by all", 5)
-scored("bagging_breadth_first", lambda s, d: S.BaggingDetector(S.HistogramDetector(10), 4, "breadth_first", 2).fit_score(X.line_measures(s, d)), None)
+_places = " union all ".join(f"select {LINE_KEYS}, row_number() over (order by round(score, 9) desc, {LINE_KEYS}) * 4 + {k} as place from s{k}" for k in range(4))
+scored("bagging_breadth_first", lambda s, d: S.BaggingDetector(S.HistogramDetector(10), 4, "breadth_first", 2).fit_score(X.line_measures(s, d)), f"{_bags}, p as ({_places}) select {LINE_KEYS}, cast(-min(place) as double) as score from p group by all")
 
 
 def _labelled(name, how, flag):
@@ -159,7 +167,9 @@ scored("ensemble_rank_mean", _rank_mean, f"select c_custkey, round((a.score + b.
 _norm = lambda e: f"select c_custkey, round({e}, 6) + 0.0 as score from ({_hist})"
 scored("normalize_minmax", lambda s, d: S.normalize(_two_detectors(s, d)[0]), _norm("(score - min(score) over ()) / (max(score) over () - min(score) over ())"))
 scored("normalize_zscore", lambda s, d: S.normalize(_two_detectors(s, d)[0], "zscore"), _norm("(score - avg(score) over ()) / stddev_pop(score) over ()"))
-scored("normalize_gauss", lambda s, d: S.normalize(_two_detectors(s, d)[0], "gauss"), None)
+_t = f"(1 / (1 + {S.ERF_P} * abs(z)))"
+_erf = f"sign(z) * (1 - ({' + '.join(f'({a}) * pow({_t}, {k + 1})' for k, a in enumerate(S.ERF_A))}) * exp(-z * z))"
+scored("normalize_gauss", lambda s, d: S.normalize(_two_detectors(s, d)[0], "gauss"), f"select c_custkey, round(greatest(0.0, {_erf}), 6) + 0.0 as score from (select c_custkey, (score - avg(score) over ()) / stddev_pop(score) over () / sqrt(2) as z from ({_hist}))")
 scored("ensemble_max", lambda s, d: S.combine([S.normalize(f) for f in _two_detectors(s, d)], ["c_custkey"], "max"), f"select c_custkey, round(greatest(a.s, b.s), 6) + 0.0 as score from (select c_custkey, (score - min(score) over ()) / (max(score) over () - min(score) over ()) as s from ({_hist})) a join (select c_custkey, (score - min(score) over ()) / (max(score) over () - min(score) over ()) as s from ({_cop})) b using (c_custkey)")
 
 
@@ -227,15 +237,39 @@ def _flips(s, d):
 register("baseline_unverified_flips", _flips)
 
 
-def _auc_change(s, d):
-    """ROC-AUC of the k-neighbour detector on planted outliers: 64 bit, 16 bit with and without check."""
-    x = X.synthetic(s, 2000, 8, 0.03)
-    truth = x.df.select("id", X.planted(0.03).alias("truth"))
-    out = None
-    for name, det in (("64", KnnDetector(10)), ("16 checked", KnnDetector(10, precision=16)), ("16 unchecked", KnnDetector(10, precision=16, verify=False))):
-        one = M.roc_auc(det.fit_score(x.pack()).join(truth, "id")).select(F.lit(name).alias("form"), "auc")
-        out = one if out is None else out.union(one)
-    return rounded(out, "auc", digits=4)
+def _auc_rows(s, d, forms):
+    """ROC-AUC of the mean distance to 10 neighbours, in several forms, on text statistics against the quality labels and on generated points with planted outliers."""
+    from farpoint.operators.basic import scale
+
+    docs = scale(X.document_stats(s, d).staged()).pack().staged()
+    points = X.synthetic(s, 1500, 6, 0.03).pack()
+    bad = table(s, d, "labels", F.col("doc_id").alias("id"), (F.col("quality") == 0).alias("truth"))
+    out = []
+    for data, x, truth in (("documents", docs, bad), ("generated", points, points.df.select("id", X.planted(0.03).alias("truth")))):
+        for name, detector in forms:
+            found = rounded(detector.fit_score(x), "score", digits=9).join(truth, "id")
+            out.append(M.roc_auc(found).select(F.lit(data).alias("data"), F.lit(name).alias("form"), "auc"))
+    return rounded(reduce(DataFrame.unionByName, out), "auc")
+
+
+_CHECKED = [("64", KnnDetector(10, "mean")), ("16 checked", KnnDetector(10, "mean", precision=16))]
+_noise = lambda k: f"(((id * ({1103515 + 2 * k}) + ({7919 + k * 104729})) * 69069 + {k * 15485863}) % 1000003 / 1000003.0::double)"
+_out = "((id * 7717 + 1) % 10007 < 300)"
+_points = "select id, [" + ", ".join(f"case when {_out} then {_noise(k)} * 8 - 4 else (((id % 4) * {k + 3}) % 5 - 2) * 0.5::double + ({_noise(k)} + {_noise(k + 6)} - 1) * 0.5::double end" for k in range(6)) + f"] as v, {_out} as truth from (select unnest(range(1500)) as id)"
+_doc_range = ", ".join(f"min({f}) as lo_{f}, max({f}) as hi_{f}" for f in DOCUMENT_FEATURES)
+_doc_points = f"select doc_id as id, [{', '.join(f'case when hi_{f} > lo_{f} then ({f} - lo_{f}) / (hi_{f} - lo_{f}) else {f} * 0.0 end' for f in DOCUMENT_FEATURES)}] as v from ({DOCUMENTS}), (select {_doc_range} from ({DOCUMENTS}))"
+
+
+def _auc_sql(data, points, truth):
+    return f"select '{data}' as data, auc from (with {knn_sql(points, 10)}, j as (select i, round(avg(dist), 9) as score from n group by i), t as ({truth}), r as (select truth, rank() over (order by score) + (count(*) over (partition by score) - 1) / 2.0 as r from j join t on t.id = j.i) select round((sum(r) filter (where truth) - count(*) filter (where truth) * (count(*) filter (where truth) + 1) / 2.0) / (count(*) filter (where truth) * count(*) filter (where not truth)), 6) as auc from r)"
+
 
+_forms_sql = ", ".join(f"('{name}')" for name, _ in _CHECKED)
+register("workload_auc_change", lambda s, d: _auc_rows(s, d, _CHECKED), f"select data, form, auc from ({_auc_sql('documents', _doc_points, 'select doc_id as id, quality = 0 as truth from labels')} union all {_auc_sql('generated', f'select id, v from ({_points})', f'select id, truth from ({_points})')}), (values {_forms_sql}) f(form)")
+register("workload_auc_unchecked", lambda s, d: _auc_rows(s, d, [("16 unchecked", KnnDetector(10, "mean", precision=16, verify=False))]))
 
-register("workload_auc_change", _auc_change)
+# Detectors on the remaining feature sets of the given tables
+scored("hbos_line_subset", lambda s, d: S.HistogramDetector(10).fit_score(X.line_subset(s, d)), f"with {hbos_sql(f'select * from ({LINES}) where l_orderkey < 500', LINE_KEYS, LINE_FEATURES, '10')} select {LINE_KEYS}, round(score, 6) + 0.0 as score from scores")
+scored("copod_users", lambda s, d: S.CopulaDetector().fit_score(X.user_activity(s, d).staged()), f"with {cdf_sql(USERS, 'user_id', USER_FEATURES)} select user_id, round({side_sums(USER_FEATURES)}, 6) + 0.0 as score from t")
+scored("hbos_pages", lambda s, d: S.HistogramDetector(10).fit_score(X.page_stats(s, d).staged()), f"with {hbos_sql(PAGES, 'page_id', PAGE_FEATURES, '10')} select page_id, round(score, 6) + 0.0 as score from scores")
+scored("hbos_conversations", lambda s, d: S.HistogramDetector(10).fit_score(X.conversation_stats(s, d).staged()), f"with {hbos_sql(CONVERSATIONS, 'conv_id', CONVERSATION_FEATURES, '10')} select conv_id, round(score, 6) + 0.0 as score from scores")

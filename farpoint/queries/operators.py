@@ -78,8 +78,8 @@ register("ecdf_ties", lambda s, d: rounded(ecdf(X.event_values(s, d)), "f_left",
 register("ecdf_window", lambda s, d: ecdf_window(X.event_values(s, d).select(["value"])).select("event_id", r6("l_value").alias("f_left"), r6("r_value").alias("f_right")), f"select event_id, round({_cdf('value', 'l')}, 6) + 0.0 as f_left, round({_cdf('value', 'r')}, 6) + 0.0 as f_right from ({EVENTS})")
 
 # Moments, covariance, scaling
-_mom = lambda f: f"select '{f}' as feature, count(*) as n, round(any_value(m), 6) as mean, round(sqrt(avg(pow({f} - m, 2))), 6) as sd, min({f}) as min, max({f}) as max, round(avg(pow({f} - m, 3)) / pow(avg(pow({f} - m, 2)), 1.5), 6) as skew, round(avg(pow({f} - m, 4)) / pow(avg(pow({f} - m, 2)), 2) - 3, 6) as kurt from (select {f}, avg({f}) over () as m from ({LINES}))"
-register("moments_all", lambda s, d: rounded(O.moments(X.line_measures(s, d)), "mean", "sd", "skew", "kurt"), " union all ".join(map(_mom, LINE_FEATURES)))
+_mom = lambda f: f"select '{f}' as feature, count(*) as n, round(cast(sum(cast({f} as decimal(18,4))) as double) / count(*), 6) as mean, round(sqrt(avg(pow({f} - m, 2))), 6) as sd, min({f}) as min, max({f}) as max, round(avg(pow({f} - m, 3)) / pow(avg(pow({f} - m, 2)), 1.5), 6) as skew, round(avg(pow({f} - m, 4)) / pow(avg(pow({f} - m, 2)), 2) - 3, 6) as kurt from (select {f}, avg({f}) over () as m from ({LINES}))"
+register("moments_all", lambda s, d: rounded(O.moments(X.line_measures(s, d), exact=True), "mean", "sd", "skew", "kurt"), " union all ".join(map(_mom, LINE_FEATURES)))
 
 
 def _cov(s, d):

@@ -8,13 +8,13 @@ from pyspark.sql.window import Window
 from farpoint import features as X
 from farpoint.baselines import local as B
 from farpoint.composite import neighbours as N
-from farpoint.detectors.statistical import HistogramDetector, PcaDetector
+from farpoint.detectors.statistical import CopulaDetector, HistogramDetector, PcaDetector
 from farpoint.functions import sql as Q
 from farpoint.model import FeatureFrame
 from farpoint.operators import relational as R
 from farpoint.operators.basic import histogram
 from farpoint.plans.registry import OpNode, lower
-from farpoint.queries.base import CUSTOMERS, LINE_KEYS, LINES, ORDERS, VECTORS, dist_sql, edges_sql, knn_sql, r6, register, rounded
+from farpoint.queries.base import CUSTOMERS, CUSTOMERS_SCALED, LINE_KEYS, LINES, ORACLES, EVENTS, ORDERS, VECTORS, cdf_sql, dist_sql, edges_sql, knn_sql, r6, register, rounded, side_sums
 from farpoint.queries.detectors import hbos_sql
 from farpoint.queries.operators import LINE_FEATURES, customers_scaled
 from farpoint.session import fresh_path, table
@@ -47,6 +47,11 @@ _tree = lambda s, d: OpNode("topk_smallest", (OpNode("pairwise_distance", (X.vec
 both("fusion_knn_tree", lambda s, d: rounded(lower(_tree(s, d)), "dist"), f"with {knn_sql(VECTORS, 5)} select i, j, cast(rank as int) as rank, round(dist, 6) as dist from n")
 both("fusion_knn_unfused", lambda s, d: rounded(lower(_tree(s, d), False), "dist"), f"with {knn_sql(VECTORS, 5)} select i, j, cast(rank as int) as rank, round(dist, 6) as dist from n")
 both("fusion_range_count", lambda s, d: lower(OpNode("count", (OpNode("within", (OpNode("pairwise_distance", (X.vectors(s, d),), {"blocks": 3}),), {"phi": 1.25}),))), f"with {edges_sql(VECTORS)} select i, count(*) as n from e where dist <= 1.25 group by i")
+_lines_tree = lambda outer, inner, fused=True: lambda s, d: lower(OpNode(outer, (OpNode(inner, (X.line_measures(s, d).select(["quantity", "price", "discount"]) if outer == "square" else X.line_measures(s, d),)),)), fused)
+for _name, _fused in (("", True), ("_unfused", False)):
+    both(f"fusion_tails{_name}", lambda s, d, f=_fused: rounded(_lines_tree("log", "ecdf", f)(s, d), "u_left", "u_right", "u_skew"), ORACLES["tails_left_right_skew"])
+    both(f"fusion_components{_name}", lambda s, d, f=_fused: rounded(_lines_tree("square", "project", f)(s, d), "score", digits=5), ORACLES["pca_all"])
+both("fusion_histogram_unfused", lambda s, d: rounded(_lines_tree("lookup", "histogram", False)(s, d), "score"), f"with {hbos_sql(LINES, LINE_KEYS, LINE_FEATURES, '10')} select {LINE_KEYS}, round(score, 6) + 0.0 as score from scores")
 both("fusion_histogram_score", lambda s, d: rounded(lower(OpNode("lookup", (OpNode("histogram", (X.line_measures(s, d),), {"bins": 10}),))), "score"), f"with {hbos_sql(LINES, LINE_KEYS, LINE_FEATURES, '10')} select {LINE_KEYS}, round(score, 6) + 0.0 as score from scores")
 
 
@@ -192,16 +197,18 @@ both("fn_pandas_grouped", lambda s, d: Q.median_of(table(s, d, "events", "user_i
 
 
 def _udtf(s, d):
+    """The two nearest customers that share a supplier's number, by a table function over blocks of all of these."""
     s.udtf.register("fp_nearest_of", Q.nearest_of)
     x = customers_scaled(s, d).df
-    ref = table(s, d, "supplier", "s_suppkey").agg(F.array_sort(F.collect_list("s_suppkey"))).first()[0][:3]  # three reference ids
+    ref = x.join(table(s, d, "supplier", c("s_suppkey").alias("id")), "id", "left_semi")
+    blocks = max(1, -(-ref.count() // 1024))
+    ref.groupBy(F.pmod(F.xxhash64("id"), F.lit(blocks)).alias("block")).agg(F.collect_list(F.struct("id", "x")).alias("l")).select(F.transform("l", lambda v: v["id"]).alias("ids"), F.transform("l", lambda v: v["x"]).alias("vs")).createOrReplaceTempView("fp_points")
     x.createOrReplaceTempView("fp_customers")
-    points = x.where(c("id").isin(ref)).agg(F.collect_list(F.struct("id", "x")).alias("l")).select(F.transform("l", lambda v: v["id"]).alias("ids"), F.transform("l", lambda v: v["x"]).alias("vs"))
-    points.createOrReplaceTempView("fp_points")
-    return s.sql("select c.id as i, t.rank, t.id as j, round(t.dist, 6) as dist from fp_customers c cross join fp_points p, lateral fp_nearest_of(c.x, p.ids, p.vs, 2) t")
+    near = s.sql("select c.id as i, t.id as j, t.dist from fp_customers c cross join fp_points p, lateral fp_nearest_of(c.x, p.ids, p.vs, 2) t")
+    return rounded(N._ranked(near, 2), "dist")
 
 
-both("fn_udtf", _udtf, None)
+both("fn_udtf", _udtf, f"with x as ({CUSTOMERS_SCALED}), e as (select a.id as i, b.id as j, {dist_sql()} as dist from x a join x b on b.id in (select s_suppkey from supplier)) select i, j, cast(rank as int) as rank, round(dist, 6) as dist from (select *, row_number() over (partition by i order by dist, j) as rank from e) where rank <= 2")
 both("histogram_given_borders", lambda s, d: rounded(histogram(X.order_prices(s, d).select(["price"]), borders={"price": [0.0, 100000.0, 200000.0, 600000.0]}, kind="frequency"), "lo", "hi"), f"select 'price' as feature, cast(k as int) as bin, cast(lo as double) as lo, cast(hi as double) as hi, count(*) as count from (values (0, 0, 100000), (1, 100000, 200000), (2, 200000, 600000)) b(k, lo, hi) join ({ORDERS}) on price >= lo and price < hi group by all")
 
 
@@ -269,3 +276,22 @@ def _stream_stream(s, d):
 
 
 both("stream_stream_join", _stream_stream, "select a.user_id as u, a.event_id as clicked, b.event_id as bought from events a join events b on a.user_id = b.user_id and a.event_type = 'click' and b.event_type = 'purchase' and b.ts >= a.ts and b.ts <= a.ts + interval 1 hour")
+
+
+def _stream_copula(s, d):
+    """A copula model fitted on the table scores the same table as a stream."""
+    x = X.event_values(s, d).staged()
+    model = CopulaDetector().fit(x)
+    e = ST.read_stream(s, d, "events").select("event_id", "value", F.hour("ts").alias("hour"), F.get_json_object("props", "$.k").cast("int").alias("k"))
+    return rounded(ST.drain(ST.score_stream(model, e, ["event_id"], ["value", "hour", "k"]), "copula"), "score")
+
+
+both("stream_copula", _stream_copula, f"with {cdf_sql(EVENTS, 'event_id', ['value', 'hour', 'k'])} select event_id, round({side_sums(['value', 'hour', 'k'])}, 6) + 0.0 as score from t")
+
+
+def _stream_zscore(s, d):
+    e = ST.with_event_time(ST.read_stream(s, d, "events"))
+    return rounded(ST.drain(ST.window_zscores(e, "1 day", "event_type"), "zscore").select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "event_id", "z"), "z", digits=5)
+
+
+both("stream_zscore", _stream_zscore, f"select strftime(w, '%Y-%m-%d') as day, event_type, event_id, round((value - avg(value) over g) / nullif(stddev_pop(value) over g, 0), 5) + 0.0 as z from (select *, time_bucket(interval 1 day, ts, timestamp '1970-01-01') as w from events) where w + interval 1 day <= {_closed} window g as (partition by w, event_type)")

@@ -55,6 +55,19 @@ def windowed_features(stream: DataFrame, window: Column, by: list[str], value: s
     return stream.groupBy(window.alias("w"), *by).agg(F.count("*").alias("n"), F.sum(v).cast("double").alias("total"), F.max(value).alias("top")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), *by, "n", "total", "top")
 
 
+def window_zscores(stream: DataFrame, width: str, by: str, value: str = "value", id_col: str = "event_id") -> DataFrame:
+    """(start, by, id, z) of every event of the closed event-time windows: its deviation from its window's mean in population standard deviations, null where these are 0.
+    A window's events are collected as (id, value) pairs, so windows and groups must be of a size that fits a task."""
+    events = F.collect_list(F.struct(F.col(id_col), F.col(value).alias("v")))
+    closed = stream.groupBy(F.window("ts", width).alias("w"), by).agg(F.avg(value).alias("mean"), F.stddev_pop(value).alias("sd"), events.alias("events"))
+    return closed.select(F.col("w.start").alias("start"), by, "mean", "sd", F.explode("events").alias("e")).select("start", by, F.col(f"e.{id_col}").alias(id_col), F.try_divide(F.col("e.v") - F.col("mean"), "sd").alias("z"))
+
+
+def late_rows(query) -> int:
+    """Rows that a stateful query left out because they came behind its watermark, over all its batches."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
 STATE = "n long, mean double, m2 double"
 
 
@@ -65,7 +78,7 @@ def running_deviation(stream: DataFrame, least: int = 10) -> DataFrame:
         n, mean, m2 = state.get if state.exists else (0, 0.0, 0.0)
         rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
         out = []
-        for event, value in zip(rows["event_id"], rows["value"]):
+        for event, value in zip(rows["event_id"], rows["value"]):  # each step needs the one before: Welford's update
             sd = (m2 / n) ** 0.5 if n else 0.0
             out.append((event, key[0], n, mean if n else None, bool(n >= least and abs(value - mean) > 3 * sd)))
             n += 1
