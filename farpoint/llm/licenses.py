@@ -2,7 +2,8 @@
 
 A text is lower-cased in A-Z only and seen as words ``[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+`` joined by single spaces.
 Since every byte of a character beyond ASCII is a word byte, this is one byte translation and one split.
-Notice phrases are matched on whole words. An identifier tag's expression is parsed from the original text.
+Notice phrases are matched on whole words. An identifier tag's expression is parsed from the original text into a tree;
+its labels are the identifiers in it, so a tag before other words, or before NONE or NOASSERTION, gives none.
 
 Defined results: null text counts as empty (0 words, no labels, score 0); repeated rows give repeated results; a text
 of any length is scanned whole; an empty table gives an empty result; further columns are ignored.
@@ -11,6 +12,7 @@ of any length is scanned whole; an empty table gives an empty result; further co
 from __future__ import annotations
 
 import functools
+import itertools
 import re
 from bisect import bisect_left
 from collections.abc import Iterator
@@ -55,44 +57,85 @@ _DELIMITERS = bytes(b for b in range(128) if not (48 <= b <= 57 or 97 <= b <= 12
 _TABLE = bytes.maketrans(_DELIMITERS + bytes(range(65, 91)), b" " * len(_DELIMITERS) + bytes(range(97, 123)))
 
 
+#: Identifiers without a version number, and the words that say there is none.
+NAMED = set("mit isc x11 zlib unlicense wtfpl 0bsd beerware blessing bsd curl fair fsfap ftl hpnd ijg info-zip intel json libpng libtiff naist-2003 ncsa ntp openssl php postgresql psf python-2.0 ruby sleepycat sissl tcl tosl unicode-tou vim w3c xnet zed zpl zend mit-0 mit-cmu gpl lgpl agpl apache mpl epl cc0 cc-by cc-by-sa cc-by-nc cc-by-nd public-domain proprietary".split())
+NONE = {"none", "noassertion"}
+
+
+def is_identifier(word: str) -> bool:
+    """A known name, a reference, or anything of the shape of a versioned identifier: parts joined by hyphens, with a digit."""
+    low = word.lower().rstrip("+")
+    return low in NAMED or low.startswith(("licenseref-", "documentref-")) or ("-" in low and low[0].isalpha() and low[-1].isalnum() and any(c.isdigit() for c in low))
+
+
 @dataclass(frozen=True)
 class Choice:
-    """An evaluated expression: the alternatives a user may choose from, each a set of licences that hold together."""
+    """An evaluated expression as a tree: a licence, or 'and' / 'or' over parts. It is never multiplied out, so its size is that of the text."""
 
-    alternatives: frozenset[frozenset[str]]
+    op: str
+    licence: str = ""
+    parts: tuple[Choice, ...] = ()
 
     @property
     def licences(self) -> set[str]:
-        return {x for a in self.alternatives for x in a}
+        return {self.licence} if self.op == "one" else {x for p in self.parts for x in p.licences}
+
+    def allows(self, accepted: set[str]) -> bool:
+        """Whether somebody who accepts these licences may use the work."""
+        return self.licence in accepted if self.op == "one" else (all if self.op == "and" else any)(p.allows(accepted) for p in self.parts)
+
+    def alternatives(self) -> Iterator[frozenset[str]]:
+        """The sets of licences to choose from, one by one; there can be exponentially many."""
+        if self.op == "one":
+            yield frozenset([self.licence])
+        elif self.op == "or":
+            for p in self.parts:
+                yield from p.alternatives()
+        else:
+            for sets in itertools.product(*(list(p.alternatives()) for p in self.parts)):
+                yield frozenset().union(*sets)
+
+    def text(self) -> str:
+        """Alternatives by | and joint licences by &, parts in order and once each."""
+        if self.op == "one":
+            return self.licence
+        inner = sorted({f"({p.text()})" if self.op == "and" and p.op == "or" else p.text() for p in self.parts})
+        return ("&" if self.op == "and" else "|").join(inner)
+
+    def with_exception(self, name: str) -> Choice:
+        return Choice("one", f"{self.licence} with {name}") if self.op == "one" else Choice(self.op, "", tuple(p.with_exception(name) for p in self.parts))
+
+
+def _joined(op: str, a: Choice, b: Choice) -> Choice:
+    parts = [q for p in (a, b) for q in (p.parts if p.op == op else (p,))]
+    once = tuple(dict.fromkeys(parts))
+    return once[0] if len(once) == 1 else Choice(op, "", once)
 
 
 def parse_expression(text: str) -> Choice | None:
-    """Shunting-yard over or / and / with and parentheses; stops at the first word that does not fit. None if nothing parses."""
-    values: list[frozenset] = []
+    """Shunting-yard over or / and / with and parentheses; stops at the first word that does not fit, such as one that is no identifier. None if nothing parses or the text says that there is no licence."""
+    values: list[Choice] = []
     pending: list[str] = []
 
     def reduce() -> None:
         op = pending.pop()
         b, a = values.pop(), values.pop()
-        if op == "or":
-            values.append(a | b)
-        elif op == "and":
-            values.append(frozenset(x | y for x in a for y in b) if len(a) * len(b) <= 256 else frozenset([frozenset().union(*a, *b)]))
-        else:
-            values.append(frozenset(frozenset(f"{x} with {'+'.join(sorted(z for w in b for z in w))}" for x in alt) for alt in a))
+        values.append(a.with_exception("+".join(sorted(b.licences))) if op == "with" else _joined(op, a, b))
 
     operand_next, depth = True, 0
     for m in _LEX.finditer(text):
         t = m[0]
-        low = t.lower()
+        low = t.lower().rstrip(".,:;")
         if operand_next:
             if t == "(":
                 pending.append(t)
                 depth += 1
                 continue
-            if t == ")" or low in STRENGTH or not any(c.isalnum() for c in t):
+            if t == ")" or low in STRENGTH or low in NONE or not low:
+                break
+            if not (is_identifier(low) or pending and pending[-1] == "with" and "-" in low):
                 break
-            values.append(frozenset([frozenset([low.rstrip(".,:;")])]))
+            values.append(Choice("one", low))
             operand_next = False
         elif low in STRENGTH:
             while pending and pending[-1] != "(" and STRENGTH[pending[-1]] >= STRENGTH[low]:
@@ -107,7 +150,7 @@ def parse_expression(text: str) -> Choice | None:
         else:
             break
     if operand_next:  # an operator without its right side is dropped
-        while pending and pending[-1] in STRENGTH and len(values) < 1 + sum(p in STRENGTH for p in pending):
+        while pending and (pending[-1] == "(" or len(values) < 1 + sum(p in STRENGTH for p in pending)):
             pending.pop()
     while pending:
         if pending[-1] == "(":
@@ -116,7 +159,7 @@ def parse_expression(text: str) -> Choice | None:
             reduce()
         else:
             pending.pop()
-    return Choice(values[-1]) if values else None
+    return values[-1] if values else None
 
 
 def words_of(text: str) -> list[bytes]:
@@ -186,7 +229,7 @@ def scan(text: str | None) -> Scan:
 
 
 def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Every row's scan; map-only. expression is the tags' licence choices, alternatives by | and joint licences by &."""
+    """Every row's scan; map-only. expression is the tags' licence choices, alternatives by | and joint licences by &, never multiplied out."""
     ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -198,7 +241,7 @@ def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
                     *(pa.array([getattr(x, f) for x in s], pa.int64()) for f in ("n_words", "n_base", "first_word", "last_word")),
                     *(pa.array([",".join(getattr(x, f)) for x in s], pa.string()) for f in ("base_labels", "labels")),
                     pa.array([x.score for x in s], pa.float64()),
-                    pa.array([";".join("|".join(sorted("&".join(sorted(a)) for a in c.alternatives)) for c in x.choices) for x in s], pa.string()),
+                    pa.array([";".join(c.text() for c in x.choices) for x in s], pa.string()),
                 ],
                 names=[id_col, "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score", "expression"],
             )
