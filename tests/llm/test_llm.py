@@ -259,6 +259,9 @@ def test_grammar_weights_clauses():
     assert w("you are an idiot") > w("an idiot") > w("not an idiot") > 0
     assert w("you are an idiot") > w("they said you are an idiot")
     assert w("we will kill you") > w("kill the process") and w("the weather is fine") == 0
+    # Reported speech goes on across colons, commas and quotes; curly apostrophes negate too; a pause ends a negation.
+    assert w("he said: you are an idiot") < w("you are an idiot") > w("she wrote, \u201cyou are an idiot\u201d") > 0
+    assert w("I don\u2019t say idiot") == w("I don't say idiot") < w("I do say idiot") == w("not that, idiot")
     assert m.score(None) == m.score("") == m.score("plain words only") < 0.5 < m.score("you stupid worthless idiot. you moron.")
 
 
@@ -279,9 +282,80 @@ def test_toxicity_learns_words_and_holds_out(spark):
     assert np.mean([(got[i] >= 0.5) == (i % 4 == 0) for i in held]) > 0.97
     kept = toxicity.keep_clean(docs(spark, rows + ODD), model)
     assert kept.columns == ["doc_id", "text", "lang", "source", "n_chars"] and {r["doc_id"] for r in kept.collect()} >= {1, 2, 3, 4, 6, 7}
+    long = "q" * 70  # words of any length are learned
+    more = [(1000 + i, f"amet {long} elit" if i % 4 == 0 else "amet elit", "s") for i in range(400)]
+    assert long in toxicity.fit(docs(spark, more), spark.createDataFrame([(1000 + i, int(i % 4 == 0)) for i in range(400)], "doc_id long, toxic int")).words
     assert toxicity.fit(docs(spark, rows), labels.limit(0)).words == {} and toxicity.score(docs(spark, rows).limit(0), model).count() == 0
 
 
+def _speech(rng, n):
+    """Texts with the same insult words in both classes: what tells them apart is negation, report and target."""
+    rows, marks = [], []
+    for i in range(n):
+        word = rng.choice(toxicity.INSULTS[:18])
+        filler = " ".join(rng.choice(["lorem", "ipsum", "dolor", "amet", "elit", "quam"]) for _ in range(rng.randint(3, 12)))
+        toxic = i % 3 == 0
+        said = rng.choice([f"you are a {word}", f"{word}, you", f"you {word}", f"she is a {word}"]) if toxic else rng.choice([f"you are not a {word}", f"she said: you are a {word}", f"you are never a {word}", f"they wrote, you {word}"])
+        rows.append((i, f"{filler}. {said}. {filler}", "s"))
+        marks.append((i, int(toxic)))
+    return rows, marks
+
+
+def test_grammar_is_worth_its_arcs(spark, monkeypatch):
+    """Held-out accuracy with the learned machine and with one that only adds words up."""
+    rows, marks = _speech(random.Random(12), 1500)
+    labels, df = spark.createDataFrame(marks, "doc_id long, toxic int"), docs(spark, rows)
+    held = [i for i, _ in marks if zlib.crc32(str(i).encode()) % 5 == 0]
+
+    def accuracy():
+        model = toxicity.fit(df, labels)
+        score = {i: model.score(t) for i, t, _ in rows}
+        return np.mean([(score[i] >= 0.5) == (i % 3 == 0) for i in held]), model
+
+    whole, model = accuracy()
+    assert model.arcs != toxicity.Arcs() and model.arcs.negated <= toxicity.Arcs().negated
+    monkeypatch.setattr(toxicity.Arcs, "others", lambda self: [])
+    monkeypatch.setattr(toxicity, "grammar", lambda arcs=None, made=toxicity.grammar: made(toxicity.FLAT))
+    flat, _ = accuracy()
+    assert whole > 0.95 and whole > flat + 0.1
+
+
+def brute_clauses(model, text):
+    """Weights of the matched clauses by scanning words left to right, without any machine."""
+    out = []
+    for clause in toxicity._CLAUSE.split((text or "").lower().replace("\u2019", "'")):
+        words = toxicity._TOKEN.findall(clause)
+        kind = ["pause" if w in ",:" else model.symbol.get(w) or ("insult" if w[:4] in model.beginnings else "other") for w in words]
+        if not {"insult", "threat"} & set(kind):
+            continue
+        total, arcs = 0.0, model.arcs
+        for k, s in enumerate(kind):
+            spoken = [j for j in range(k) if kind[j] != "pause"]
+            if s == "target":
+                near = [kind[j] for j in spoken[-4:]]
+                last = max((j for j, q in enumerate(near) if q in ("insult", "threat")), default=None)
+                total += arcs.followed if last is not None and "target" not in near[last:] else 0.0
+            if s in ("insult", "threat"):
+                weight = 1.0 if s == "insult" else arcs.threat
+                before = kind[max((j + 1 for j in range(k) if kind[j] == "pause"), default=0) : k]
+                weight *= arcs.negated if "negation" in before[-3:] else 1
+                weight *= arcs.reported if "report" in kind[:k] else 1
+                weight *= arcs.targeted if "target" in [kind[j] for j in spoken[-4:]] else 1
+                total += weight
+        sure = max([model.words.get(w) or model.beginnings.get(w[:4]) or 1.0 for w, s in zip(words, kind) if s == "insult"], default=1.0)
+        out.append(total * sure)
+    return out
+
+
+def test_machine_against_a_scan():
+    rng = random.Random(21)
+    model = toxicity.ToxicityModel({"grob": 1.4}, {"blar": 0.8}, arcs=toxicity.Arcs(0.7, 0.2, 0.5, 1.75, 0.3))
+    pool = ["idiot", "kill", "you", "not", "said", ",", ":", "x", "grob", "blarney", "y", "z", "."]
+    for _ in range(3000):
+        text = " ".join(rng.choices(pool, k=rng.randint(1, 25)))
+        assert np.allclose([w for _, w in model.clauses(text)], brute_clauses(model, text))
+
+
 # 6 packing
 def test_packing(spark):
     from tokenizers import Tokenizer
@@ -411,11 +485,21 @@ def test_license_words_and_places(spark):
 
 
 def test_expressions():
-    alt = lambda t: {"&".join(sorted(a)) for a in licenses.parse_expression(t).alternatives}
+    alt = lambda t: {"&".join(sorted(a)) for a in licenses.parse_expression(t).alternatives()}
     assert alt("MIT OR Apache-2.0 AND BSD-3-Clause") == {"mit", "apache-2.0&bsd-3-clause"}
     assert alt("(MIT OR Apache-2.0) AND ISC") == {"isc&mit", "apache-2.0&isc"}
     assert alt("GPL-2.0-only WITH Classpath-exception-2.0 OR MIT */") == {"gpl-2.0-only with classpath-exception-2.0", "mit"}
     assert alt("MIT OR") == {"mit"} and alt("(MIT") == {"mit"} and licenses.parse_expression("AND") is None and licenses.parse_expression("") is None
+    for n in (8, 9, 40):  # long conjunctions keep their meaning
+        c = licenses.parse_expression(" AND ".join(f"(a{k}-1 OR b{k}-1)" for k in range(n)))
+        assert c.allows({f"a{k}-1" for k in range(n)}) and not c.allows({f"a{k}-1" for k in range(n - 1)}) and len(c.licences) == 2 * n
+        if n == 8:
+            assert len(set(c.alternatives())) == 256
+    assert licenses.parse_expression("(MIT OR ISC) AND (ISC OR MIT) WITH x-1").text() == "(isc with x-1|mit with x-1)&(isc|mit)"
+    for word in ("see the file", "NONE", "NOASSERTION", "the MIT"):
+        assert licenses.parse_expression(word) is None
+    assert licenses.scan("SPDX-License-Identifier: see the file").labels == [] and licenses.scan("SPDX-License-Identifier: NONE").labels == []
+    assert licenses.scan("SPDX-License-Identifier: LicenseRef-Mine OR BSD-2-Clause").labels == ["bsd-2-clause", "licenseref-mine"]
     s = licenses.scan("// SPDX-License-Identifier: (MIT OR Apache-2.0)\ncode")
     assert {"mit", "apache-2.0"} <= set(s.labels) and s.score == 1.0
 
