@@ -40,13 +40,13 @@ GRAM, THRESHOLD, RECALL = 5, 0.8, 0.9998
 SKETCH = 64
 #: First depth of the paths, largest bucket compared at once, sketch similarities of a pivot.
 DEPTH, SMALL, NEAR, LOOSE = 3, 256, 0.8, 0.45
-#: Levels after which what is left of large buckets is compared pivot by pivot in one task each.
-DEEPEST = 10
+#: Levels after which what is left of large buckets is compared pivot by pivot, by pairs of blocks of about so many sets.
+DEEPEST, DEEP_BLOCK = 10, 4096
 #: Orders by which each set of a large bucket is split, and runs added because these orders are also those of other runs (by simulation: 18 runs
 #: miss 0.0001 of pairs at the threshold when all buckets are split to DEEPEST, 14 would miss 0.0005).
 BRANCHES, SPARE = 2, 4
-#: Tokens of one block of the exact comparison, rows of a tile of it (bounds the dense matrices), rows of a token up to which its pairs are listed.
-BLOCK_TOKENS, TILE, RARE = 600_000, 2048, 16
+#: Tokens and sets of one block of the exact comparison, rows of a tile of it (bounds the dense matrices), rows of a token up to which its pairs are listed.
+BLOCK_TOKENS, BLOCK_SETS, TILE, RARE = 600_000, 1024, 2048, 16
 
 _R, _K = 0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93
 _MASK = (1 << 64) - 1
@@ -228,6 +228,14 @@ def _edges_within(rows: DataFrame) -> DataFrame:
     return rows.select("bucket", "rid", "sketch").repartition("bucket").sortWithinPartitions("bucket").mapInArrow(run, "a long, b long")
 
 
+def _block_pairs(large: DataFrame) -> DataFrame:
+    """(bucket, rid) for every pair of blocks of every bucket (path, rid, n): buckets of bounded size in which all pairs of sets of the large one meet."""
+    blocks = F.ceil(F.col("n") / DEEP_BLOCK)
+    own = large.select("path", "rid", blocks.alias("blocks"), F.pmod(F.xxhash64("rid"), blocks).alias("own"))
+    met = own.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    return met.select(F.xxhash64("path", F.least("own", "other"), F.greatest("own", "other")).alias("bucket"), "rid")
+
+
 def candidate_edges(reps: DataFrame, recall: float = RECALL, threshold: float = THRESHOLD) -> DataFrame:
     """reps: rid, sketch. Chosen paths, then (a, b) joining all likely similar sets."""
     runs = runs_for(recall, threshold)
@@ -245,7 +253,7 @@ def candidate_edges(reps: DataFrame, recall: float = RECALL, threshold: float =
         if large.isEmpty():
             break
         if level == DEEPEST:
-            edges.append(_edges_within(large.select(F.col("path").alias("bucket"), "rid").join(reps, "rid")))
+            edges.append(_edges_within(_block_pairs(large).join(reps, "rid")))
             break
         pivots = large.where("rid = pivot").select("path", "rid").join(reps, "rid").select(F.col("path").alias("p_path"), F.col("sketch").alias("p_sketch"))
         near = large.join(reps, "rid").join(pivots, F.col("path") == F.col("p_path"))
@@ -266,7 +274,7 @@ def candidate_edges(reps: DataFrame, recall: float = RECALL, threshold: float =
 
 
 def _sets(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(id, k1, k2, n, sketch): the set's 128-bit key, its size and its sketch."""
+    """(id, text_hash, k1, k2, n, sketch): the set's 128-bit key, its size and its sketch."""
     kind = docs.schema[id_col].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -278,9 +286,9 @@ def _sets(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
                 key = np.array([(s.sum(dtype=np.uint64), np.bitwise_xor.reduce(s * np.uint64(_K)) if len(s) else 0) for s in sets], np.uint64).view(np.int64).reshape(-1, 2)
                 sk = pa.array(np.concatenate([sketch(s) for s in sets]), pa.int32())
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(0, SKETCH * len(sets) + 1, SKETCH), pa.int32()), sk)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(key[:, 0]), pa.array(key[:, 1]), pa.array([len(s) for s in sets], pa.int64()), lists], names=[id_col, "k1", "k2", "n", "sketch"])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(key[:, 0]), pa.array(key[:, 1]), pa.array([len(s) for s in sets], pa.int64()), lists], names=[id_col, "text_hash", "k1", "k2", "n", "sketch"])
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, k1 long, k2 long, n long, sketch array<int>")
+    return docs.select(id_col, text_col, F.xxhash64(text_col).alias("text_hash")).mapInArrow(run, f"`{id_col}` {kind}, text_hash long, k1 long, k2 long, n long, sketch array<int>")
 
 
 def _exact(members: DataFrame) -> DataFrame:
@@ -369,14 +377,15 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     docs = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     sets = stage(_sets(docs, "doc_id", "text").withColumn("rid", F.monotonically_increasing_id()), "sets")
     classes = stage(sets.where("n > 0").groupBy("k1", "k2").agg(F.min("rid").alias("rep"), F.count("*").alias("size"), F.min("doc_id").alias("least"), F.min("n").alias("n")), "classes")
-    reps = stage(sets.select("rid", "doc_id", "sketch").join(classes.select(F.col("rep").alias("rid"), "size", "k1", "k2", "n"), "rid"), "representatives")
+    reps = stage(sets.select("rid", "doc_id", "text_hash", "sketch").join(classes.select(F.col("rep").alias("rid"), "size", "k1", "k2", "n"), "rid"), "representatives")
     edges = stage(candidate_edges(reps.select("rid", "sketch"), recall), "edges")  # on its own: no task needs two Python workers
     likely = components(edges)
-    likely = stage(likely.join(reps.select(F.col("rid").alias("node"), "doc_id", "k1", "k2", "n", "size"), "node"), "likely")
-    # Exact comparison inside candidate components: blocks of about BLOCK_TOKENS tokens, all pairs of blocks.
-    blocks = likely.groupBy(F.col("component").alias("c")).agg(F.ceil(F.sum("n") / BLOCK_TOKENS).cast("int").alias("blocks"))
-    wanted = likely.join(blocks, F.col("component") == F.col("c")).select(F.col("doc_id").alias("w_doc"), F.col("k1").alias("w1"), F.col("k2").alias("w2"), F.col("node").alias("rid"), "component", "blocks", F.col("size").alias("weight"))
-    texts = docs.join(wanted.hint("merge"), F.col("doc_id").eqNullSafe(F.col("w_doc"))).select("text", "w1", "w2", "rid", "component", "blocks", "weight")
+    likely = stage(likely.join(reps.select(F.col("rid").alias("node"), "doc_id", "text_hash", "k1", "k2", "n", "size"), "node"), "likely")
+    # Exact comparison inside candidate components: blocks of about BLOCK_TOKENS tokens and BLOCK_SETS sets, all pairs of blocks.
+    blocks = likely.groupBy(F.col("component").alias("c")).agg(F.greatest(F.ceil(F.sum("n") / BLOCK_TOKENS), F.ceil(F.count("*") / BLOCK_SETS)).cast("int").alias("blocks"))
+    wanted = likely.join(blocks, F.col("component") == F.col("c")).select(F.col("doc_id").alias("w_doc"), F.col("text_hash").alias("w_hash"), F.col("k1").alias("w1"), F.col("k2").alias("w2"), F.col("node").alias("rid"), "component", "blocks", F.col("size").alias("weight"))
+    # A text is met by its id and hash: rows that share an id (null, say) do not multiply.
+    texts = docs.withColumn("text_hash", F.xxhash64("text")).join(wanted.hint("merge"), F.col("doc_id").eqNullSafe(F.col("w_doc")) & (F.col("text_hash") == F.col("w_hash"))).select("text", "w1", "w2", "rid", "component", "blocks", "weight")
 
     def regram(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler()
@@ -385,7 +394,7 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
                 part = b.slice(at, 256)
                 found = shingler.sets(part.column(0).to_pylist())
                 keys = list(zip(part.column(1).to_pylist(), part.column(2).to_pylist()))
-                ok = [len(s) > 0 and (int(s.sum(dtype=np.uint64).view(np.int64)), int(np.bitwise_xor.reduce(s * np.uint64(_K)).view(np.int64))) == k for s, k in zip(found, keys)]  # another text under the same id drops out
+                ok = [len(s) > 0 and (int(s.sum(dtype=np.uint64).view(np.int64)), int(np.bitwise_xor.reduce(s * np.uint64(_K)).view(np.int64))) == k for s, k in zip(found, keys)]  # another text with the same id and hash drops out
                 pick = pa.array(np.flatnonzero(ok))
                 yield pa.RecordBatch.from_arrays([*(part.column(i).take(pick) for i in (3, 4, 5, 6)), pa.array([s.tobytes() for s, o in zip(found, ok) if o], pa.binary())], names=["rid", "component", "blocks", "weight", "grams"])
 
@@ -408,7 +417,10 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row of each class, with all columns: the one with the smallest id, nulls last. Empty texts all stay."""
-    numbered = stage(docs.withColumn("_n", F.monotonically_increasing_id()), "numbered")
-    classes = similarity_classes(numbered, "_n", text_col).select("_n", "class_id")
-    ranked = classes.join(numbered.select("_n", F.col(id_col).alias("_id")), "_n").groupBy("class_id").agg(F.min(F.struct(F.col("_id").isNull(), "_id", "_n")).alias("first")).select(F.col("first._n").alias("_n"))
-    return numbered.join(ranked, "_n", "left_semi").drop("_n")
+    numbered = stage(docs.select(F.monotonically_increasing_id().alias("n"), F.struct("*").alias("doc")), "numbered")  # a struct: no column can clash
+    field = F.col("doc").getField
+    classes = similarity_classes(numbered.select("n", field(text_col).alias("text")), "n", "text").select(F.col("n").alias("c_n"), "class_id")
+    ids = numbered.select("n", field(id_col).alias("id"))
+    first = F.min(F.struct(F.col("id").isNull(), F.col("id"), F.col("n")).alias("f"))
+    kept = classes.join(ids, F.col("c_n") == F.col("n")).groupBy("class_id").agg(first.alias("first")).select(F.col("first.n").alias("k_n"))
+    return numbered.join(kept, F.col("n") == F.col("k_n"), "left_semi").select("doc.*")
