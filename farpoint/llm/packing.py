@@ -110,28 +110,31 @@ def pack_group(lengths: np.ndarray, capacity: int, slack: int, rounds: int = 6)
 
 
 def pack(pieces: DataFrame, capacity: int = 2048, group: int = 16_384, slack: float = 0.01) -> DataFrame:
-    """pieces (any columns, with length) plus sequence_id and offset. group: pieces of one task; slack: the share of a sequence that may stay empty without another round."""
+    """pieces (any columns, with length) plus sequence_id and offset, which replace columns of these names. group: pieces of one task; slack: the share of a sequence that may stay empty without another round."""
     ship(pieces.sparkSession)
-    pieces = stage(pieces, "pieces")
-    whole = pieces.where(F.col("length") >= capacity).withColumn("sequence_id", -1 - F.monotonically_increasing_id()).withColumn("offset", F.lit(0).cast("long"))
-    rest, done, level = pieces.where(F.col("length") < capacity), [whole], 0
+    pieces = pieces.drop("sequence_id", "offset")
+    names = pieces.columns
+    size = f"c{names.index('length')}"
+    pieces = stage(pieces.toDF(*(f"c{k}" for k in range(len(names)))), "pieces")  # numbered names: none can clash with the columns made here
+    whole = pieces.where(F.col(size) >= capacity).withColumn("sequence_id", -1 - F.monotonically_increasing_id()).withColumn("offset", F.lit(0).cast("long"))
+    rest, done, level = pieces.where(F.col(size) < capacity), [whole], 0
     n = rest.count()
     while n:
         groups = math.ceil(n / group)
 
         def place(rows: pd.DataFrame) -> pd.DataFrame:
-            sequence, offset, gap = pack_group(rows["length"].to_numpy(), capacity, int(slack * capacity))
-            base = (int(rows["_level"].iloc[0]) << 56) + (int(rows["_group"].iloc[0]) << 28)
-            return rows.drop(columns=["_group", "_level"]).assign(sequence_id=base + sequence, offset=offset, _gap=gap)
-
-        dealt = rest.withColumn("_group", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(groups)).cast("long")).withColumn("_level", F.lit(level))
-        schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rest.schema) + ", sequence_id long, offset long, _gap long"
-        placed = stage(dealt.groupBy("_group").applyInPandas(place, schema), f"packed-{level}")
-        loose = placed.where(F.col("_gap") > slack * capacity)
+            sequence, offset, gap = pack_group(rows[size].to_numpy(), capacity, int(slack * capacity))
+            base = (int(rows["level"].iloc[0]) << 56) + (int(rows["group"].iloc[0]) << 28)
+            return rows.drop(columns=["group", "level"]).assign(sequence_id=base + sequence, offset=offset, gap=gap)
+
+        dealt = rest.withColumn("group", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(groups)).cast("long")).withColumn("level", F.lit(level))
+        schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rest.schema) + ", sequence_id long, offset long, gap long"
+        placed = stage(dealt.groupBy("group").applyInPandas(place, schema), f"packed-{level}")
+        loose = placed.where(F.col("gap") > slack * capacity)
         left = loose.count() if groups > 1 else 0
         if groups == 1 or left > n / 2:  # nothing to gain from company
-            done.append(placed.drop("_gap"))
+            done.append(placed.drop("gap"))
             break
-        done.append(placed.where(F.col("_gap") <= slack * capacity).drop("_gap"))
-        rest, n, level = loose.drop("_gap", "sequence_id", "offset"), left, level + 1
-    return reduce(DataFrame.unionByName, done)
+        done.append(placed.where(F.col("gap") <= slack * capacity).drop("gap"))
+        rest, n, level = loose.drop("gap", "sequence_id", "offset"), left, level + 1
+    return reduce(DataFrame.unionByName, done).toDF(*names, "sequence_id", "offset")
