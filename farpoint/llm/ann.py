@@ -6,6 +6,7 @@ sends each query to its several likeliest ones, where all rows are compared exac
 held-out sample vectors, so that their recall reaches the target.
 
 Only the k + 1 smallest ids of equal vectors can be among k nearest, so a vector that a third of the rows share costs k + 1 rows.
+Parts grow with the rows up to an eighth of the sample; beyond that parts get slots, so a task's rows are bounded at any size.
 Rows are compared in blocks of bounded size; no part is collected.
 
 Defined results: vectors that are null, of another length than most, zero, or hold null or non-finite components take no part; rows
@@ -32,7 +33,8 @@ from farpoint.session import ship, stage
 SAMPLE, HELD_OUT = 8192, 1024
 #: Recall on the held-out sample vectors.
 RECALL = 0.95
-BLOCK = 2048
+#: Rows compared at once, and rows of a part that one task holds: larger parts are dealt into slots, each met by all of the part's queries.
+BLOCK, SLOT = 2048, 65_536
 
 
 def neighbour_graph(x: np.ndarray, k: int) -> np.ndarray:
@@ -131,7 +133,7 @@ def train_router(x: np.ndarray, goal: np.ndarray, hidden: int = 128, rounds: int
 def fit(sample: np.ndarray, rows: int, k: int = 10, recall: float = RECALL) -> tuple[Router, int]:
     """(router, parts to visit) from sample vectors of a table with so many rows."""
     x = sample.astype(np.float32)
-    levels = max(1, min(7, int(np.log2(max(2, rows / 400)))))
+    levels = max(1, int(np.log2(max(2, rows / 400))))  # parts grow with the rows, as far as the sample tells them apart
     while 2**levels * 8 > len(x) and levels > 1:
         levels -= 1
     parts = 2**levels
@@ -174,7 +176,7 @@ def search(vectors: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec
     base = stage(rows.withColumn("_r", F.row_number().over(Window.partitionBy("v").orderBy("id"))).where(F.col("_r") <= k + 1).select("id", "v"), "distinct-vectors")
     taken = np.array([r["v"] for r in base.select("v").distinct().orderBy(F.xxhash64("v")).limit(sample).collect()])  # at most `sample` vectors
     router, visits = fit(taken, n, k, recall)
-    sent = spark.sparkContext.broadcast(pickle.dumps(router))  # at most 128 parts by 128 units
+    sent = spark.sparkContext.broadcast(pickle.dumps(router))  # at most sample / 8 parts by 128 units
     matrix = lambda c: c.flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
 
     def routed(count: int):
@@ -195,13 +197,16 @@ def search(vectors: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec
                 for g in grouped(iter([b])):
                     for at in range(0, g.num_rows, size):
                         s = g.slice(at, size)
-                        yield pa.RecordBatch.from_arrays([s.column(0).slice(0, 1), pa.array([s.column(1).to_numpy(zero_copy_only=False).tobytes()]), pa.array([np.ascontiguousarray(matrix(s.column(2))).tobytes()])], names=["part", "ids", "body"])
+                        yield pa.RecordBatch.from_arrays([s.column(0).slice(0, 1), pa.array([s.column(1).to_numpy(zero_copy_only=False).tobytes()]), pa.array([np.ascontiguousarray(matrix(s.column(2))).tobytes()])], names=["place", "ids", "body"])
 
         return run
 
-    def blocks(df: DataFrame, count: int, size: int, name: str) -> DataFrame:
-        placed = df.mapInArrow(routed(count), "part long, id long, v array<double>").repartition("part").sortWithinPartitions("part")
-        return placed.mapInArrow(blocked(size), "part long, ids binary, body binary").select("part", F.col("ids").alias(f"{name}_ids"), F.col("body").alias(f"{name}_body"))
+    def routed_rows(df: DataFrame, count: int) -> DataFrame:
+        return df.mapInArrow(routed(count), "part long, id long, v array<double>")
+
+    def blocks(placed: DataFrame, size: int, name: str) -> DataFrame:
+        sorted_ = placed.select("place", "id", "v").repartition("place").sortWithinPartitions("place")
+        return sorted_.mapInArrow(blocked(size), "place long, ids binary, body binary").select("place", F.col("ids").alias(f"{name}_ids"), F.col("body").alias(f"{name}_body"))
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -219,8 +224,15 @@ def search(vectors: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec
                 keep = place < k
                 yield pa.RecordBatch.from_arrays([pa.array(q_ids[x[keep]]), pa.array(c_ids[y[keep]]), pa.array(exact[keep])], names=["query_id", "id", "score"])
 
-    queries = rows.where("q").select("id", "v")
-    pairs = blocks(queries, visits, 256, "q").join(blocks(base, 1, BLOCK, "c"), "part").select("q_ids", "q_body", "c_ids", "c_body")
+    # A place is a slot of a part. Parts are learned, so their sizes in the table are counted, and a large one gets as many slots as it needs.
+    homes = stage(routed_rows(base, 1), "homes")
+    sizes = dict(homes.groupBy("part").count().collect())  # one row a part
+    slots = F.array(*(F.lit(-(-sizes.get(p, 0) // SLOT)) for p in range(router.parts)))
+    wide = max(1, max(-(-v // SLOT) for v in sizes.values()))
+    many = F.greatest(F.get(slots, F.col("part").cast("int")), F.lit(1)).cast("long")
+    base_places = homes.withColumn("place", F.col("part") * wide + F.pmod(F.xxhash64("id"), many))
+    queries = routed_rows(rows.where("q").select("id", "v"), visits).withColumn("slot", F.explode(F.sequence(F.lit(0).cast("long"), many - 1))).withColumn("place", F.col("part") * wide + F.col("slot"))
+    pairs = blocks(queries, 256, "q").join(blocks(base_places, BLOCK, "c"), "place").select("q_ids", "q_body", "c_ids", "c_body")
     found = pairs.mapInArrow(compare, "query_id long, id long, score double")
     ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy("score", "id")))
     return ranked.where(F.col("rank") <= k).select("query_id", "rank", F.col("id").alias(id_col), "score")
