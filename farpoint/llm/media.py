@@ -1,6 +1,7 @@
 """Media columns: Netpbm and BMP images to arrays, area-resized tiles, NPY bytes and difference hashes.
 
-``decode`` reads P2, P3, P5, P6 (8 and 16 bit) and uncompressed 8/24/32-bit BMP. ``area_resize`` averages
+``decode`` reads P1 to P6 (bitmaps, grey and colour maps, 8 and 16 bit), P7 (arbitrary maps) and uncompressed 8/24/32-bit BMP; samples
+of another maximum are scaled to the full range. ``area_resize`` averages
 the covered source area of every target cell, from an integral image (two cumulative sums), so its cost does not
 depend on the ratio. ``npy_bytes`` writes a tile as an NPY file. ``difference_hash`` compares neighbouring cells of a
 9 x 8 resize.
@@ -48,22 +49,72 @@ def encode_bmp(samples: np.ndarray) -> bytes:
     return struct.pack("<2sIHHI", b"BM", 54 + body.size, 0, 0, 54) + struct.pack("<IiiHHIIiiII", 40, w, h, 1, 24, 0, body.size, 2835, 2835, 0, 0) + body.tobytes()
 
 
-def _decode_netpbm(data: bytes) -> np.ndarray:
-    kind, at, fields = data[:2], 2, []
-    for _ in range(3):
+def _scaled(flat: np.ndarray, top: int) -> np.ndarray:
+    """Samples of 0 to top as the full range of 8 or 16 bit, rounded to nearest."""
+    if not 0 < top < 65536:
+        raise ValueError("the largest sample is from 1 to 65535")
+    full = 255 if top < 256 else 65535
+    if flat.size and (int(flat.max()) > top or int(flat.min()) < 0):
+        raise ValueError("a sample is outside its range")
+    if top != full:
+        flat = (flat.astype(np.int64) * full + top // 2) // top
+    return flat if flat.dtype == (np.uint8 if full == 255 else np.uint16) else flat.astype(np.uint8 if full == 255 else np.uint16)
+
+
+def _header(data: bytes, count: int) -> tuple[list[int], int]:
+    at, fields = 2, []
+    for _ in range(count):
         m = _FIELD.match(data, at)
         if not m:
             raise ValueError("bad Netpbm header")
         fields.append(int(m[1]))
         at = m.end()
-    w, h, top = fields
+    return fields, at
+
+
+def _body(data: bytes, kind, count: int, at: int) -> np.ndarray:
+    if len(data) < at + count * np.dtype(kind).itemsize:
+        raise ValueError("the samples end early")
+    return np.frombuffer(data, kind, count, at)
+
+
+def _decode_netpbm(data: bytes) -> np.ndarray:
+    kind = data[:2]
+    if kind == b"P7":
+        return _decode_arbitrary(data)
+    if kind in (b"P1", b"P4"):  # 1 is black
+        (w, h), at = _header(data, 2)
+        if kind == b"P1":
+            bits = np.frombuffer(re.sub(rb"#[^\n]*|\s", b"", data[at:])[: w * h], np.uint8) - 48
+            if len(bits) < w * h or bits.max(initial=0) > 1:
+                raise ValueError("bad bitmap")
+        else:
+            row = (w + 7) // 8
+            bits = np.unpackbits(_body(data, np.uint8, row * h, at + 1).reshape(h, row), axis=1)[:, :w]
+        return ((1 - bits) * np.uint8(255)).reshape(h, w)
+    (w, h, top), at = _header(data, 3)
     depth = 3 if kind in (b"P3", b"P6") else 1
     if kind in (b"P2", b"P3"):
         flat = np.array(re.sub(rb"#[^\n]*", b"", data[at:]).split(), np.int64)[: w * h * depth]
-        flat = flat.astype(np.uint8 if top < 256 else np.uint16)
     else:
-        flat = np.frombuffer(data, np.uint8 if top < 256 else ">u2", w * h * depth, at + 1)
-    return flat.reshape((h, w) if depth == 1 else (h, w, 3))
+        flat = _body(data, np.uint8 if top < 256 else ">u2", w * h * depth, at + 1)
+    return _scaled(flat, top).reshape((h, w) if depth == 1 else (h, w, 3))
+
+
+def _decode_arbitrary(data: bytes) -> np.ndarray:
+    """Named header lines; 1 to 4 channels, of which an alpha channel is dropped."""
+    end = data.find(b"ENDHDR\n")
+    if end < 0:
+        raise ValueError("bad P7 header")
+    fields = dict(line.split(None, 1) for line in data[3:end].splitlines() if line.strip() and not line.startswith(b"#") and b" " in line.strip())
+    try:
+        w, h, depth, top = (int(fields[k]) for k in (b"WIDTH", b"HEIGHT", b"DEPTH", b"MAXVAL"))
+    except KeyError:
+        raise ValueError("bad P7 header") from None
+    if depth not in (1, 2, 3, 4):
+        raise ValueError("1 to 4 channels are read")
+    samples = _scaled(_body(data, np.uint8 if top < 256 else ">u2", w * h * depth, end + 7), top).reshape(h, w, depth)
+    return samples[..., 0] if depth < 3 else samples[..., :3]
 
 
 def _decode_bmp(data: bytes) -> np.ndarray:
@@ -71,11 +122,15 @@ def _decode_bmp(data: bytes) -> np.ndarray:
     head, w, h, _, bits, packed = struct.unpack_from("<IiiHHI", data, 14)
     if packed not in (0, 3) or bits not in (8, 24, 32):
         raise ValueError("only uncompressed 8, 24 and 32-bit BMP are read")
+    if w < 0:
+        raise ValueError("negative width")
     row = (w * bits // 8 + 3) // 4 * 4
-    rows = np.frombuffer(data, np.uint8, row * abs(h), start).reshape(abs(h), row)[:, : w * bits // 8]
+    rows = _body(data, np.uint8, row * abs(h), start).reshape(abs(h), row)[:, : w * bits // 8]
     if bits == 8:
         n = struct.unpack_from("<I", data, 46)[0] or 256
-        palette = np.frombuffer(data, np.uint8, n * 4, 14 + head).reshape(n, 4)
+        palette = _body(data, np.uint8, n * 4, 14 + head).reshape(n, 4)
+        if rows.max(initial=0) >= n:
+            raise ValueError("a pixel is beyond the palette")
         out = palette[rows][..., 2::-1]
     else:
         out = rows.reshape(abs(h), w, bits // 8)[..., 2::-1]
@@ -85,7 +140,7 @@ def _decode_bmp(data: bytes) -> np.ndarray:
 def decode(data: bytes) -> np.ndarray:
     if data[:2] == b"BM":
         return _decode_bmp(data)
-    if data[:2] in (b"P2", b"P3", b"P5", b"P6"):
+    if data[:2] in (b"P1", b"P2", b"P3", b"P4", b"P5", b"P6", b"P7"):
         return _decode_netpbm(data)
     raise ValueError("neither Netpbm nor BMP")
 
@@ -152,6 +207,9 @@ def image_columns(images: DataFrame, id_col: str, data_col: str, side: int = 16)
             for data in b.column(1).to_pylist():
                 try:
                     a = decode(data or b"")
+                    if a.size == 0:
+                        raise ValueError("no samples")
+                    a = a if a.dtype == np.uint8 else ((a.astype(np.int64) * 255 + 32767) // 65535).astype(np.uint8)
                     rows.append((a.shape[0], a.shape[1], 1 if a.ndim == 2 else a.shape[2], tile(a, side), difference_hash(a)))
                 except (ValueError, struct.error):
                     rows.append((None,) * 5)
@@ -163,9 +221,9 @@ def image_columns(images: DataFrame, id_col: str, data_col: str, side: int = 16)
 
 
 def text_media(docs: DataFrame, keep: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Store every text as a grey map, read the stored bytes back and describe what was read. keep adds the file and the NPY tile."""
+    """Store every text as a grey map, read the stored bytes back and describe what was read, with the NPY tile. keep adds the file."""
     ship(docs.sparkSession)
-    extra = [("media", pa.binary()), ("tile", pa.binary())] if keep else []
+    extra = [("tile", pa.binary()), *([("media", pa.binary())] if keep else [])]
     fields = [("n_bytes", pa.int64()), ("payload_bytes", pa.int64()), ("payload_sha256", pa.string()), ("tail_crc32", pa.int64()), ("media_bytes", pa.int64()), ("media_sha256", pa.string()), ("feature", pa.string()), *extra]
 
     def one(text: str | None) -> tuple:
@@ -176,7 +234,7 @@ def text_media(docs: DataFrame, keep: bool = False, id_col: str = "doc_id", text
         small = tile(samples)
         feature = difference_hash(samples) + ":" + hashlib.sha256(small).hexdigest()[:16]
         row = (n, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), len(stored), hashlib.sha256(stored).hexdigest(), feature)
-        return (*row, stored, small) if keep else row
+        return (*row, small, stored) if keep else (*row, small)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
