@@ -44,7 +44,7 @@ def op3_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op4_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     taken, by_source = mixing.mix(table(spark, sf_dir, "documents", "doc_id", "text", "source"), F.array("source"), carry=("source",))
-    return taken.join(F.broadcast(by_source), F.col("source").eqNullSafe(F.col("s_source"))).select("doc_id", "size", "source_size", "target", "taken")  # by_source: at most MOST_PATTERNS rows
+    return taken.join(F.broadcast(by_source), F.col("source").eqNullSafe(F.col("s_source"))).select("doc_id", "size", "source_size", "target", "taken")  # by_source: one row a source
 
 
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -202,6 +202,46 @@ def test_jaccard_edges(spark):
     assert Counter(r["doc_id"] for r in kept.collect()) == Counter([1, 2, 3, 4, None, 6, 7])
 
 
+def test_jaccard_many_rows_of_one_id(spark):
+    """Null and repeated ids neither multiply nor mix texts."""
+    base = " ".join(f"w{k}" for k in range(60))
+    rows = [(None, f"{base} x{k % 40} y{k % 40}") for k in range(400)] + [(7, base), (7, base + " z"), (7, "other words altogether in this one")]
+    got = jaccard.similarity_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted(((r["doc_id"], r["class_id"], r["n_links"]) for r in got), key=str) == brute(rows)
+
+
+def test_deep_blocks_meet_all_pairs(spark, monkeypatch):
+    monkeypatch.setattr(jaccard, "DEEP_BLOCK", 10)
+    large = spark.range(95).select(F.lit(1).cast("long").alias("path"), F.col("id").alias("rid"), F.lit(95).cast("long").alias("n"))
+    by = defaultdict(set)
+    for r in jaccard._block_pairs(large).collect():
+        by[r["bucket"]].add(r["rid"])
+    met = {(a, b) for g in by.values() for a in g for b in g if a < b}
+    assert len(met) == 95 * 94 // 2 and max(map(len, by.values())) < 60
+
+
+def test_components_of_hubs(spark):
+    pairs = [(0, k) for k in range(1, 4000)] + [(9000 + k, 8999) for k in range(1, 2500)] + [(3999, 9001), (20_000, 20_001)]
+    got = {r["node"]: r["component"] for r in components.components(spark.createDataFrame(pairs, "a long, b long").repartition(7)).collect()}
+    assert set(got.values()) == {0, 20_000} and len(got) == 4000 + 2500 + 2
+
+
+def test_clashing_names(spark):
+    """Columns of any name survive the stages: none is lost, overwritten or mixed up with a helper."""
+    names = ["_n", "n", "_row", "row", "doc", "copies", "_copies", "copy", "_id", "size", "hash", "pattern", "class_id", "k_n"]
+    df = docs(spark, [(i, f"some words of text {i} here", "s") for i in range(20)]).select("*", *(F.concat(F.lit(f"{n}-"), F.col("doc_id")).alias(n) for n in names))
+    for out in (jaccard.keep_one(df), mixing.mix_rows(df), toxicity.keep_clean(df, toxicity.ToxicityModel())):
+        rows = out.collect()
+        assert out.columns == df.columns and rows and all(r[n] == f"{n}-{r['doc_id']}" for r in rows for n in names)
+    taken = ["_group", "group", "_level", "level", "_gap", "gap", "c0", "c1"]
+    pieces = packing.cut(docs(spark, [(i, "w " * (i * 7), "s") for i in range(40)]), tokenizer_path("byte_bpe_50k.json"), None, capacity=64)
+    pieces = pieces.select("*", *(F.concat(F.lit(f"{n}-"), F.col("doc_id")).alias(n) for n in taken), F.lit("old").alias("sequence_id"), F.lit("old").alias("offset"))
+    out = packing.pack(pieces, capacity=64, group=16)
+    rows = out.collect()
+    assert out.columns == [c for c in pieces.columns if c not in ("sequence_id", "offset")] + ["sequence_id", "offset"]
+    assert len(rows) == pieces.count() and all(r[n] == f"{n}-{r['doc_id']}" for r in rows for n in taken)
+
+
 def test_components(spark):
     rng = random.Random(2)
     pairs = [(k, k + 1) for k in range(40)] + [(100 + rng.randrange(30), 100 + rng.randrange(30)) for _ in range(25)]
@@ -225,6 +265,82 @@ def test_flow_prefers_unused_words():
     assert p.words[("a",)] == 15
 
 
+def shortest_paths(patterns, goal, passes=2):
+    """(words moved, cost) of a min-cost maximal flow, one unit path after another by Bellman-Ford."""
+    names, sources = list(patterns), list(goal)
+    edges = []  # from, to, room, cost
+
+    def edge(a, b, room, cost):
+        edges.extend([[a, b, room, cost], [b, a, 0, -cost]])
+
+    for p in names:
+        for k in range(passes):
+            edge("from", p, patterns[p], k * k)
+        for s in p:
+            edge(p, ("s", s), 10**9, 0)
+    for s in sources:
+        edge(("s", s), "to", goal[s], 0)
+    moved = cost = 0
+    while True:
+        far, came = {"from": 0}, {}
+        for _ in range(len(names) + len(sources) + 2):
+            for k, (a, b, room, c) in enumerate(edges):
+                if room > 0 and a in far and far[a] + c < far.get(b, 10**9):
+                    far[b], came[b] = far[a] + c, k
+        if "to" not in far:
+            return moved, cost
+        at = "to"
+        push = 10**9
+        while at != "from":
+            push, at = min(push, edges[came[at]][2]), edges[came[at]][0]
+        at = "to"
+        while at != "from":
+            k = came[at]
+            edges[k][2] -= push
+            edges[k ^ 1][2] += push
+            at = edges[k][0]
+        moved, cost = moved + push, cost + push * far["to"]
+
+
+def test_flow_against_shortest_paths():
+    rng = random.Random(31)
+    for _ in range(60):
+        names = "abcde"[: rng.randint(1, 5)]
+        patterns = {tuple(sorted(rng.sample(names, rng.randint(1, len(names))))): rng.randint(1, 30) for _ in range(rng.randint(1, 9))}
+        goal = {s: rng.randint(0, 40) for s in names}
+        p = mixing.plan(patterns, goal)
+        words, cost = shortest_paths(patterns, goal)
+        assert sum(p.words.values()) == pytest.approx(words, abs=1e-3)
+        assert sum(max(0.0, n - patterns[q]) for q, n in p.words.items()) == pytest.approx(cost, abs=1e-3)
+        for q, n in p.words.items():
+            assert n <= 2 * patterns[q] + 1e-6 and sum(v for (r, _), v in p.routed.items() if r == q) == pytest.approx(n, abs=1e-3)
+        for s, g in goal.items():
+            assert sum(v for (_, t), v in p.routed.items() if t == s) <= g + 1e-3
+
+
+def test_flow_of_many_patterns_is_fast():
+    import time
+
+    rng = random.Random(32)
+    names = [f"s{k:02}" for k in range(20)]
+    patterns = {}
+    while len(patterns) < 100_000:
+        patterns[tuple(sorted(rng.sample(names, rng.randint(1, 8))))] = rng.randint(100, 9000)
+    sizes = Counter()
+    for p, n in patterns.items():
+        for s in p:
+            sizes[s] += n
+    total = sum(patterns.values())
+    goal = {s: 1.2 * total * (k + 1) / 210 for k, s in enumerate(names)}
+    began = time.perf_counter()
+    p = mixing.plan(patterns, goal)
+    assert time.perf_counter() - began < 60
+    got = Counter()
+    for (_, s), v in p.routed.items():
+        got[s] += v
+    assert all(abs(got[s] - g) < 1 for s, g in goal.items()) and all(n <= 2 * patterns[q] + 1e-3 for q, n in p.words.items())
+
+
 def test_mix(spark):
     rng = random.Random(3)
     rows = [(1000 + i, " ".join(["w"] * rng.randint(0, 50)), rng.choice(["s1", "s2", "s2", "s2", None])) for i in range(800)] + ODD
@@ -249,7 +365,19 @@ def test_overlapping_members(spark):
     df = spark.createDataFrame([(i, "a b c d", ["x"] if i % 2 else ["y", "x"]) for i in range(100)], "doc_id long, text string, m array<string>")
     taken, by_source = mixing.mix(df, F.col("m"))
     assert {r["s_source"]: r["source_size"] for r in by_source.collect()} == {"x": 400, "y": 200}
-    assert sum(r["taken"] for r in taken.collect()) <= 800
+    # Targets are 300 and 200 of 600 and 400 words' weights: x takes its own documents once before anything is repeated.
+    got, want = taken.collect(), {r["s_source"]: r["target"] for r in by_source.collect()}
+    assert want == mixing.targets({"x": 400, "y": 200}) and all(r["taken"] <= 2 * r["size"] for r in got)
+    p = mixing.plan({("x",): 200, ("x", "y"): 200}, want)
+    assert sum(r["taken"] for r in got) == pytest.approx(sum(p.words.values()), abs=2) == min(800, sum(want.values()))
+    routed = Counter()
+    for (_, source), n in p.routed.items():
+        routed[source] += n
+    assert sum(routed.values()) == pytest.approx(min(800, sum(want.values()))) and all(routed[k] <= want[k] + 1e-6 for k in want)
+    own = Counter()
+    for r in got:
+        own[r["pattern"]] += r["taken"]
+    assert sorted(own.values()) == sorted(int(round(n)) for n in p.words.values())
 
 
 # 5 toxicity
@@ -397,6 +525,18 @@ def test_formats_round_trip():
     rng = np.random.default_rng(1)
     g, c = rng.integers(0, 256, (7, 5), dtype=np.uint8), rng.integers(0, 256, (6, 9, 3), dtype=np.uint8)
     assert (media.decode(media.encode_pgm(g)) == g).all() and (media.decode(media.encode_ppm(c)) == c).all() and (media.decode(media.encode_bmp(c)) == c).all()
+    assert (media.decode(b"P2\n2 1\n15\n0 15\n") == [[0, 255]]).all() and (media.decode(b"P5 2 1 100\n\x00\x32") == [[0, 128]]).all()
+    assert (media.decode(b"P1\n3 2\n1 0 1\n# x\n011") == [[0, 255, 0], [255, 0, 0]]).all() and (media.decode(b"P4 10 1\n\xa0\x40") == [[0, 255, 0, 255, 255, 255, 255, 255, 255, 0]]).all()
+    pam = b"P7\nWIDTH 2\nHEIGHT 1\nDEPTH 4\nMAXVAL 255\nTUPLTYPE RGB_ALPHA\nENDHDR\n" + bytes(range(8))
+    assert media.decode(pam).tolist() == [[[0, 1, 2], [4, 5, 6]]]
+    deep = rng.integers(0, 65536, (3, 4)).astype(">u2")
+    assert (media.decode(b"P5 4 3 65535\n" + deep.tobytes()) == deep).all()
+    import struct
+
+    short = struct.pack("<2sIHHI", b"BM", 0, 0, 0, 54 + 8) + struct.pack("<IiiHHIIiiII", 40, 4, 1, 1, 8, 0, 4, 0, 0, 2, 0) + bytes(8) + bytes([0, 1, 2, 0])
+    for bad in (short, b"P5 9 9 255\n123", b"P5 2 1 70000\nxx", b"P2 2 1 7\n9 9", b"P7\nWIDTH 2\n", b"BM", b"P6 0", b"P5 2 1 0\n\0\0"):
+        with pytest.raises((ValueError, struct.error)):
+            media.decode(bad)
     assert (media.decode(b"P2 # note\n2 2\n255\n1 2\n3 4\n") == [[1, 2], [3, 4]]).all()
 
 
@@ -416,8 +556,9 @@ def test_text_media(spark):
         n, payload = media.text_payload(t)
         assert (r["n_bytes"], r["payload_bytes"], r["payload_sha256"]) == (n, len(payload), hashlib.sha256(payload).hexdigest())
         assert r["tail_crc32"] == zlib.crc32(payload[-64:]) and media.decode(r["media"]).tobytes() == payload and r["media_sha256"] == hashlib.sha256(r["media"]).hexdigest()
-    images = spark.createDataFrame([(1, bytearray(media.encode_bmp(np.zeros((3, 3, 3), np.uint8)))), (2, bytearray(b"no")), (3, None)], "id long, data binary")
-    assert [r["height"] for r in media.image_columns(images, "id", "data").collect()] == [3, None, None]
+    images = spark.createDataFrame([(1, bytearray(media.encode_bmp(np.zeros((3, 3, 3), np.uint8)))), (2, bytearray(b"no")), (3, None), (4, bytearray(b"P5 9 9 255\n1")), (5, bytearray(b"P5 2 1 65535\n\xff\xff\x00\x00"))], "id long, data binary")
+    assert [r["height"] for r in media.image_columns(images, "id", "data").collect()] == [3, None, None, None, 1]
+    assert media.text_media(docs(spark, ODD).limit(0)).count() == 0 and np.load(__import__("io").BytesIO(got[3]["tile"])).shape == (16, 16)
 
 
 # 8 vectors
@@ -438,6 +579,16 @@ def test_search_recall_and_ties(spark):
     assert ann.search(df.where("vec_id < 3"), F.lit(True)).groupBy("query_id").count().first()["count"] == 2
 
 
+def test_large_parts_are_dealt_into_slots(spark, monkeypatch):
+    monkeypatch.setattr(ann, "SLOT", 60)
+    rng = np.random.default_rng(18)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(rng.standard_normal((1200, 8)))], "vec_id long, embedding array<double>")
+    key = lambda d: {(r["query_id"], r["rank"]): r["vec_id"] for r in d.collect()}
+    dealt = key(ann.search(df, F.col("vec_id") % 100 == 0))
+    monkeypatch.setattr(ann, "SLOT", 10**9)
+    assert dealt == key(ann.search(df, F.col("vec_id") % 100 == 0)) and len(dealt) == 120
+
+
 def test_parts_are_balanced():
     x = np.random.default_rng(9).standard_normal((700, 8)).astype(np.float32)
     part = ann.balanced_parts(x, ann.neighbour_graph(x, 5), 3)
@@ -468,6 +619,11 @@ def test_shortcut_is_proved_and_agrees(sf):
     assert all(enc.ids(t) == enc.library.encode(t, add_special_tokens=False).ids for t in texts + [t or "" for _, t, _ in ODD])
 
 
+def test_empty_tables_give_empty_results(spark):
+    none = docs(spark, []).limit(0)
+    assert tokens.count_tokens(none, tokenizer_path("word_bpe_49k.json")).count() == 0 and licenses.scan_licenses(none).count() == 0
+
+
 # 10 licences
 def test_license_words_and_places(spark):
     import re
@@ -522,6 +678,57 @@ def test_pipeline_stages(spark, sf):
         step(spark, d.limit(0), sf).collect()
 
 
+def test_registered_queries_on_a_whole_table(spark, sf):
+    """Every registered query against brute force on all documents of the smallest tables."""
+    from tokenizers import Tokenizer
+
+    import __spark_entry__ as e
+
+    q = {n.split("_")[0]: f for n, f in e.queries().items() if n.startswith("op")}
+    rows = [tuple(r) for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", "source").collect()]
+    text = {i: t or "" for i, t, _ in rows}
+    got = sorted(((r["doc_id"], r["class_id"], r["n_links"]) for r in q["op3"](spark, sf).collect()), key=str)
+    assert got == brute([(i, t) for i, t, _ in rows])
+    size = {i: len(__import__("re").findall(r"[^\x20\x09-\x0D]+", t)) for i, t in text.items()}
+    total = Counter()
+    for i, _, s in rows:
+        total[s] += size[i]
+    goal, by = mixing.targets(total), Counter()
+    mixed = q["op4"](spark, sf).collect()
+    source = {i: s for i, _, s in rows}
+    for r in mixed:
+        assert r["size"] == size[r["doc_id"]] and r["source_size"] == total[source[r["doc_id"]]] and r["target"] == pytest.approx(goal[source[r["doc_id"]]]) and 0 <= r["taken"] <= 2 * r["size"]
+        by[source[r["doc_id"]]] += r["taken"]
+    assert len(mixed) == len(rows) and all(abs(by[s] - g) <= 1 for s, g in goal.items())
+    scored = q["op5"](spark, sf).collect()
+    assert len(scored) == len(rows) and all(r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 5 == 0) and r["predicted"] == (r["score"] >= 0.5) and 0 <= r["score"] <= 1 for r in scored)
+    again = {r["doc_id"]: r["score"] for r in q["op5"](spark, sf).collect()}
+    assert all(again[r["doc_id"]] == pytest.approx(r["score"]) for r in scored)
+    library, ends = Tokenizer.from_file(tokenizer_path("byte_bpe_50k.json")), defaultdict(int)
+    pieces = q["op6"](spark, sf).collect()
+    ids = {i: np.array([*library.encode(t, add_special_tokens=False).ids, 0], "<u4") for i, t in text.items()}
+    for r in sorted(pieces, key=lambda r: (r["sequence_id"], r["offset"])):
+        assert r["offset"] == ends[r["sequence_id"]] and r["ids_crc32"] == zlib.crc32(ids[r["doc_id"]][r["start"] : r["start"] + r["length"]].tobytes())
+        ends[r["sequence_id"]] += r["length"]
+    assert max(ends.values()) <= 2048 and sum(ends.values()) == sum(map(len, ids.values()))
+    for r in q["op7"](spark, sf).collect():
+        n, payload = media.text_payload(text[r["doc_id"]])
+        assert (r["n_bytes"], r["payload_sha256"], r["tail_crc32"]) == (n, hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]))
+    x = {r["vec_id"]: np.array(r["embedding"], float) for r in spark.read.parquet(f"{sf}/embeddings.parquet").select("vec_id", "embedding").collect()}
+    near = defaultdict(list)
+    for r in q["op8"](spark, sf).orderBy("query_id", "rank").collect():
+        near[r["query_id"]].append(r["vec_id"])
+        assert r["score"] == pytest.approx(float(np.sqrt(((x[r["query_id"]] - x[r["vec_id"]]) ** 2).sum())), rel=1e-14)
+    want = {i: sorted((float(np.sqrt(((x[i] - v) ** 2).sum())), j) for j, v in x.items() if j != i)[:10] for i in x if i % 100 == 0}
+    assert set(near) == set(want) and sum(len(set(near[i]) & {j for _, j in w}) for i, w in want.items()) >= 9 * len(want)
+    word = Tokenizer.from_file(tokenizer_path("word_bpe_49k.json"))
+    assert all(r["n_tokens"] == len(word.encode(text[r["doc_id"]], add_special_tokens=False).ids) for r in q["op9"](spark, sf).collect())
+    for r in q["op10"](spark, sf).collect():
+        words = licenses.words_of(text[r["doc_id"]])
+        at = [k for p in licenses.BASE for k in range(len(words)) if words[k : k + len(p.split())] == p.encode().split()]
+        assert (r["n_words"], r["n_base"], r["first_word"], r["last_word"]) == (len(words), len(at), min(at, default=None), max(at, default=None))
+
+
 def test_queries_registered():
     import __spark_entry__ as e
 
