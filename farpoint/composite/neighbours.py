@@ -78,7 +78,7 @@ def _gram(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     return out
 
 
-def _centred(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def centred_squares(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Squared distances of doubles by _gram around the mean of x, and for each row of x a bound of their difference from what canonical() gives.
 
     A subtraction errs by eps of its result, an inner product by the depth of its sum times the product of the norms: all of it is in
@@ -155,7 +155,7 @@ class _Nearest:
 
 def _meet(u: Block, v: Block, same: bool, metric: str) -> tuple[np.ndarray, np.ndarray]:
     """A tile of distances (squared for euclidean) with a bound of its rows' errors; a row and itself are infinitely far."""
-    near, slack = _centred(u.stored, v.stored) if metric == "euclidean" else (_all_pairs(u.stored, v.stored, metric), np.zeros(len(u.ids)))
+    near, slack = centred_squares(u.stored, v.stored) if metric == "euclidean" else (_all_pairs(u.stored, v.stored, metric), np.zeros(len(u.ids)))
     if same:
         near[u.ids[:, None] == v.ids] = np.inf
     return near, slack
@@ -340,7 +340,7 @@ def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64,
         """Pairs (a, b) of two tiles that are within, or may be, and whether they surely are."""
         began = time.perf_counter()
         if precision == 64:
-            square, slack = _centred(u.stored, v.stored)
+            square, slack = centred_squares(u.stored, v.stored)
             a, b = np.nonzero(square <= (goal * goal + slack)[:, None])
             inside = canonical(u.stored, v.stored, a, b) <= goal
             return a[inside], b[inside], np.ones(int(inside.sum()), bool)
@@ -408,7 +408,7 @@ def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64,
 def _within(u: Block, v: Block, radii: list[float], same: bool, width: int | None = None) -> Iterator[tuple[int, np.ndarray]]:
     """For each radius its number and a boolean tile of the pairs within it; only pairs that the inner-product form leaves open are summed by differences."""
     a, b = u.stored[:, :width], v.stored[:, :width]
-    square, slack = _centred(a, b)
+    square, slack = centred_squares(a, b)
     if same:
         square[u.ids[:, None] == v.ids] = np.inf
     for k, r in enumerate(radii):

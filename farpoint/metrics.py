@@ -80,7 +80,7 @@ def kernel_bytes(kind: str, n: int, d: int, bits: int, k: int = 10, seed: int =
 
     import numpy as np
 
-    from farpoint.composite.neighbours import _centred, _LowPrecision
+    from farpoint.composite.neighbours import centred_squares, _LowPrecision
     from farpoint.plans.blocks import FORMATS, Block
 
     values = np.random.default_rng(seed).random((n, d))
@@ -90,7 +90,7 @@ def kernel_bytes(kind: str, n: int, d: int, bits: int, k: int = 10, seed: int =
         if kind == "range":
             tile = Block(0, np.arange(n), rows, np.zeros(n))
             if bits == 64:
-                _centred(rows, rows)
+                centred_squares(rows, rows)
             else:
                 _LowPrecision(tile, tile, bits)
         else:
