@@ -26,6 +26,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from farpoint.composite.neighbours import canonical, centred_squares
 from farpoint.plans.arrow import grouped
 from farpoint.session import ship, stage
 
@@ -213,11 +214,11 @@ def search(vectors: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec
             for i in range(b.num_rows):
                 q_ids, q, c_ids, c = (np.frombuffer(b.column(j)[i].as_buffer(), t) for j, t in enumerate((np.int64, np.float64, np.int64, np.float64)))
                 q, c = q.reshape(-1, d), c.reshape(-1, d)
-                near = (c * c).sum(1) - 2 * q @ c.T + (q * q).sum(1)[:, None]
+                near, slack = centred_squares(q, c)
                 near[q_ids[:, None] == c_ids] = np.inf
                 limit = np.partition(near, min(k, near.shape[1]) - 1, axis=1)[:, min(k, near.shape[1]) - 1]
-                x, y = np.nonzero((near <= limit[:, None] + 1e-9 * (1 + np.abs(limit[:, None]))) & np.isfinite(near))
-                exact = np.sqrt(((q[x] - c[y]) ** 2).sum(1))
+                x, y = np.nonzero((near <= (limit + 2 * slack)[:, None]) & np.isfinite(near))
+                exact = canonical(q, c, x, y)
                 order = np.lexsort((c_ids[y], exact, x))
                 x, y, exact = x[order], y[order], exact[order]
                 place = np.arange(len(x)) - np.searchsorted(x, x)

@@ -75,8 +75,21 @@ def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan_licenses(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def _columns(query: Callable, *names: str) -> Callable:
+    return lambda spark, sf_dir: query(spark, sf_dir).select(*names)
+
+
+#: Columns of queries that SQL can express, as queries of their own.
+COMPARABLE = {
+    "mix_targets": lambda spark, sf_dir: op4_source_mix(spark, sf_dir).select("doc_id", "size", "source_size", F.round("target", 6).alias("target")),
+    "media_payloads": _columns(op7_media_columns, "doc_id", "n_bytes", "payload_bytes", "payload_sha256", "media_bytes", "media_sha256"),
+    "token_count_bytes": _columns(op9_token_counts, "doc_id", "n_bytes"),
+    "license_base_places": _columns(op10_license_scan, "doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels"),
+}
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
+    found = {k: v for k, v in globals().items() if k.startswith("op") and callable(v)} | COMPARABLE
     return {k: (lambda spark, sf_dir, f=f: f(ship(spark), sf_dir)) for k, f in found.items()}
 
 
@@ -106,4 +119,50 @@ select page_id, cast(n as bigint) as payload_bytes, digest as payload_digest,
   case when n >= 1000 and page_id <> max(page_id) over w then max(page_id) over w end as refers_to
 from made window w as (partition by digest, n)
 """
-    return {"op1_warc_bundles": archive, "op2_chat_formatting": chats}
+    similar = r"""
+with recursive said as (
+  select doc_id, row_number() over () as r, list_filter(string_split_regex(lower(coalesce(text, '')), '[\x09-\x0D\x1C-\x20]+'), lambda x: x <> '') as w from documents),
+grams as materialized (select distinct r, array_to_string(w[k : k + 4], ' ') as g from (select r, w, unnest(range(1, greatest(len(w) - 4, 1) + 1)) as k from said where len(w) > 0)),
+sizes as (select r, count(*) as n from grams group by r),
+met as (select a.r as x, b.r as y, count(*) as c from grams a join grams b on a.g = b.g and a.r < b.r group by all),
+link as materialized (select x, y from met join sizes p on p.r = x join sizes q on q.r = y where c >= 0.8 * (p.n + q.n - c)),
+edge as materialized (select x, y from link union all select y, x from link),
+reach(x, y) as (select x, y from edge union select reach.x, edge.y from reach join edge on reach.y = edge.x)
+select doc_id, least(doc_id, m) as class_id, coalesce(n, 0) as n_links from said
+left join (select x, min(d.doc_id) as m from reach join said d on d.r = y group by x) on x = said.r
+left join (select x as l, count(*) as n from edge group by x) on l = said.r
+"""
+    nearest = """
+with x as materialized (select distinct vec_id as id, list_transform(embedding, lambda v: cast(v as double)) as v from embeddings),
+e as (select q.id as query_id, c.id as vec_id, sqrt(list_sum(list_transform(list_zip(q.v, c.v), lambda z: (z[1] - z[2]) * (z[1] - z[2])))) as score from x q join x c on q.id % 100 = 0 and c.id <> q.id)
+select query_id, cast(rank as int) as rank, vec_id, score from (select *, row_number() over (partition by query_id order by score, vec_id) as rank from e) where rank <= 10
+"""
+    # Three weights over the sources; a target at its bound of twice its source leaves the rest to the others, round by round.
+    shared = r"""
+with recursive sized as materialized (select doc_id, source, cast(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) as bigint) as size from documents),
+sources as materialized (select source, cast(sum(size) as bigint) as n, [3.0, 1.0, 2.0][(row_number() over (order by source nulls last) - 1) % 3 + 1] as w from sized group by source),
+rounds(step, source, n, w, done, target) as (
+  select 0, source, n, w, n = 0, 0.0::double from sources
+  union all
+  select step + 1, source, n, w, done or over_, case when not done and over_ then 2.0 * n else target end from (
+    select *, not done and w * (1.5 * sum(n) over () - sum(case when done then target else 0 end) over ()) / nullif(sum(case when done then 0 else w end) over (), 0) > 2.0 * n as over_ from rounds) where step < 40),
+last as (select *, (1.5 * sum(n) over () - sum(case when done then target else 0 end) over ()) / nullif(sum(case when done then 0 else w end) over (), 0) as unit from rounds where step = 40)
+select doc_id, size, l.n as source_size, round(case when done then target else w * unit end, 6) as target from sized join last l on l.source is not distinct from sized.source
+"""
+    payload = """
+with said as (select doc_id, encode(coalesce(text, '')) as body from documents),
+cut as (select doc_id, octet_length(body) as n, greatest(64, cast(ceil(octet_length(body) / 64.0) as bigint) * 64) as whole, body from said),
+made as (select doc_id, n, whole, body || from_hex(repeat('00', cast(whole - n as int))) as stored, encode('P5' || chr(10) || '64 ' || (whole // 64) || chr(10) || '255' || chr(10)) as head from cut)
+select doc_id, cast(n as bigint) as n_bytes, whole as payload_bytes, sha256(stored) as payload_sha256, cast(octet_length(head) + whole as bigint) as media_bytes, sha256(head || stored) as media_sha256 from made
+"""
+    phrases = " union all ".join(f"select '{p}' as phrase, '{label}' as label" for p, label in licenses.BASE.items())
+    places = rf"""
+with said as (select doc_id, row_number() over () as r, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') as w from documents),
+phrases as ({phrases}),
+starts as (select r, w, unnest(range(1, len(w) + 1)) as k from said),
+hits as (select r, k - 1 as k, label from starts join phrases on w[k] = string_split(phrase, ' ')[1] and array_to_string(w[k : k + len(string_split(phrase, ' ')) - 1], ' ') = phrase),
+found as (select r, count(*) as n, min(k) as a, max(k) as z, array_to_string(list_sort(list_distinct(list(label))), ',') as labels from hits group by r)
+select doc_id, cast(len(w) as bigint) as n_words, coalesce(n, 0) as n_base, a as first_word, z as last_word, coalesce(labels, '') as base_labels from said left join found using (r)
+"""
+    size = "select doc_id, cast(octet_length(encode(coalesce(text, ''))) as bigint) as n_bytes from documents"
+    return {"op1_warc_bundles": archive, "op2_chat_formatting": chats, "op3_ngram_jaccard": similar, "op8_learned_partitions": nearest, "mix_targets": shared, "media_payloads": payload, "token_count_bytes": size, "license_base_places": places}
