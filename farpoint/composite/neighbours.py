@@ -247,12 +247,20 @@ class _LowPrecision:
         self.row_err = (self.norm_a + self.norm_b.max(initial=0)) ** 2 * self.rate + self.floor
         self.row_left = self.left_a + self.left_b.max(initial=0)
 
-    def not_above(self, limit: np.ndarray | float) -> tuple[np.ndarray, np.ndarray]:
-        """Pairs (a, b) that may be at a true distance of at most limit (one for all rows, or one each)."""
+    def not_above(self, limit: np.ndarray | float, among: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """Pairs (a, b), of a mask of them, that may be at a true distance of at most limit (one for all rows, or one each)."""
         reach = (limit + self.row_left) ** 2 * (1 + 1e-9) + self.row_err
         with np.errstate(over="ignore"):
             cut = np.nextafter(reach.astype(self.square.dtype), np.inf, dtype=self.square.dtype)
-        return np.nonzero(self.square <= cut[:, None])
+        near = self.square <= cut[:, None]
+        return np.nonzero(near if among is None else near & among)
+
+    def surely_within(self, limit: float) -> np.ndarray:
+        """Pairs whose true distance is at most limit whatever the errors of their row."""
+        reach = np.maximum(limit * (1 - self.loose) - self.row_left, 0) ** 2 * (1 - 1e-9) - self.row_err
+        kind = self.square.dtype
+        cut = np.nextafter(np.minimum(reach, float(np.finfo(kind).max)).astype(kind), -np.inf, dtype=kind)
+        return (self.square <= cut[:, None]) & (reach > 0)[:, None]
 
     def interval(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(surely not above, surely not below) the true distances of the pairs."""
@@ -262,7 +270,7 @@ class _LowPrecision:
         return (np.sqrt(np.maximum(square - err, 0)) - apart) * (1 - self.loose), (np.sqrt(np.maximum(square + err, 0)) + apart) * (1 + self.loose)
 
 
-def _exact(x: FeatureFrame, pairs: DataFrame, y: FeatureFrame | None = None, metric: str = "euclidean") -> DataFrame:
+def exact_pairs(x: FeatureFrame, pairs: DataFrame, y: FeatureFrame | None = None, metric: str = "euclidean") -> DataFrame:
     """Distances of the listed pairs only, from the full-precision rows: two equi-joins."""
     left = x.pack().df.select(F.col("id").alias("i"), F.col("x").alias("u"))
     right = (y or x).pack().df.select(F.col("id").alias("j"), F.col("x").alias("v"))
@@ -309,7 +317,7 @@ def _quantized_knn(x: FeatureFrame, k: int, y: FeatureFrame | None, blocks: int
             yield _pairs_batch(u.ids[i], j, hi / factor)
 
     band = run_owners(x, blocks, kernel, PAIR, bits=precision, y=y, factor=factor, slices=slices)
-    return _ranked(_exact(x, band.select("i", "j"), y) if verify else band, k)
+    return _ranked(exact_pairs(x, band.select("i", "j"), y) if verify else band, k)
 
 
 def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64, compute: int | None = None, bound: str = "residual", verify: bool = True, blocks: int | None = None, symmetric: bool = True, scale: str | None = "pow2", include_self: bool = False, with_flag: bool = False, clock=None, phases: dict | None = None) -> DataFrame:
@@ -340,10 +348,9 @@ def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64,
         """Pairs (a, b) of two tiles that are within, or may be, and whether they surely are."""
         began = time.perf_counter()
         if precision == 64:
-            square, slack = centred_squares(u.stored, v.stored)
-            a, b = np.nonzero(square <= (goal * goal + slack)[:, None])
-            inside = canonical(u.stored, v.stored, a, b) <= goal
-            return a[inside], b[inside], np.ones(int(inside.sum()), bool)
+            for _, inside in _within(u, v, [goal], False):
+                a, b = np.nonzero(inside)
+            return a, b, np.ones(len(a), bool)
         low = _LowPrecision(u, v, compute)
         met = time.perf_counter()
         a, b, sure = bounded(u, v, low)
@@ -357,10 +364,13 @@ def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64,
             a, b = np.nonzero(low.square <= np.array(goal * goal, low.square.dtype))
             return a, b, np.ones(len(a), bool)
         if bound == "residual":
-            a, b = low.not_above(goal)
-            lower, upper = low.interval(a, b)
+            # One comparison a row settles all pairs but those of a narrow band, whose own intervals are worked out.
+            inside = low.surely_within(goal)
+            near, far = low.not_above(goal, ~inside)
+            lower, upper = low.interval(near, far)
             keep = lower <= goal
-            return a[keep], b[keep], upper[keep] <= goal
+            a, b = np.nonzero(inside)
+            return np.concatenate((a, near[keep])), np.concatenate((b, far[keep])), np.concatenate((np.ones(len(a), bool), upper[keep] <= goal))
         cast, floor = gamma(2, FloatFormat(precision).eps), (8 * d * reach + 4 * d) * FloatFormat(precision).tiny
         if bound == "rowwise":
             na, nb = low.norm_a + u.residual, low.norm_b + v.residual
@@ -401,7 +411,7 @@ def nwr(x: FeatureFrame, phi: float, squared: bool = False, precision: int = 64,
     if precision == 64 or not verify:
         return found.select("i", "j")
     found = stage(found, "pairs")
-    again = _exact(x, found.where(~F.col("certain")).select("i", "j")).where(F.col("dist") <= limit).select("i", "j")
+    again = exact_pairs(x, found.where(~F.col("certain")).select("i", "j")).where(F.col("dist") <= limit).select("i", "j")
     return found.where("certain").select("i", "j").unionByName(again)
 
 

@@ -63,9 +63,9 @@ class LofDetector:
     def edges(self, x: FeatureFrame) -> DataFrame:
         if self.phi is not None:
             near = nwr(x, self.phi, blocks=self.blocks, precision=self.precision)
-            from farpoint.composite.neighbours import _exact, _ranked
+            from farpoint.composite.neighbours import exact_pairs, _ranked
 
-            return _ranked(_exact(x, near), self.k)
+            return _ranked(exact_pairs(x, near), self.k)
         first = knn(x, self.k, blocks=self.blocks, precision=self.precision)
         if self.ties == "exact":
             return first
@@ -73,9 +73,9 @@ class LofDetector:
         first = stage(first, "knn")
         kdist = first.groupBy(F.col("i").alias("n")).agg(F.max("dist").alias("kdist"))
         top = kdist.agg(F.max("kdist")).first()[0]
-        from farpoint.composite.neighbours import _exact
+        from farpoint.composite.neighbours import exact_pairs
 
-        near = _exact(x, nwr(x, top, blocks=self.blocks))
+        near = exact_pairs(x, nwr(x, top, blocks=self.blocks))
         return near.join(kdist, F.col("i") == F.col("n")).where(F.col("dist") <= F.col("kdist")).select("i", "j", "dist")
 
     def fit_score(self, x: FeatureFrame) -> DataFrame:

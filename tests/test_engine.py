@@ -338,3 +338,80 @@ def test_entry(spark):
 
     assert e.entry(spark).count() == 500
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_exact_quantiles_ranks_and_numbers(spark):
+    from farpoint.operators.ecdf import quantiles, row_numbers, with_ranks
+
+    rng = np.random.default_rng(41)
+    m = np.c_[rng.standard_normal(700), rng.integers(0, 4, 700), np.where(rng.random(700) < 0.4, 0.5, rng.random(700)), np.ones(700)]
+    x = frame(spark, m)
+    got = quantiles(x, [0.0, 0.1, 0.25, 0.5, 0.95, 1.0])
+    for k, f in enumerate(x.features):
+        assert np.allclose(got[f], np.quantile(m[:, k], [0.0, 0.1, 0.25, 0.5, 0.95, 1.0]), rtol=1e-12)
+    assert quantiles(frame(spark, np.zeros((0, 2))), [0.5]) == {"f0": [], "f1": []}
+    s = spark.createDataFrame([(i, i % 3, float(v)) for i, v in enumerate(m[:, 2])], "id long, draw int, score double")
+    place = {r["id"]: r["place"] for r in row_numbers(s, "draw", [F.desc("score"), F.col("id")], ranges=5).collect()}
+    for d in range(3):
+        order = sorted((i for i in range(700) if i % 3 == d), key=lambda i: (-m[i, 2], i))
+        assert [place[i] for i in order] == list(range(1, len(order) + 1))
+    import farpoint.operators.ecdf as E
+
+    want = {r["id"]: tuple(r[f"l_{f}"] for f in x.features) for r in with_ranks(x).collect()}
+    few, E.FEW = E.FEW, 10  # three features of many values, by one join of all their cells
+    try:
+        df = with_ranks(x)
+        assert {r["id"]: tuple(r[f"l_{f}"] for f in x.features) for r in df.collect()} == want
+        assert df._jdf.queryExecution().optimizedPlan().toString().count("Join") <= 7
+    finally:
+        E.FEW = few
+
+
+def test_unfused_plans_equal_fused_ones_and_take_user_operators(spark, cloud):
+    x = frame(spark, cloud)
+    for outer, inner in (("square", "project"), ("lookup", "histogram")):
+        tree = R.OpNode(outer, (R.OpNode(inner, (x,)),))
+        assert np.allclose(scores(R.lower(tree)), scores(R.lower(tree, False)))
+    tree = R.OpNode("log", (R.OpNode("ecdf", (x,)),))
+    key = lambda df: sorted((r["id"], r["feature"], round(r["u_left"], 9), round(r["u_right"], 9), round(r["u_skew"], 9)) for r in df.collect())
+    assert key(R.lower(tree)) == key(R.lower(tree, False))
+    R.register_operator(R.OpSpec("doubled", False, True), lambda m: m * 2)
+    got = R.lower(R.OpNode("doubled", (x.pack(),))).orderBy("id").collect()
+    assert np.allclose([r["x"] for r in got], cloud * 2)
+
+
+def test_late_rows_are_left_out_and_counted(spark, tmp_path):
+    """Files out of order: rows behind the watermark are dropped and show in the progress of the query."""
+    import time
+
+    from farpoint.streaming import score as ST
+
+    schema = "event_id long, event_type string, value double, ts timestamp"
+    row = lambda i, day, hour: (i, "a", float(i), f"2024-01-{day:02} {hour:02}:00:00")
+    for n, rows in enumerate(([row(1, 1, 1), row(2, 1, 5)], [row(3, 5, 1)], [row(7, 5, 3)], [row(4, 1, 7), row(5, 5, 2)], [row(6, 9, 1)])):
+        spark.createDataFrame(rows, "event_id long, event_type string, value double, ts string").selectExpr("event_id", "event_type", "value", "cast(ts as timestamp) as ts").coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+        time.sleep(1.1)  # files are taken in the order of their times
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
+    z = ST.window_zscores(ST.with_event_time(stream), "1 day", "event_type")
+    query = z.writeStream.option("checkpointLocation", f"{tmp_path}/mark").trigger(availableNow=True).outputMode("append").format("parquet").option("path", f"{tmp_path}/out").start()
+    query.awaitTermination()
+    got = {r["event_id"]: r["z"] for r in spark.read.parquet(f"{tmp_path}/out").collect()}
+    assert set(got) == {1, 2, 3, 5, 7} and got[1] == -1.0 and got[2] == 1.0 and ST.late_rows(query) == 1
+
+
+def test_error_function():
+    import math
+
+    from farpoint.detectors import statistical as D
+
+    for z in np.linspace(-4, 4, 81):
+        t = 1 / (1 + D.ERF_P * abs(z))
+        series = sum(a * t ** (k + 1) for k, a in enumerate(D.ERF_A))
+        assert abs(math.copysign(1 - series * math.exp(-z * z), z) - math.erf(z)) < 1.5e-7
+
+
+def test_copula_model_scores_its_own_rows_alike(spark, cloud):
+    x = frame(spark, cloud)
+    for how in ("sum_then_max", "max_then_sum"):
+        d = S.CopulaDetector(how)
+        assert np.allclose(scores(d.fit(x).score(x)), scores(d.fit_score(x)))
