@@ -4,7 +4,7 @@ Texts become sets of hashed word five-grams (words: lower-cased runs without ASC
 1. Equal sets form one class, and only its representative goes on, so copies cost one aggregation.
 2. Runs of chosen paths: in each run a set follows, level by level, the token that comes first in it under that level's random order, so two
    sets share a path of length k with probability similarity**k. Buckets of shared paths with few sets are compared by brute force on
-   sketches; a large bucket first takes in everything very close to a pivot, and what is left is split by the next token, once for each of
+   sketches; a large bucket first takes in everything very close to one of its pivots, and what is left is split by the next token, once for each of
    BRANCHES orders, so that a split parts a pair only if all its branches do.
    The number of runs follows from the target recall at the threshold, were every bucket split down to the deepest level; no two runs share an
    order on the first levels.
@@ -40,6 +40,8 @@ GRAM, THRESHOLD, RECALL = 5, 0.8, 0.9998
 SKETCH = 64
 #: First depth of the paths, largest bucket compared at once, sketch similarities of a pivot.
 DEPTH, SMALL, NEAR, LOOSE = 3, 256, 0.8, 0.45
+#: Pivots of a large bucket at each level. One pivot takes in only half of a group whose sets are about NEAR alike, and the rest doubles with each split.
+PIVOTS = 8
 #: Levels after which what is left of large buckets is compared pivot by pivot, by pairs of blocks of about so many sets.
 DEEPEST, DEEP_BLOCK = 10, 4096
 #: Orders by which each set of a large bucket is split, and runs added because these orders are also those of other runs (by simulation: 18 runs
@@ -236,6 +238,13 @@ def _block_pairs(large: DataFrame) -> DataFrame:
     return met.select(F.xxhash64("path", F.least("own", "other"), F.greatest("own", "other")).alias("bucket"), "rid")
 
 
+def _pivots(large: DataFrame, reps: DataFrame) -> DataFrame:
+    """(p_path, pivots): at most PIVOTS random sets of every bucket, as structs (rid, sketch)."""
+    drawn = [F.min(F.struct(F.xxhash64("rid", F.lit(k)).alias("draw"), "rid")).getField("rid") for k in range(PIVOTS)]
+    chosen = large.groupBy("path").agg(F.array_distinct(F.array(*drawn)).alias("rids")).select("path", F.explode("rids").alias("rid"))
+    return chosen.join(reps, "rid").groupBy(F.col("path").alias("p_path")).agg(F.collect_list(F.struct("rid", "sketch")).alias("pivots"))
+
+
 def candidate_edges(reps: DataFrame, recall: float = RECALL, threshold: float = THRESHOLD) -> DataFrame:
     """reps: rid, sketch. Chosen paths, then (a, b) joining all likely similar sets."""
     runs = runs_for(recall, threshold)
@@ -245,8 +254,8 @@ def candidate_edges(reps: DataFrame, recall: float = RECALL, threshold: float =
     edges: list[DataFrame] = []
     lists: list[DataFrame] = []
     for level in range(DEPTH, DEEPEST + 1):
-        counts = keys.groupBy(F.col("path").alias("c_path")).agg(F.count("*").alias("n"), F.min("rid").alias("pivot")).where("n > 1")
-        shared = stage(keys.join(counts, F.col("path") == F.col("c_path")).select("rid", "run", "node", "path", "n", "pivot"), f"shared-{level}")
+        counts = keys.groupBy(F.col("path").alias("c_path")).agg(F.count("*").alias("n")).where("n > 1")
+        shared = stage(keys.join(counts, F.col("path") == F.col("c_path")).select("rid", "run", "node", "path", "n"), f"shared-{level}")
         # Small buckets: the same few sets meet in most runs; each list of sets is compared once. At most SMALL ids in a list.
         lists.append(shared.where(F.col("n") <= SMALL).groupBy("path").agg(F.sort_array(F.collect_list("rid")).alias("rids")).select("rids"))
         large = shared.where(F.col("n") > SMALL)
@@ -255,14 +264,15 @@ def candidate_edges(reps: DataFrame, recall: float = RECALL, threshold: float =
         if level == DEEPEST:
             edges.append(_edges_within(_block_pairs(large).join(reps, "rid")))
             break
-        pivots = large.where("rid = pivot").select("path", "rid").join(reps, "rid").select(F.col("path").alias("p_path"), F.col("sketch").alias("p_sketch"))
-        near = large.join(reps, "rid").join(pivots, F.col("path") == F.col("p_path"))
-        same = F.aggregate(F.zip_with("sketch", "p_sketch", lambda x, y: (x == y).cast("int")), F.lit(0), lambda a, x: a + x)
+        near = large.join(reps, "rid").join(_pivots(large, reps), F.col("path") == F.col("p_path"))
+        same = lambda p: F.aggregate(F.zip_with("sketch", p["sketch"], lambda x, y: (x == y).cast("int")), F.lit(0), lambda n, x: n + x)
+        alike = F.transform("pivots", lambda p: F.struct(p["rid"].alias("pivot"), same(p).alias("same")))
         child = [F.col("node") * BRANCHES + b for b in range(BRANCHES)]
         parts = F.array(*(F.struct(c.alias("node"), F.xxhash64("path", c, F.get("sketch", _branch_order(F.col("run").cast("long"), c))).alias("path")) for c in child))
-        met = stage(near.select("rid", "run", "pivot", same.alias("same"), parts.alias("parts")), f"pivots-{level}")
-        edges.append(met.where((F.col("same") >= LOOSE * SKETCH) & (F.col("rid") != F.col("pivot"))).select(F.col("rid").alias("a"), F.col("pivot").alias("b")).distinct())
-        keys = met.where(F.col("same") < NEAR * SKETCH).select("rid", "run", F.explode("parts").alias("k")).select("rid", "run", "k.node", "k.path")
+        met = stage(near.select("rid", "run", alike.alias("alike"), parts.alias("parts")), f"pivots-{level}")
+        linked = met.select("rid", F.explode(F.filter("alike", lambda p: p["same"] >= LOOSE * SKETCH)).alias("p")).select(F.col("rid").alias("a"), F.col("p.pivot").alias("b"))
+        edges.append(linked.where("a <> b").distinct())
+        keys = met.where(~F.exists("alike", lambda p: p["same"] >= NEAR * SKETCH)).select("rid", "run", F.explode("parts").alias("k")).select("rid", "run", "k.node", "k.path")
     buckets = lists[0]
     for x in lists[1:]:
         buckets = buckets.union(x)
