@@ -40,7 +40,7 @@ GRAM, THRESHOLD, RECALL = 5, 0.8, 0.9998
 SKETCH = 64
 #: First depth of the paths, largest bucket compared at once, sketch similarities of a pivot.
 DEPTH, SMALL, NEAR, LOOSE = 3, 256, 0.8, 0.45
-#: Pivots of a large bucket at each level. One pivot takes in only half of a group whose sets are about NEAR alike, and the rest doubles with each split.
+#: Pivots of a large bucket at each level: what they leave doubles with each split.
 PIVOTS = 8
 #: Levels after which what is left of large buckets is compared pivot by pivot, by pairs of blocks of about so many sets.
 DEEPEST, DEEP_BLOCK = 10, 4096
