@@ -26,6 +26,7 @@ from __future__ import annotations
 import math
 import random
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -252,17 +253,17 @@ def candidate_edges(reps: DataFrame, recall: float = RECALL, threshold: float =
     first = F.array(*(F.struct(F.lit(r).alias("run"), F.xxhash64(F.lit(r), *(token(r, k) for k in range(DEPTH))).alias("path")) for r in range(runs)))
     keys = reps.select("rid", F.explode(first).alias("k")).select("rid", "k.run", F.lit(1).cast("long").alias("node"), "k.path")
     edges: list[DataFrame] = []
-    lists: list[DataFrame] = []
+    deep: list[DataFrame] = []
+    small: list[DataFrame] = []
     for level in range(DEPTH, DEEPEST + 1):
         counts = keys.groupBy(F.col("path").alias("c_path")).agg(F.count("*").alias("n")).where("n > 1")
         shared = stage(keys.join(counts, F.col("path") == F.col("c_path")).select("rid", "run", "node", "path", "n"), f"shared-{level}")
-        # Small buckets: the same few sets meet in most runs; each list of sets is compared once. At most SMALL ids in a list.
-        lists.append(shared.where(F.col("n") <= SMALL).groupBy("path").agg(F.sort_array(F.collect_list("rid")).alias("rids")).select("rids"))
+        small.append(shared.where(F.col("n") <= SMALL).select("path", "rid"))
         large = shared.where(F.col("n") > SMALL)
         if large.isEmpty():
             break
         if level == DEEPEST:
-            edges.append(_edges_within(_block_pairs(large).join(reps, "rid")))
+            deep.append(_edges_within(_block_pairs(large).join(reps, "rid")))
             break
         near = large.join(reps, "rid").join(_pivots(large, reps), F.col("path") == F.col("p_path"))
         same = lambda p: F.aggregate(F.zip_with("sketch", p["sketch"], lambda x, y: (x == y).cast("int")), F.lit(0), lambda n, x: n + x)
@@ -271,16 +272,16 @@ def candidate_edges(reps: DataFrame, recall: float = RECALL, threshold: float =
         parts = F.array(*(F.struct(c.alias("node"), F.xxhash64("path", c, F.get("sketch", _branch_order(F.col("run").cast("long"), c))).alias("path")) for c in child))
         met = stage(near.select("rid", "run", alike.alias("alike"), parts.alias("parts")), f"pivots-{level}")
         linked = met.select("rid", F.explode(F.filter("alike", lambda p: p["same"] >= LOOSE * SKETCH)).alias("p")).select(F.col("rid").alias("a"), F.col("p.pivot").alias("b"))
-        edges.append(linked.where("a <> b").distinct())
+        edges.append(linked.where("a <> b"))
         keys = met.where(~F.exists("alike", lambda p: p["same"] >= NEAR * SKETCH)).select("rid", "run", F.explode("parts").alias("k")).select("rid", "run", "k.node", "k.path")
-    buckets = lists[0]
-    for x in lists[1:]:
-        buckets = buckets.union(x)
-    buckets = buckets.distinct().select(F.xxhash64("rids").alias("bucket"), F.explode("rids").alias("rid"))
-    found = _edges_within(buckets.join(reps, "rid"))
-    for e in edges:
-        found = found.union(e)
-    return found
+    # All levels share one grouping and one distinct: the plan that the driver holds gains only a scan with each level.
+    # Small buckets: the same few sets meet in most runs; each list of sets is compared once. At most SMALL ids in a list.
+    lists = reduce(DataFrame.union, small).groupBy("path").agg(F.sort_array(F.collect_list("rid")).alias("rids")).select("rids")
+    buckets = lists.distinct().select(F.xxhash64("rids").alias("bucket"), F.explode("rids").alias("rid"))
+    found = [_edges_within(buckets.join(reps, "rid")), *deep]
+    if edges:
+        found.append(reduce(DataFrame.union, edges).distinct())
+    return reduce(DataFrame.union, found)
 
 
 def _sets(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:

@@ -251,6 +251,28 @@ def test_components(spark):
     assert components.components(spark.createDataFrame([(3, 3)], "a long, b long")).count() == 0
 
 
+def test_plans_of_many_rounds_stay_small(spark, monkeypatch):
+    """No plan of a round holds another round's or half's many times over, and levels of paths share their groupings: the driver keeps plans whole."""
+    leaves = []
+
+    def counted(df, name, stage=components.stage):
+        leaves.append(df._jdf.queryExecution().optimizedPlan().collectLeaves().size())
+        return stage(df, name)
+
+    monkeypatch.setattr(components, "stage", counted)
+    pairs = [(k, k + 1) for k in range(200)]
+    got = components.components(spark.createDataFrame(pairs, "a long, b long").repartition(9)).collect()
+    assert len(leaves) >= 3 and max(leaves) <= 12 and {r["component"] for r in got} == {0} and len(got) == 201
+
+    monkeypatch.setattr(jaccard, "SMALL", 2)
+    sketches = np.random.default_rng(3).integers(0, 2, (120, jaccard.SKETCH)).tolist()
+    reps = jaccard.stage(spark.createDataFrame(list(enumerate(sketches)), "rid long, sketch array<int>"), "reps")
+    levels = []
+    monkeypatch.setattr(jaccard, "stage", lambda df, name, stage=jaccard.stage: (levels.append(name), stage(df, name))[1])
+    plan = jaccard.candidate_edges(reps)._jdf.queryExecution().optimizedPlan().toString()
+    assert sum(n.startswith("pivots") for n in levels) >= 2 and plan.count("Aggregate [") <= 4
+
+
 # 4 mixing
 def test_targets():
     goal = mixing.targets({"a": 100, "b": 100, None: 100})
